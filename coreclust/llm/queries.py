@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, fmindex, langid, packing, pii, rules
+from . import bpe, fmindex, langid, minhash, packing, pii, rules
 from .common import table
 
 
@@ -24,6 +24,10 @@ def op2_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pii.digests(pii.find(table(spark, sf_dir, "documents")))
 
 
+def op3_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return minhash.near_duplicates(table(spark, sf_dir, "documents"))
+
+
 def op4_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(table(spark, sf_dir, "documents"))
 
@@ -45,6 +49,6 @@ def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op1_decontamination, op2_pii, op4_packing, op5_token_counts, op8_language_id, op10_quality_rules)
+    f.__name__: f for f in (op1_decontamination, op2_pii, op3_near_duplicates, op4_packing, op5_token_counts, op8_language_id, op10_quality_rules)
 }
 ORACLE_SQL: dict[str, str] = {}
