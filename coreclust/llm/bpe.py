@@ -12,6 +12,7 @@ pre-token of any length takes part in the same rounds.
 
 from __future__ import annotations
 
+import functools
 import json
 import re
 
@@ -126,6 +127,12 @@ class Vocabulary:
         return counts
 
 
+@functools.lru_cache(maxsize=2)
+def vocabulary_of(path: str) -> Vocabulary:
+    """One vocabulary per worker process, whatever the number of its tasks."""
+    return Vocabulary(path)
+
+
 def counts_of(vocabulary: Vocabulary, known: dict[str, int], texts: list[str | None]) -> list[int]:
     cut = [vocabulary.pretokens(t or "") for t in texts]
     new = set().union(*(c for c, _ in cut)) - known.keys()
@@ -145,7 +152,7 @@ def count_tokens(docs: DataFrame, vocabulary: str = "byte_bpe_50k.json", limit:
     """(doc_id, n_bytes, n_tokens, over_limit) of every document."""
 
     def make():
-        v, known = Vocabulary(tokenizer_path(vocabulary)), {}
+        v, known = vocabulary_of(tokenizer_path(vocabulary)), {}
 
         def f(ids, texts):
             n = counts_of(v, known, texts)

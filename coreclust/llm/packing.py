@@ -14,6 +14,7 @@ they occur.  An empty table gives no rows.
 
 from __future__ import annotations
 
+import functools
 import zlib
 from collections.abc import Iterator
 
@@ -22,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .bpe import SETTLED, Vocabulary
+from .bpe import SETTLED, vocabulary_of
 from .common import Scratch, map_rows, tokenizer_path
 
 SIZE = 2048
@@ -33,6 +34,12 @@ WIDTH = 6
 PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 
 
+@functools.lru_cache(maxsize=2)
+def encoder(vocabulary: str) -> Encoder:
+    """One encoder per worker process, whatever the number of its tasks."""
+    return Encoder(vocabulary)
+
+
 class Encoder:
     """Token ids as the tokenizers library gives them.
 
@@ -43,7 +50,7 @@ class Encoder:
     def __init__(self, vocabulary: str):
         import tiktoken
 
-        self.v = Vocabulary(tokenizer_path(vocabulary))
+        self.v = vocabulary_of(tokenizer_path(vocabulary))
         self.fast = tiktoken.Encoding("pieces", pat_str=PATTERN, mergeable_ranks=self.v.token_bytes(), special_tokens=self.v.special_ids)
 
     def ids(self, text: str) -> np.ndarray:
@@ -56,7 +63,7 @@ def pieces(docs: DataFrame, vocabulary: str = "byte_bpe_50k.json", size: int = S
     """(doc_id, piece, start, length, ids_crc32): each document's ids, closed and cut."""
 
     def make():
-        enc = Encoder(vocabulary)
+        enc = encoder(vocabulary)
 
         def f(ids, texts):
             out = {"doc_id": [], "piece": [], "start": [], "length": [], "ids_crc32": []}
