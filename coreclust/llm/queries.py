@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, fmindex, langid, minhash, packing, pii, rules, weak
+from . import bpe, fmindex, kneserney, langid, minhash, packing, pii, rules, weak
 from .common import table
 
 
@@ -40,6 +40,12 @@ def op6_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
     return weak.classify(table(spark, sf_dir, "documents"))
 
 
+def op7_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    scores, _ = kneserney.run(docs, ~doc_hash(7).isin(2, -1))
+    return scores.withColumn("held_out", doc_hash(7) == 2)
+
+
 def op8_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     profiles = langid.fit(docs.where(doc_hash(5) != 0))
@@ -53,6 +59,6 @@ def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op1_decontamination, op2_pii, op3_near_duplicates, op4_packing, op5_token_counts, op6_quality_classifier, op8_language_id, op10_quality_rules)
+    f.__name__: f for f in (op1_decontamination, op2_pii, op3_near_duplicates, op4_packing, op5_token_counts, op6_quality_classifier, op7_lm_scoring, op8_language_id, op10_quality_rules)
 }
 ORACLE_SQL: dict[str, str] = {}
