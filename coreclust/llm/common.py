@@ -89,6 +89,27 @@ def map_rows(df: DataFrame, make: Callable[[], Callable[..., dict]], schema: str
     return df.mapInArrow(run, schema)
 
 
+def extend_rows(df: DataFrame, columns: list[str], make: Callable[[], Callable[..., dict]], extra: str) -> DataFrame:
+    """Like `map_rows`, but every column of `df` stays and those of `extra` are added."""
+    from pyspark.sql.pandas.types import to_arrow_schema
+    from pyspark.sql.types import StructType, _parse_datatype_string
+
+    more = _parse_datatype_string(extra)
+    added = to_arrow_schema(more)
+    where = [df.columns.index(c) for c in columns]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        f = make()
+        for batch in batches:
+            for at in range(0, batch.num_rows, SLICE):
+                part = batch.slice(at, SLICE)
+                got = f(*(part.column(k).to_pylist() for k in where))
+                new = [pa.array(got[x.name], x.type) for x in added]
+                yield pa.RecordBatch.from_arrays([*part.columns, *new], [*part.schema.names, *added.names])
+
+    return df.mapInArrow(run, StructType([*df.schema.fields, *more.fields]))
+
+
 def ragged(starts: np.ndarray, lengths: np.ndarray) -> np.ndarray:
     """Positions start, start+1, ... for each (start, length), one after the other."""
     total = int(lengths.sum())

@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import map_rows
+from .common import extend_rows, map_rows
 
 #: Length of a profile.
 TOP = 300
@@ -126,23 +126,29 @@ def profile_matrix(profiles: DataFrame, top: int = TOP) -> tuple[list[str], np.n
     return langs, grams, ranks
 
 
+def _predictor(profiles: DataFrame, top: int):
+    langs, grams, ranks = profile_matrix(profiles, top)
+
+    def one(t: str | None) -> tuple[str, float]:
+        x = _codes(t) if langs else None
+        if x is None:
+            return "und", 0.0
+        keys = ranked(*gram_counts(x), top)
+        at = np.minimum(np.searchsorted(grams, keys), len(grams) - 1)
+        known = grams[at] == keys
+        r = ranks[:, at]
+        cost = np.where(known & (r < top), np.abs(r - np.arange(len(keys))), top).sum(1)
+        best = int(cost.argmin())
+        return langs[best], float(1 - cost[best] / (top * len(keys)))
+
+    return one
+
+
 def identify(docs: DataFrame, profiles: DataFrame, id_col: str = "doc_id", text: str = "text", top: int = TOP) -> DataFrame:
     """(doc_id, lang_pred, score): the nearest profile; score 1 is a perfect match of ranks, 0 nothing in common."""
-    langs, grams, ranks = profile_matrix(profiles, top)
+    one = _predictor(profiles, top)
 
     def make():
-        def one(t: str | None) -> tuple[str, float]:
-            x = _codes(t) if langs else None
-            if x is None:
-                return "und", 0.0
-            keys = ranked(*gram_counts(x), top)
-            at = np.minimum(np.searchsorted(grams, keys), len(grams) - 1)
-            known = grams[at] == keys
-            r = ranks[:, at]
-            cost = np.where(known & (r < top), np.abs(r - np.arange(len(keys))), top).sum(1)
-            best = int(cost.argmin())
-            return langs[best], float(1 - cost[best] / (top * len(keys)))
-
         def f(ids, texts):
             got = [one(t) for t in texts]
             return {"doc_id": ids, "lang_pred": [g[0] for g in got], "score": [g[1] for g in got]}
@@ -150,3 +156,17 @@ def identify(docs: DataFrame, profiles: DataFrame, id_col: str = "doc_id", text:
         return f
 
     return map_rows(docs.select(F.col(id_col).alias("doc_id"), F.col(text).alias("text")), make, "doc_id long, lang_pred string, score double")
+
+
+def annotated(docs: DataFrame, profiles: DataFrame, text: str = "text", top: int = TOP) -> DataFrame:
+    """`docs` with `lang_pred` and `lang_score` added."""
+    one = _predictor(profiles, top)
+
+    def make():
+        def f(texts):
+            got = [one(t) for t in texts]
+            return {"lang_pred": [g[0] for g in got], "lang_score": [g[1] for g in got]}
+
+        return f
+
+    return extend_rows(docs, [text], make, "lang_pred string, lang_score double")

@@ -7,8 +7,8 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, fmindex, kneserney, langid, minhash, packing, pii, rules, weak
-from .common import table
+from . import bpe, fixity, fmindex, kneserney, langid, minhash, packing, pii, rules, weak
+from .common import Scratch, table
 
 
 def doc_hash(modulus: int):
@@ -52,6 +52,13 @@ def op8_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return langid.identify(docs, profiles).select("doc_id", (doc_hash(5) == 0).alias("held_out"), "lang_pred", "score")
 
 
+def op9_warc_fixity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All pages against a replica with stated damage: every 101st body altered, every 211th record lost."""
+    pages = table(spark, sf_dir, "pages")
+    replica = fixity.damaged(pages, {"flipped": F.col("page_id") % 101 == 13, "lost": F.col("page_id") % 211 == 5})
+    return fixity.audit(pages, replica, Scratch(spark, "fixity"))
+
+
 def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     book = rules.ledger(rules.measure(table(spark, sf_dir, "documents")))
     book = rules.apply_policy(book, "v2", "kept")
@@ -59,6 +66,6 @@ def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op1_decontamination, op2_pii, op3_near_duplicates, op4_packing, op5_token_counts, op6_quality_classifier, op7_lm_scoring, op8_language_id, op10_quality_rules)
+    f.__name__: f for f in (op1_decontamination, op2_pii, op3_near_duplicates, op4_packing, op5_token_counts, op6_quality_classifier, op7_lm_scoring, op8_language_id, op9_warc_fixity, op10_quality_rules)
 }
 ORACLE_SQL: dict[str, str] = {}
