@@ -19,7 +19,7 @@ MOST_ROWS = 200_000
 
 
 class CoverPoints:
-    """SELECT * FROM cover_points(TABLE(points) PARTITION BY part, 5, 0.5, 1.0): rows (id, w) of each partition's L1 cover.
+    """SELECT * FROM cover_points(TABLE(points) PARTITION BY (part), 5, 0.5, 1.0): rows (id, w) of each partition's L1 cover.
 
     The input needs columns id and pt (array<bigint>).
     """
