@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from . import bpe, fixity, fmindex, kneserney, langid, minhash, packing, pii, rules, weak
 from .common import Scratch, table
+from .oracles import ORACLE_SQL
 
 
 def doc_hash(modulus: int):
@@ -68,4 +69,5 @@ def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     f.__name__: f for f in (op1_decontamination, op2_pii, op3_near_duplicates, op4_packing, op5_token_counts, op6_quality_classifier, op7_lm_scoring, op8_language_id, op9_warc_fixity, op10_quality_rules)
 }
-ORACLE_SQL: dict[str, str] = {}
+
+__all__ = ["ORACLE_SQL", "QUERIES"]
