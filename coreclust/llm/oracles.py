@@ -2,7 +2,7 @@ r"""SQL counterparts of the corpus queries, for an engine with lists and lambdas
 
 from __future__ import annotations
 
-from .rules import POLICIES, rules
+from .rules import RULES, mask
 
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 #: A word of any characters but ASCII white space.
@@ -66,13 +66,7 @@ select page_id, segment, (sum(strlen(body)) over (partition by segment order by
 
 
 def _rules_sql() -> str:
-    tests = {
-        "few_words": "n_words < 10", "repeated_windows": "100 * n_repeat_words > 20 * n_words", "symbols": "5 * n_symbols > n_words", "duplicate_lines": "10 * n_dup_lines > 3 * n_lines",
-        "short_words": "word_chars < 2 * n_words", "long_words": "word_chars > 50 * n_words", "shouting": "2 * n_upper > n_letters", "stutter": "10 * n_same_next > n_words",
-    }
-    assert list(tests) == list(rules())
-    bits = " + ".join(f"({t})::bigint * {1 << i}" for i, t in enumerate(tests.values()))
-    mask = lambda p: sum(1 << list(tests).index(r) for r in POLICIES[p])
+    bits = " + ".join(f"({t})::bigint * {1 << i}" for i, t in enumerate(RULES.values()))
     return f"""
 with w as (select doc_id, coalesce(text, '') as text, regexp_extract_all(coalesce(text, ''), '{WORD}') as w from documents),
 g as (select doc_id, i, array_to_string(w[i:i + 4], chr(1)) as g from (select doc_id, w, unnest(range(1, len(w) - 3)) as i from w)),

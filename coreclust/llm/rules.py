@@ -11,7 +11,7 @@ word are never duplicates.  Repeated rows get a row each.  Texts are read whole.
 from __future__ import annotations
 
 import numpy as np
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import encode, map_rows
@@ -70,19 +70,17 @@ def measure(docs: DataFrame, id_col: str = "doc_id", text: str = "text") -> Data
 
 
 
-def rules() -> dict[str, Column]:
-    """Rule name to its failure condition, in bit order; new rules go at the end so that stored bits keep their meaning."""
-    c = F.col
-    return {
-        "few_words": c("n_words") < 10,
-        "repeated_windows": 100 * c("n_repeat_words") > 20 * c("n_words"),
-        "symbols": 5 * c("n_symbols") > c("n_words"),
-        "duplicate_lines": 10 * c("n_dup_lines") > 3 * c("n_lines"),
-        "short_words": c("word_chars") < 2 * c("n_words"),
-        "long_words": c("word_chars") > 50 * c("n_words"),
-        "shouting": 2 * c("n_upper") > c("n_letters"),
-        "stutter": 10 * c("n_same_next") > c("n_words"),
-    }
+#: Rule name to its failure condition over the measurements, in bit order; new rules go at the end so that stored bits keep their meaning.
+RULES = {
+    "few_words": "n_words < 10",
+    "repeated_windows": "100 * n_repeat_words > 20 * n_words",
+    "symbols": "5 * n_symbols > n_words",
+    "duplicate_lines": "10 * n_dup_lines > 3 * n_lines",
+    "short_words": "word_chars < 2 * n_words",
+    "long_words": "word_chars > 50 * n_words",
+    "shouting": "2 * n_upper > n_letters",
+    "stutter": "10 * n_same_next > n_words",
+}
 
 
 #: Policy version to the rules it enforces.
@@ -94,13 +92,13 @@ POLICIES = {
 
 
 def mask(policy: str | tuple[str, ...]) -> int:
-    names = list(rules())
+    names = list(RULES)
     return sum(1 << names.index(r) for r in (POLICIES[policy] if isinstance(policy, str) else policy))
 
 
 def ledger(measured: DataFrame) -> DataFrame:
     """The measurements and `failed`: bit i is set when rule i fails."""
-    bits = [F.when(x, F.lit(1 << i)).otherwise(F.lit(0)).cast("long") for i, x in enumerate(rules().values())]
+    bits = [F.when(F.expr(x), F.lit(1 << i)).otherwise(F.lit(0)).cast("long") for i, x in enumerate(RULES.values())]
     total = bits[0]
     for b in bits[1:]:
         total = total.bitwiseOR(b)
@@ -118,7 +116,7 @@ def ablations(book: DataFrame, policy: str) -> DataFrame:
     """
     m = mask(policy)
     patterns = book.select(F.col("failed").bitwiseAND(F.lit(m)).alias("bits")).groupBy("bits").agg(F.count("*").alias("n"))
-    names = [(i, r) for i, r in enumerate(rules()) if m >> i & 1]
+    names = [(i, r) for i, r in enumerate(RULES) if m >> i & 1]
     each = patterns.select("bits", "n", F.explode(F.array(*[F.struct(F.lit(r).alias("rule"), F.lit(1 << i).cast("long").alias("bit")) for i, r in names])).alias("r"))
     total = F.sum(F.when(F.col("bits") != 0, F.col("n")).otherwise(0))
     return each.groupBy("r.rule").agg(
