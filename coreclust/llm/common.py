@@ -4,13 +4,16 @@ from __future__ import annotations
 
 import os
 import tempfile
-import uuid
 from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
+from ..storage import Scratch, shared_dir
+
+__all__ = ["Scratch", "shared_dir"]
+
 #: ASCII A-Z to a-z on UTF-8 bytes; every other byte stays.
 LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
 #: Keeps the bytes of words made of digits, letters a-z and non-ASCII characters; all else becomes a space.
@@ -23,43 +26,6 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or (tests only) a temporary one."""
-    known = spark.conf.get("spark.checkpoint.dir", None)
-    if not known:
-        known = spark.conf.get("coreclust.shared.dir", None)
-    if not known:
-        known = "file://" + tempfile.mkdtemp(prefix="coreclust-")
-        spark.conf.set("coreclust.shared.dir", known)
-    return known.rstrip("/")
-
-
-class Scratch:
-    """Written intermediate tables of one operator run, in the shared folder.
-
-    A written table cuts lineage and outlives a lost executor.  `drop` removes tables that no
-    later step reads; those that the returned DataFrame still reads stay.
-    """
-
-    def __init__(self, spark: SparkSession, tag: str):
-        self.spark = spark
-        self.root = f"{shared_dir(spark)}/{tag}-{uuid.uuid4().hex[:12]}"
-        self.n = 0
-
-    def write(self, df: DataFrame, tag: str) -> DataFrame:
-        self.n += 1
-        path = f"{self.root}/{self.n}-{tag}"
-        df.write.parquet(path)
-        out = self.spark.read.schema(df.schema).parquet(path)
-        out._scratch_path = path
-        return out
-
-    def drop(self, *tables: DataFrame) -> None:
-        for t in tables:
-            path = self.spark._jvm.org.apache.hadoop.fs.Path(t._scratch_path)
-            path.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(path, True)
-
-
 def encode(text: str | None) -> bytes:
     return b"" if text is None else text.encode("utf-8", "surrogatepass")
 
