@@ -158,7 +158,9 @@ class Block:
                 adjusted = np.where(opening, self.own_counts(k), adjusted)
             context = self.index[k][end - 1]
             cols = [adjusted, np.bincount(context, total, n), *(np.bincount(context[x], minlength=n) for x in (total == 1, total == 2, total > 2))]
-        return [*cols, self.own_counts(1)] if k == 1 and k != order else cols
+        if k == 1:
+            cols += [np.zeros(len(cols[0]), np.int64)] * (RAW - len(cols)) + [self.own_counts(1)]
+        return cols
 
     def requests(self, name: str, k: int, cols: list[np.ndarray], shards: int) -> Iterator[dict]:
         keys = self.keys[k]
@@ -229,7 +231,7 @@ def _scored(block: Block, replies: dict[int, list[np.ndarray]], orders: dict[int
     known_words, all_tokens = orders[1].stats[6:8]
     got = replies[1]
     adjusted = (got[ADJUSTED] >> np.uint64(1)).astype(np.int64)
-    raw = got[RAW if len(got) > RAW else ADJUSTED].astype(np.int64)
+    raw = got[RAW].astype(np.int64)
     one = block.index[1][on]
     c = raw[one]
     d, mass = orders[1].discounts(), max(1, orders[1].stats[5])
