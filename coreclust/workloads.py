@@ -282,6 +282,16 @@ def cover_edit_benchmark(s, d):
     return core(C.one_round(parted(benchmark(s, d), 2), spec(4, 8), EDIT))
 
 
+_EMBEDDED = f"select vec_id::bigint as id, {Q.parts('vec_id', 'embeddings')} as part, 1::bigint as w, {{'x': list_transform(embedding, lambda x: round(x::double * 10000)::bigint)}} as v from embeddings"
+
+
+@query(Q.core(Q.one_round(_EMBEDDED, "list_sum(list_transform(list_zip({a}.x, {b}.x), lambda z: (z[1] - z[2]) * (z[1] - z[2])))::bigint", 20, p=2)))
+def cover_embeddings(s, d):
+    """The case without compression: 64 dimensions, all distances alike, so the cover keeps (nearly) every point."""
+    pts = points(table(s, d, "embeddings"), "vec_id", F.transform("embedding", lambda x: F.round(x.cast("double") * 10000).cast("long")))
+    return core(C.one_round(parted(pts), spec(10, 20, objective="means"), SQ))
+
+
 @query()
 def cover_jaccard_documents(s, d):
     pts = documents(s, d)
@@ -583,17 +593,15 @@ def ablation_part(s, d):
 
 @query()
 def scaling_orders(s, d):
-    """(n, parts, max_rows, n_core): the largest task's rows as the input grows, parts balanced."""
+    """(parts, round, max_rows, sum_rows) over all orders, from too few parts over the balanced number to too many."""
     from .plans.resolve import resolve
 
-    every, out = orders(s, d), None
-    n = every.count()
-    for share in (16, 4, 1):
-        sub = every.where(F.pmod(F.xxhash64("id"), F.lit(share)) == 0) if share > 1 else every
-        plan = resolve(max(1, n // share), spec(10, 20), rounds=2)
-        pts = by_modulo(sub, plan.parts)
-        first = C.one_round(pts, spec(10, 20), L1)
-        row = M.memory(first, C.two_round(pts, spec(10, 20), L1, first=first)).agg(F.max("max_rows").alias("max_rows")).select(F.lit(n // share).alias("n"), F.lit(plan.parts).alias("parts"), "max_rows")
+    pts, out = orders(s, d), None
+    balanced = resolve(pts.count(), spec(10, 20), rounds=2).parts
+    for n in sorted({max(1, balanced // 2), balanced, 2 * balanced, 4 * balanced}):
+        cut = by_modulo(pts, n)
+        first = C.one_round(cut, spec(10, 20), L1)
+        row = M.memory(first, C.two_round(cut, spec(10, 20), L1, first=first)).select(F.lit(n).alias("parts"), "*")
         out = row if out is None else out.unionByName(row)
     return out
 
@@ -670,6 +678,26 @@ def day_running_events(s, d):
     return t.withColumn("running_n", F.sum("n").over(Window.orderBy("day").rowsBetween(Window.unboundedPreceding, 0)))
 
 
+_TYPES = ["click", "purchase", "view"]
+
+
+@query("select ts::date as day, count(*) filter (event_type = 'click') as click, count(*) filter (event_type = 'purchase') as purchase, count(*) filter (event_type = 'view') as view from events group by 1")
+def pivot_events(s, d):
+    t = table(s, d, "events").groupBy(F.col("ts").cast("date").alias("day")).pivot("event_type", _TYPES).count()
+    return t.na.fill(0)
+
+
+@query("select p.event_id, count(e.event_id) as n from events p left join events e on e.user_id = p.user_id and e.ts > p.ts and e.ts <= p.ts + interval 6 hour where p.event_type = 'purchase' group by p.event_id")
+def interval_events(s, d):
+    """Events of the same user within six hours of each purchase: an equi-join on six-hour buckets, then the exact range."""
+    e = table(s, d, "events").select("event_id", "user_id", "ts", "event_type", F.floor(F.unix_timestamp(F.col("ts").cast("timestamp")) / 21600).alias("b"))
+    p = e.where("event_type = 'purchase'").select(F.col("event_id").alias("p_id"), "user_id", F.col("ts").alias("p_ts"), F.explode(F.array(F.col("b"), F.col("b") + 1)).alias("b"))
+    near = p.join(e.select("user_id", "b", "ts"), ["user_id", "b"]).where((F.col("ts") > F.col("p_ts")) & (F.col("ts") <= F.col("p_ts") + F.expr("interval 6 hours")))
+    n = near.groupBy("p_id").agg(F.count("*").alias("n"))
+    every = e.where("event_type = 'purchase'").select(F.col("event_id").alias("p_id"))
+    return every.join(n, "p_id", "left").select(F.col("p_id").alias("event_id"), F.coalesce("n", F.lit(0)).alias("n"))
+
+
 @query("select event_type, round(median(value), 6) as q50 from events group by event_type")
 def quantiles_events(s, d):
     return table(s, d, "events").groupBy("event_type").agg(F.round(F.median("value"), 6).alias("q50"))
