@@ -8,6 +8,14 @@ from pyspark.sql import functions as F
 from .common import Scratch
 
 ROUNDS = 60
+#: Pieces into which a node's neighbourhood is dealt for the joins, so that no hub's edges meet in one task.
+SALTS = 8
+
+
+def _with_least(e: DataFrame) -> DataFrame:
+    """Edges (u, v) with the smallest neighbour `m` of u."""
+    least = e.groupBy("u").agg(F.min("v").alias("m")).withColumn("s", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+    return e.withColumn("s", F.pmod(F.hash("v"), F.lit(SALTS))).join(least, ["u", "s"]).select("u", "v", "m")
 
 
 def components(edges: DataFrame, scratch: Scratch) -> DataFrame:
@@ -21,10 +29,8 @@ def components(edges: DataFrame, scratch: Scratch) -> DataFrame:
     e, before = scratch.write(e, "edges"), None
     for _ in range(ROUNDS):
         both = e.unionByName(e.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-        large = both.join(least, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
-        least = large.groupBy("u").agg(F.min("v").alias("m"))
-        small = large.join(least, "u").select(F.explode(F.array(F.struct("u", F.col("m").alias("v")), F.struct(F.col("v").alias("u"), F.col("m").alias("v")))).alias("x")).select("x.u", "x.v").where("u <> v").distinct()
+        large = _with_least(both).where("v > u").select(F.col("v").alias("u"), F.least("u", "m").alias("v")).distinct()
+        small = _with_least(large).select(F.explode(F.array(F.struct("u", F.col("m").alias("v")), F.struct(F.col("v").alias("u"), F.col("m").alias("v")))).alias("x")).select("x.u", "x.v").where("u <> v").distinct()
         after, old = scratch.write(small, "edges"), e
         e = after
         now = e.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(20,0)"))).first()
