@@ -7,7 +7,6 @@ from fractions import Fraction
 import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
-from pyspark.sql import functions as F
 from pyspark.sql.functions import udtf
 
 from ..operators.cover import ball_cover
@@ -62,8 +61,3 @@ def register(spark: SparkSession) -> None:
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION l1_distance(a ARRAY<DOUBLE>, b ARRAY<DOUBLE>) RETURNS DOUBLE RETURN aggregate(zip_with(a, b, (x, y) -> abs(x - y)), 0D, (s, x) -> s + x)")
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION squared_distance(a ARRAY<DOUBLE>, b ARRAY<DOUBLE>) RETURNS DOUBLE RETURN aggregate(zip_with(a, b, (x, y) -> (x - y) * (x - y)), 0D, (s, x) -> s + x)")
     spark.udf.register("weighted_cost", pandas_udf(weighted_medoid_cost, "double"))
-
-
-def jaccard_sql(a: str, b: str):
-    union = F.size(F.array_union(a, b))
-    return F.when(union == 0, 0.0).otherwise(1 - F.size(F.array_intersect(a, b)) / union)

@@ -1,5 +1,10 @@
 from __future__ import annotations
 
+import shutil
+import subprocess
+import sys
+from pathlib import Path
+
 import numpy as np
 from pyspark.sql import functions as F
 
@@ -136,3 +141,12 @@ def test_merge_tree_keeps_weight_and_error():
     for k in range(20):
         tree.add([(k * 40 + i, [(k * 37 + i * 11) % 500], 1) for i in range(40)])
     assert sum(r[2] for r in tree.rows()) == 800 and len(tree.rows()) < 800 and tree.error() < 1
+
+
+def test_entry_without_the_corpus_operators(tmp_path):
+    root = Path(__file__).resolve().parent.parent
+    shutil.copytree(root, tmp_path / "repo", ignore=shutil.ignore_patterns("llm", "corpus_pipeline.py", ".git", "__pycache__"))
+    code = "import __spark_entry__ as e; q = e.queries(); print(len(q), any(k.startswith('op') or k == 'pipeline' for k in q), set(e.oracle_sql()) <= set(q))"
+    got = subprocess.run([sys.executable, "-c", code], cwd=tmp_path / "repo", capture_output=True, text=True, env={"PATH": "/usr/bin:/bin", "PYTHONPATH": str(tmp_path / "repo")})
+    n, found, covered = got.stdout.split()
+    assert int(n) >= 70 and found == "False" and covered == "True", got.stderr
