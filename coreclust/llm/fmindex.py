@@ -26,7 +26,7 @@ from pyspark.sql import functions as F
 from .common import ALNUM_WORDS, encode, map_rows, ragged, slices
 
 SHARD_WORDS = 1_000_000
-BLOCK_WORDS = 20_000_000
+BLOCK_WORDS = 500_000
 #: Every so many text positions the suffix array is kept.
 SAMPLE = 8
 
