@@ -10,6 +10,7 @@ from collections.abc import Sequence
 from dataclasses import dataclass, field
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -34,6 +35,10 @@ class Metric:
         """Payloads as the object that `one` reads."""
         raise NotImplementedError
 
+    def joined(self, column: pa.Array, more: Sequence = ()):
+        """`load` of an Arrow column with further payloads behind it."""
+        return self.load([*column.to_pylist(), *more])
+
     def distances(self, data, i: int, at: np.ndarray) -> np.ndarray:
         raise NotImplementedError
 
@@ -60,7 +65,16 @@ class _Vector(Metric):
 
     def load(self, payload: Sequence) -> np.ndarray:
         x = np.array(payload, np.int64 if self.exact else np.float64)
-        return x.reshape(len(payload), -1)
+        return self.prepared(x.reshape(len(payload), -1))
+
+    def prepared(self, x: np.ndarray) -> np.ndarray:
+        return x
+
+    def joined(self, column: pa.Array, more: Sequence = ()) -> np.ndarray:
+        """The column's values without a detour over Python objects."""
+        x = column.flatten().to_numpy(zero_copy_only=False).astype(np.int64 if self.exact else np.float64, copy=False)
+        x = self.prepared(x.reshape(len(column), -1)) if len(column) else self.load([])
+        return np.concatenate((x, self.load(more))) if len(more) and len(column) else self.load(more) if len(more) else x
 
 
 @dataclass
@@ -126,8 +140,7 @@ class Angular(_Vector):
         cos = dot(a, b) / F.sqrt(dot(a, a) * dot(b, b))
         return F.acos(F.greatest(F.lit(-1.0), F.least(F.lit(1.0), cos))) / F.lit(float(np.pi))
 
-    def load(self, payload: Sequence) -> np.ndarray:
-        x = super().load(payload)
+    def prepared(self, x: np.ndarray) -> np.ndarray:
         return x / np.sqrt((x * x).sum(1, keepdims=True))
 
     def distances(self, data: np.ndarray, i: int, at: np.ndarray) -> np.ndarray:

@@ -36,7 +36,7 @@ def assign(points: DataFrame, centers: DataFrame | list, metric: Metric, p: int
         ids = np.array([r[0] for r in rows], np.int64)
         for b in batches:
             n = b.num_rows
-            data = metric.load(b.column(1).to_pylist() + [x for _, x in rows])
+            data = metric.joined(b.column(1), [x for _, x in rows])
             d, who = metric.nearest(data, np.arange(n, n + len(rows)), np.arange(n), p)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(ids[who]), pa.array(d.astype(np.int64) if metric.exact else d.astype(float)), *b.columns[2:]], ["id", "center_id", "d", *keep])
 

@@ -26,13 +26,13 @@ def local_centers(parted: DataFrame, spec: ClusterSpec, metric: Metric) -> DataF
 
     def run(key, t):
         ids, payload, w = _opened(t.select(["id", "pt", "w"]))
-        data = metric.load(payload)
+        data = metric.joined(payload)
         picks, _ = SEEDERS[spec.seeder](metric, data, w, spec.m, spec.p, _rng(spec, key[0].as_py()), **spec.options)
         picks = np.sort(picks)
         _, who = metric.nearest(data, picks, np.arange(len(ids)), spec.p)
         mass = np.bincount(who, w, len(picks)).astype(np.int64)
         keep = np.flatnonzero(mass)
-        return pa.table({"part": pa.array([key[0].as_py()] * len(keep), pa.int32()), "id": ids[picks[keep]], "pt": pa.array([payload[picks[x]] for x in keep], t.schema.field("pt").type), "w": mass[keep]})
+        return pa.table({"part": pa.array([key[0].as_py()] * len(keep), pa.int32()), "id": ids[picks[keep]], "pt": payload.take(pa.array(picks[keep])), "w": mass[keep]})
 
     return parted.select("part", "id", "pt", "w").groupBy("part").applyInArrow(run, f"part int, id long, pt {kind}, w long")
 
@@ -77,7 +77,7 @@ def farthest_on_parts(parted: DataFrame, spec: ClusterSpec, metric: Metric) -> D
 
     def run(key, t):
         ids, payload, w = _opened(t.select(["id", "pt", "w"]))
-        picks, _ = farthest(metric, metric.load(payload), w, spec.m, spec.p, None)
+        picks, _ = farthest(metric, metric.joined(payload), w, spec.m, spec.p, None)
         return pa.table({"part": pa.array([key[0].as_py()] * len(picks), pa.int32()), "rank": pa.array(range(len(picks)), pa.int32()), "id": ids[picks]})
 
     return parted.select("part", "id", "pt", "w").groupBy("part").applyInArrow(run, "part int, rank int, id long")

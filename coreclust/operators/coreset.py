@@ -60,15 +60,16 @@ def _rng(spec: ClusterSpec, part: int) -> np.random.Generator:
     return np.random.default_rng([spec.seed & 0x7FFFFFFF, part & 0x7FFFFFFF])
 
 
-def _opened(t: pa.Table):
+def _opened(t: pa.Table) -> tuple[np.ndarray, pa.Array, np.ndarray]:
     t = t.sort_by("id")
-    return np.array(t.column("id").to_pylist(), np.int64), t.column("pt").to_pylist(), np.array(t.column("w").to_pylist(), np.int64)
+    chunks = t.column("pt").chunks
+    return t.column("id").to_numpy(), pa.concat_arrays(chunks) if chunks else pa.array([], t.schema.field("pt").type), t.column("w").to_numpy()
 
 
 def _emit(rows: _Rows, part: int, ids, payload, w, cover, p: int, mapping: bool) -> None:
     weight = np.bincount(np.searchsorted(cover.pivots[np.argsort(cover.pivots)], cover.tau), w, len(cover.pivots)).astype(np.int64) if len(ids) else []
     for k, x in zip(np.sort(cover.pivots), weight, strict=True):
-        rows.add(part=part, kind="core", id=int(ids[k]), pt=payload[k], w=int(x))
+        rows.add(part=part, kind="core", id=int(ids[k]), pt=payload[int(k)].as_py(), w=int(x))
     if mapping:
         for q in range(len(ids)):
             rows.add(part=part, kind="map", id=int(ids[q]), tau_id=int(ids[cover.tau[q]]), w=int(w[q]), d=rows.number(cover.d[q]))
@@ -78,13 +79,13 @@ def first_round(t: pa.Table, part: int, metric: Metric, spec: ClusterSpec, schem
     """Seeds, tolerance and cover of one part."""
     rows = _Rows(schema, metric.exact)
     ids, payload, w = _opened(t)
-    data, rng = metric.load(payload), _rng(spec, part)
+    data, rng = metric.joined(payload), _rng(spec, part)
     picks, d = SEEDERS[spec.seeder](metric, data, w, spec.m, spec.p, rng, **spec.options)
     cost = sum(int(a) * int(b) for a, b in zip(w, d, strict=True)) if metric.exact else float((w * d).sum())
     n = int(w.sum())
     cover = ball_cover(metric, data, d, cost, n, spec.eps, spec.beta, spec.p, spec.order, rng, spec.floor, spec.prune)
     for k in picks:
-        rows.add(part=part, kind="seed", id=int(ids[k]), pt=payload[k])
+        rows.add(part=part, kind="seed", id=int(ids[k]), pt=payload[int(k)].as_py())
     _emit(rows, part, ids, payload, w, cover, spec.p, mapping)
     rows.add(part=part, kind="stat", n=len(ids), w_sum=n, cost=rows.number(cost), n_seed=len(picks), n_dist=cover.n_dist + len(picks) * len(ids), w=len(cover.pivots))
     return rows.table()
@@ -100,7 +101,7 @@ def second_round(t: pa.Table, part: int, metric: Metric, spec: ClusterSpec, sche
     rows = _Rows(schema, metric.exact)
     ids, payload, w = _opened(t)
     n, rng = len(ids), _rng(spec, part)
-    data = metric.load(payload + union["pt"])
+    data = metric.joined(payload, union["pt"])
     own = np.flatnonzero(union["part"] == part)
     every = np.arange(n)
     d, _ = metric.nearest(data, own + n, every, spec.p)

@@ -63,7 +63,7 @@ def solution_costs(points: DataFrame, solutions: list[list], metric: Metric, p:
         out = np.zeros(len(table))
         for b in batches:
             n, w = b.num_rows, np.array(b.column(1).to_pylist(), float)
-            data = metric.load(b.column(0).to_pylist() + flat)
+            data = metric.joined(b.column(0), flat)
             d = np.stack([metric.one(data, n + c, np.arange(n), p) for c in range(len(flat))]).astype(float)
             for at in range(0, len(table), 4096):
                 out[at : at + 4096] += np.einsum("sn,n->s", d[table[at : at + 4096]].min(1), w)

@@ -14,7 +14,7 @@ from ..functions.metrics import Metric
 from ..schema import CoreclustError
 
 #: Rows of an instance that one task may solve: distances are quadratic in it.
-MOST_ROWS = 20_000
+MOST_ROWS = 4_000
 MOST_SUBSETS = 2_000_000
 
 
@@ -238,16 +238,14 @@ def local_search_distributed(rows: DataFrame, k: int, metric: Metric, p: int, pa
             stay = 0.0
             for b in batches:
                 n, w = b.num_rows, np.array(b.column(1).to_pylist(), float)
-                data = metric.load(b.column(0).to_pylist() + [p for _, p in centers] + [p for _, p in block])
+                data = metric.joined(b.column(0), [p for _, p in centers] + [p for _, p in block])
                 every = np.arange(n)
                 dc = np.stack([metric.one(data, n + c, every, p) for c in range(len(centers))]).astype(float)
-                near = dc.argmin(0)
                 stay += float((dc.min(0) * w).sum())
                 rest = np.stack([np.delete(dc, c, 0).min(0) if len(centers) > 1 else np.full(n, np.inf) for c in range(len(centers))])
                 for x in range(len(block)):
                     d = metric.one(data, n + len(centers) + x, every, p).astype(float)
                     total[x] += (np.minimum(rest, d) * w).sum(1)
-                del near
             rows_out = [(x, c, float(total[x, c])) for x in range(len(block)) for c in range(len(centers))] + [(-1, -1, stay)]
             yield pa.RecordBatch.from_pydict({k: pa.array(v) for k, v in zip(("x", "c", "v"), zip(*rows_out, strict=True), strict=True)})
 
