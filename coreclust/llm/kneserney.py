@@ -37,7 +37,7 @@ from pyspark.sql import functions as F
 
 from .common import LOWER, Scratch, encode, ensure_file_dir, slices
 
-BLOCK_TOKENS, SHARD_TOKENS = 600_000, 600_000
+BLOCK_TOKENS, SHARD_TOKENS = 600_000, 300_000
 START, END = np.uint64(0x5354415254), np.uint64(0x454E44)
 ODD = np.uint64(0x9E3779B97F4A7C15)
 #: Payload columns: adjusted count; then, as context of the next order: total, and continuations seen 1, 2, 3 or more times; raw count.
