@@ -161,7 +161,7 @@ def train_scorer(rows: list[tuple[np.ndarray, np.ndarray, float]], epochs: int =
 
 
 def classify(docs: DataFrame, id_col: str = "doc_id", text: str = "text", sample: int = SAMPLE) -> DataFrame:
-    """(doc_id, posterior, score, keep) of every document: the label model's and the scorer's chance of good quality."""
+    """(doc_id, posterior, score, kept) of every document: the label model's and the scorer's chance of good quality."""
     counts = {r["pattern"]: r["n"] for r in votes(docs, id_col, text).groupBy("pattern").agg(F.count("*").alias("n")).collect()}  # at most 3 to the number of labellers rows
     model = LabelModel(counts, len(labellers()))
     total = max(1, sum(counts.values()))
@@ -186,4 +186,4 @@ def classify(docs: DataFrame, id_col: str = "doc_id", text: str = "text", sample
     scored = map_rows(docs.select(F.col(id_col).alias("doc_id"), F.col(text).alias("text")), make, VOTED + ", score double").select("doc_id", _pattern(), "score")
     table = F.from_json(F.lit(json.dumps({str(k): v for k, v in posterior.items()})), "map<string,double>")
     scored = scored.select("doc_id", F.element_at(table, F.col("pattern").cast("string")).alias("posterior"), "score")
-    return scored.select("doc_id", "posterior", "score", ((F.col("score") + F.col("posterior")) / 2 >= KEEP).alias("keep"))
+    return scored.select("doc_id", "posterior", "score", ((F.col("score") + F.col("posterior")) / 2 >= KEEP).alias("kept"))
