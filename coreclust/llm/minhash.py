@@ -35,7 +35,7 @@ WALK = 4096
 #: Estimated similarity to a bucket's centre below which the bucket met by chance; real neighbours share a dozen bands.
 CHANCE = 0.4
 #: Documents and shingles of a block, hubs of a cluster, queries in a group.
-BLOCK, BLOCK_SHINGLES, HUBS, QUERIES = 256, 1_000_000, 32, 512
+BLOCK, BLOCK_SHINGLES, HUBS, QUERIES = 128, 1_000_000, 16, 128
 ODD = (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F)
 
 
