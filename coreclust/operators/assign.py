@@ -70,18 +70,43 @@ def profile(assigned: DataFrame, centers: DataFrame | None = None) -> DataFrame:
     return centers.select("center_id").join(out, "center_id", "left").na.fill(zero)
 
 
+def _line_separation(points: DataFrame, number: str) -> DataFrame:
+    """Least gap of sorted values: range-partitioned, so only each partition's ends meet on the driver."""
+    x = points.select(F.col("pt")[0].cast(number).alias("x"))
+    parts = int(points.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+
+    def run(batches):
+        first, last, gap = None, None, None
+        for b in batches:
+            v = b.column(0).to_numpy()
+            if len(v):
+                d = np.diff(v if last is None else np.concatenate(([last], v)))
+                first, last = v[0] if first is None else first, v[-1]
+                gap = min([gap, *d.min(keepdims=True)] if gap is not None else d.min(keepdims=True)) if len(d) else gap
+        if first is not None:
+            yield pa.RecordBatch.from_pydict({"lo": pa.array([first]), "hi": pa.array([last]), "gap": pa.array([gap], pa.int64() if number == "long" else pa.float64())})
+
+    ends = sorted((r["lo"], r["hi"], r["gap"]) for r in x.repartitionByRange(parts, "x").sortWithinPartitions("x").mapInArrow(run, f"lo {number}, hi {number}, gap {number}").collect())
+    gaps = [g for *_, g in ends if g is not None] + [b[0] - a[1] for a, b in zip(ends, ends[1:], strict=False)]
+    return points.sparkSession.createDataFrame([(min(gaps) if gaps else None,)], f"min_d {number}")
+
+
 def separation(points: DataFrame, metric: Metric, block: int = 2_000) -> DataFrame:
     """(min_d): the least distance between two different points.
 
-    Vectors on a line only need neighbours in order.  In general every block of points meets the
-    blocks from its own on, one Arrow task per pair of blocks; no pair is emitted.
+    On a line it is the least gap between neighbours in order.  In general every block of points
+    meets the blocks from its own on, one Arrow task per pair of blocks; no pair is emitted.
     """
+    number = "long" if metric.exact else "double"
+    if metric.name in ("lp", "euclidean") and not (metric.name == "euclidean" and metric.exact):
+        first = points.select(F.size("pt").alias("n")).first()
+        if first is not None and first["n"] == 1:
+            return _line_separation(points, number)
     n = points.count()
     blocks = max(1, -(-n // block))
     keyed = points.select("id", "pt").withColumn("b", F.pmod(F.xxhash64("id"), F.lit(blocks)).cast("int"))
     left = keyed.withColumn("c", F.explode(F.sequence(F.col("b"), F.lit(blocks - 1)))).select(F.col("b").alias("i"), F.col("c").alias("j"), F.lit(0).alias("side"), "id", "pt")
     right = keyed.where("b > 0").withColumn("c", F.explode(F.sequence(F.lit(0), F.col("b") - 1))).select(F.col("c").alias("i"), F.col("b").alias("j"), F.lit(1).alias("side"), "id", "pt")
-    number = "long" if metric.exact else "double"
 
     def run(t: pa.Table) -> pa.Table:
         side = np.array(t.column("side").to_pylist())

@@ -86,6 +86,9 @@ def test_separation_ball_and_dimension(spark):
     assert A.separation(pts, X.lp(1), block=64).first()["min_d"] == want
     assert A.is_separated(pts, want - 1, X.lp(1)) and not A.is_separated(pts, want, X.lp(1))
     assert A.ball(pts, [int(xs[0])], 1000, X.lp(1)).count() == (abs(xs - xs[0]) <= 1000).sum()
+    flat = pts.withColumn("pt", F.array(F.col("pt")[0], F.lit(0)))
+    assert A.separation(flat, X.lp(1), block=64).first()["min_d"] == want
+    assert A.separation(pts.limit(1), X.lp(1)).first()["min_d"] is None and A.separation(pts.union(pts), X.lp(1)).first()["min_d"] == 0
     dims = A.doubling_dimension(pts, X.lp(1)).collect()
     assert all(0 <= r["d_hat"] <= 3 for r in dims)
 
