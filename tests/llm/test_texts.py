@@ -208,6 +208,15 @@ def test_counts_and_ids_equal_the_library(library, texts):
     assert [enc.ids(t).tolist() for t in texts] == want
 
 
+def test_every_character_of_the_fast_path(library):
+    """Settled scripts go past the library: each of their characters, between letters, digits and spaces, gives the same ids."""
+    v, enc = bpe.vocabulary_of(tokenizer_path("byte_bpe_50k.json")), packing.encoder("byte_bpe_50k.json")
+    for c in map(chr, [*range(0x250), *range(0x2010, 0x2028), 0x3000, 0x2028, 0x200B, 0xFEFF, 0x1F600]):
+        for t in (f"a{c}{c}b 1{c}2 {c} x", f" {c}{c} ", f"it{c}s '{c}ll  {c}", f"\n{c}\n\n{c} {c}y"):
+            want = library.encode(t, add_special_tokens=False).ids
+            assert enc.ids(t).tolist() == want and bpe.counts_of(v, {}, [t]) == [len(want)], repr(t)
+
+
 def test_long_and_repetitive_words(library):
     texts = ["a" * 3000, "ab" * 2000, "é" * 999, "<|endoftext|>" * 5, " " * 700 + "x", "abcdefghij" * 300]
     v = bpe.vocabulary_of(tokenizer_path("byte_bpe_50k.json"))
