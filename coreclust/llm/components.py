@@ -13,9 +13,13 @@ SALTS = 8
 
 
 def _with_least(e: DataFrame) -> DataFrame:
-    """Edges (u, v) with the smallest neighbour `m` of u."""
+    """Edges (u, v) with the smallest neighbour `m` of u.
+
+    The hint keeps the join a merge join: the repeated rows compress so well that they would
+    pass for small enough to broadcast.
+    """
     least = e.groupBy("u").agg(F.min("v").alias("m")).withColumn("s", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
-    return e.withColumn("s", F.pmod(F.hash("v"), F.lit(SALTS))).join(least, ["u", "s"]).select("u", "v", "m")
+    return e.withColumn("s", F.pmod(F.hash("v"), F.lit(SALTS))).join(least.hint("merge"), ["u", "s"]).select("u", "v", "m")
 
 
 def components(edges: DataFrame, scratch: Scratch) -> DataFrame:
