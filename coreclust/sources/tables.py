@@ -14,6 +14,17 @@ def table(spark: SparkSession, folder: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{folder}/{name}.parquet")
 
 
+#: Bytes below which a table in fewer files than cores is worth dealing out.
+SMALL = 1 << 30
+
+
+def spread(df: DataFrame) -> DataFrame:
+    """A small table in a few files, dealt over all cores; a file of one row group is one task otherwise.  Larger tables stay as they are."""
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    small = int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())) < SMALL
+    return df.repartition(cores) if small and len(df.inputFiles()) < cores else df
+
+
 def read(spark: SparkSession, path: str, fmt: str = "parquet", schema: str | None = None, columns: list[str] | None = None, where: str | None = None) -> DataFrame:
     """A source with only the columns and rows asked for; text formats need their schema stated."""
     if fmt in ("csv", "json") and schema is None:
