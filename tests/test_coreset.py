@@ -321,3 +321,65 @@ def test_subset_optimum_factor():
 def test_hash_parts_keep_all_rows(spark):
     pts = line(spark, range(50)).drop("part")
     assert by_hash(pts, 4).count() == 50
+
+
+def test_second_round_shortcut_changes_nothing(spark):
+    """Skipping the union where the part's own cover is near enough gives the cover of the plain rule."""
+    rng = np.random.default_rng(18)
+    xs = np.concatenate((rng.integers(0, 500, 150), rng.integers(10**5, 10**5 + 10**4, 30)))
+    pts, spec = line(spark, xs, parts=3), ClusterSpec(3, m=4)
+    first = C.one_round(pts, spec, L1)
+    got = {(r["part"], r["id"]): r["w"] for r in C.two_round(pts, spec, L1, first=first).rows.collect()}
+    union = np.array([r["pt"][0] for r in first.rows.collect()])
+    num, den = C.tolerance(first)
+    for part in range(3):
+        ids = np.flatnonzero(np.arange(len(xs)) % 3 == part)
+        x = xs[ids]
+        d = np.abs(x[:, None] - union[None]).min(1)
+        c = ball_cover(L1, L1.load(x[:, None].tolist()), d, num, den, spec.eps, spec.beta)
+        want = {(part, int(ids[k])): int((c.tau == k).sum()) for k in c.pivots}
+        assert want == {k: w for k, w in got.items() if k[0] == part}
+
+
+def test_pruned_rounds_equal_plain_ones_with_fewer_distances(spark):
+    rng = np.random.default_rng(19)
+    rows = [(i, [int(a), int(b)], 1) for i, (a, b) in enumerate(rng.integers(0, 3000, (400, 2)))]
+    pts = by_modulo(spark.createDataFrame(rows, "id long, pt array<bigint>, w long"), 2)
+    out = []
+    for prune in (False, True):
+        cs = C.two_round(pts, ClusterSpec(4, m=8, prune=prune), L1)
+        out.append((sorted((r["part"], r["id"], r["w"]) for r in cs.rows.collect()), cs.stats.agg(F.sum("n_dist")).first()[0]))
+    assert out[0][0] == out[1][0] and out[1][1] < out[0][1]
+
+
+def test_memory_by_round(spark):
+    pts = line(spark, range(0, 4000, 7), parts=4)
+    first = C.one_round(pts, ClusterSpec(3), L1)
+    second = C.two_round(pts, ClusterSpec(3), L1, first=first)
+    m = {r["round"]: r for r in M.memory(first, second).collect()}
+    n, c = 572, first.rows.count()
+    assert m[1]["sum_rows"] == n and m[2]["sum_rows"] == n + 4 * c and m[3]["max_rows"] == second.rows.count()
+    assert m[1]["max_rows"] == 143 + 3
+    # more parts, smaller first-round tasks
+    many = C.one_round(by_modulo(pts.drop("part"), 16), ClusterSpec(3), L1)
+    assert M.memory(many, many).where("round = 1").first()["max_rows"] < m[1]["max_rows"]
+
+
+def test_empty_input_gives_empty_output(spark):
+    pts = line(spark, [1, 2]).where("id > 9")
+    cs = C.one_round(pts, ClusterSpec(2), L1)
+    assert cs.rows.count() == 0 and C.tolerance(cs) == (0, 1)
+    with pytest.raises(CoreclustError):
+        C.reduce_again(cs, ClusterSpec(2), L1, 10)
+
+
+def test_angular_and_mixed_payloads_in_a_round(spark):
+    from coreclust.functions.metrics import Angular, Mix
+
+    rng = np.random.default_rng(20)
+    v = spark.createDataFrame([(i, [float(a), float(b)], 1, 0) for i, (a, b) in enumerate(rng.normal(size=(60, 2)))], "id long, pt array<double>, w long, part int")
+    assert C.one_round(v, ClusterSpec(3), Angular()).rows.agg(F.sum("w")).first()[0] == 60
+    mixed = spark.createDataFrame([(i, ([i], ["a" if i % 2 else "b"]), 1, 0) for i in range(20)], "id long, pt struct<x:array<bigint>,c:array<string>>, w long, part int")
+    metric = Mix([(1, "x", L1), (5, "c", Hamming())])
+    cs = C.two_round(mixed, ClusterSpec(2), metric)
+    assert cs.rows.agg(F.sum("w")).first()[0] == 20
