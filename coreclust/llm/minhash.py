@@ -191,24 +191,39 @@ def settled(rows: DataFrame, groups: int) -> DataFrame:
     return cells.groupBy("cell").applyInArrow(_settle, "a long, b long")
 
 
-def cluster_sets(docs: DataFrame, nodes: DataFrame, reps: DataFrame, width: int, id_col: str, text: str) -> DataFrame:
-    """(cluster, rep, n, hashes) of clustered representatives, their sets made anew from the texts."""
-    wanted = nodes.join(reps.select(F.col("rep").alias("node"), "set_key"), "node").select(F.col("node").alias("rep"), F.col("component").alias("cluster"), "set_key")
-    texts = docs.select(F.col(id_col).alias("rep"), F.col(text).alias("text")).join(wanted, "rep").select("rep", "cluster", "set_key", "text")
+def clustered(nodes: DataFrame, reps: DataFrame, scratch: Scratch, block: int) -> DataFrame:
+    """(rep, cluster, set_key, n, blocks) of clustered representatives: blocks of bounded documents and shingles, known before any text is read."""
+    rows = scratch.write(nodes.join(reps.select(F.col("rep").alias("node"), "set_key", "n"), "node").select(F.col("node").alias("rep"), F.col("component").alias("cluster"), "set_key", "n"), "wanted")
+    blocks = F.greatest(F.ceil(F.count("*") / block), F.ceil(F.sum("n") / BLOCK_SHINGLES)).cast("int")
+    return scratch.write(rows.join(scratch.write(rows.groupBy("cluster").agg(blocks.alias("blocks")), "blocks"), "cluster"), "wanted")
+
+
+def cluster_sets(docs: DataFrame, wanted: DataFrame, width: int, id_col: str, text: str) -> DataFrame:
+    """(cluster, blocks, rep, hashes): the sets of clustered representatives, made anew from the texts."""
+    texts = docs.select(F.col(id_col).alias("rep"), F.col(text).alias("text")).join(wanted, "rep").select("rep", "cluster", "blocks", "set_key", "text")
 
     def make():
-        def f(ids, clusters, keys, texts):
-            out = {"cluster": [], "rep": [], "n": [], "hashes": []}
-            for i, c, k, t in zip(ids, clusters, keys, texts, strict=True):
+        def f(ids, clusters, blocks, keys, texts):
+            out = {"cluster": [], "blocks": [], "rep": [], "hashes": []}
+            for i, c, m, k, t in zip(ids, clusters, blocks, keys, texts, strict=True):
                 s = shingles(t, width)
                 if xxhash.xxh3_128_digest(s.tobytes()) == k:
-                    for name, value in zip(out, (c, i, len(s), s.tobytes()), strict=True):
+                    for name, value in zip(out, (c, m, i, s.tobytes()), strict=True):
                         out[name].append(value)
             return out
 
         return f
 
-    return map_rows(texts, make, "cluster long, rep long, n long, hashes binary")
+    return map_rows(texts, make, "cluster long, blocks int, rep long, hashes binary")
+
+
+def _hubs(wanted: DataFrame) -> DataFrame:
+    """(cluster, rep): some members of each cluster of several blocks, drawn by hash in two steps so that no cluster meets in one task."""
+    h = F.xxhash64("rep", F.lit(3))
+    drawn = wanted.where("blocks > 1").select("cluster", "rep", h.alias("h"), F.pmod(h, F.lit(64)).alias("salt"))
+    for keys in (["cluster", "salt"], ["cluster"]):
+        drawn = drawn.withColumn("k", F.row_number().over(Window.partitionBy(*keys).orderBy("h", "rep"))).where(F.col("k") <= HUBS)
+    return drawn.select("cluster", "rep")
 
 
 def near_duplicates(docs: DataFrame, width: int = 4, id_col: str = "doc_id", text: str = "text", block: int = BLOCK) -> DataFrame:
@@ -218,21 +233,20 @@ def near_duplicates(docs: DataFrame, width: int = 4, id_col: str = "doc_id", tex
     sketched = scratch.write(sketches(docs, width, id_col, text), "sketches")
     first = F.min(F.struct("doc_id", "n", "sig", "bands")).alias("r")
     reps = scratch.write(sketched.where("n > 0 AND doc_id IS NOT NULL").groupBy("set_key").agg(first).select(F.col("r.doc_id").alias("rep"), "r.n", "set_key", "r.sig", "r.bands"), "sets")
-    nodes = scratch.write(components(star_edges(reps, scratch), scratch), "clusters")
-    sets = scratch.write(cluster_sets(docs, nodes, reps, width, id_col, text), "members")
-    total = sets.agg(F.count("*").alias("n"), F.coalesce(F.sum("n"), F.lit(0)).alias("s")).first()
+    wanted = clustered(components(star_edges(reps, scratch), scratch), reps, scratch, block)
+    total = wanted.agg(F.count("*").alias("n"), F.coalesce(F.sum("n"), F.lit(0)).alias("s"), F.coalesce(F.max("blocks"), F.lit(0)).alias("blocks")).first()
     groups = max(default_parallelism(spark), total["n"] // (2 * block), total["s"] // BLOCK_SHINGLES, 1)
-    spread = sets.groupBy("cluster").agg(F.count("*").alias("docs"), F.sum("n").alias("s")).select("cluster", F.greatest(F.ceil(F.col("docs") / block), F.ceil(F.col("s") / BLOCK_SHINGLES)).cast("int").alias("blocks"))
-    cut = sets.join(spread, "cluster").withColumn("block", F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int")).withColumn("chunk", F.lit(0))
+    sets = scratch.write(cluster_sets(docs, wanted, width, id_col, text), "members")
     cols = ["cluster", "block", "chunk", "role", "rep", "hashes"]
-    order = Window.partitionBy("cluster").orderBy(F.desc("n"), "rep")
-    hubs = sets.join(spread.where("blocks > 1"), "cluster").select("cluster", "rep", "n", "blocks", "hashes")
-    best = hubs.select("cluster", "rep", F.xxhash64("rep").alias("n")).withColumn("k", F.row_number().over(order)).where(F.col("k") <= HUBS).select("cluster", "rep")
-    hubs = hubs.join(best, ["cluster", "rep"]).withColumn("block", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).withColumn("chunk", F.lit(0))
-    own = cut.withColumn("role", F.lit(0)).select(*cols)
-    links = scratch.write(settled(own.unionByName(hubs.withColumn("role", F.lit(2)).select(*cols)), groups), "links")
-    if block and not spread.where("blocks > 1").isEmpty():
-        links = scratch.write(links.unionByName(_residual(cut, components(links, scratch), scratch, groups, cols)), "links")
+    everywhere = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
+    cut = sets.withColumn("block", F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int")).withColumn("chunk", F.lit(0))
+    rows = cut.withColumn("role", F.lit(0)).select(*cols)
+    if total["blocks"] > 1:
+        hubs = sets.join(_hubs(wanted), ["cluster", "rep"]).withColumn("block", everywhere).withColumn("chunk", F.lit(0)).withColumn("role", F.lit(2))
+        rows = rows.unionByName(hubs.select(*cols))
+    links = scratch.write(settled(rows, groups), "links")
+    if total["blocks"] > 1:
+        links = scratch.write(links.unionByName(_residual(cut, wanted, components(links, scratch), scratch, groups, cols)), "links")
     final = components(links, scratch).select(F.col("node").alias("rep"), "component")
     by_set = reps.select("rep", "set_key").join(final, "rep", "left").select("set_key", F.coalesce("component", "rep").alias("component_id"))
     out = sketched.select("doc_id", "n", "set_key").join(by_set, "set_key", "left")
@@ -240,15 +254,16 @@ def near_duplicates(docs: DataFrame, width: int = 4, id_col: str = "doc_id", tex
     return out.select("doc_id", F.col("n").alias("n_shingles"), component.alias("component_id"), F.coalesce(F.col("doc_id") == component, F.lit(True)).alias("kept"))
 
 
-def _residual(cut: DataFrame, comps: DataFrame, scratch: Scratch, groups: int, cols: list[str]) -> DataFrame:
+def _residual(cut: DataFrame, wanted: DataFrame, comps: DataFrame, scratch: Scratch, groups: int, cols: list[str]) -> DataFrame:
     """Links of clusters of several blocks between their largest component and all the rest."""
-    wide = cut.where("blocks > 1")
-    label = scratch.write(wide.select("cluster", "rep", "blocks").join(comps.select(F.col("node").alias("rep"), "component"), "rep", "left").select("cluster", "rep", "blocks", F.coalesce("component", "rep").alias("component")), "labels")
+    label = wanted.where("blocks > 1").select("cluster", "rep").join(comps.select(F.col("node").alias("rep"), "component"), "rep", "left")
+    label = scratch.write(label.select("cluster", "rep", F.coalesce("component", "rep").alias("component")), "labels")
     sizes = label.groupBy("cluster", "component").agg(F.count("*").alias("size"))
     main = sizes.groupBy("cluster").agg(F.max(F.struct("size", "component")).alias("m"), F.count("*").alias("parts"), F.sum("size").alias("all")).where("parts > 1")
     main = main.select("cluster", F.col("m.component").alias("main"), F.ceil((F.col("all") - F.col("m.size")) / QUERIES).cast("int").alias("chunks"))
     open_ = scratch.write(main, "open")
     outside = label.join(open_, "cluster").where("component <> main").withColumn("chunk", F.pmod(F.xxhash64("rep", F.lit(7)), F.col("chunks")).cast("int")).select("cluster", "rep", "chunk")
+    wide = cut.where("blocks > 1")
     queries = wide.drop("chunk", "block").join(outside, ["cluster", "rep"]).withColumn("block", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).withColumn("role", F.lit(1)).select(*cols)
     targets = wide.drop("chunk").join(open_.select("cluster", "chunks"), "cluster").withColumn("chunk", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1))).withColumn("role", F.lit(0)).select(*cols)
     return settled(queries.unionByName(targets), groups)
