@@ -199,8 +199,11 @@ def clustered(nodes: DataFrame, reps: DataFrame, scratch: Scratch, block: int) -
 
 
 def cluster_sets(docs: DataFrame, wanted: DataFrame, width: int, id_col: str, text: str) -> DataFrame:
-    """(cluster, blocks, rep, hashes): the sets of clustered representatives, made anew from the texts."""
-    texts = docs.select(F.col(id_col).alias("rep"), F.col(text).alias("text")).join(wanted, "rep").select("rep", "cluster", "blocks", "set_key", "text")
+    """(cluster, blocks, rep, hashes): the sets of clustered representatives, made anew from the texts.
+
+    The hint makes the join behave alike at every size; the ids of a large input are no broadcast.
+    """
+    texts = docs.select(F.col(id_col).alias("rep"), F.col(text).alias("text")).join(wanted.hint("merge"), "rep").select("rep", "cluster", "blocks", "set_key", "text")
 
     def make():
         def f(ids, clusters, blocks, keys, texts):
