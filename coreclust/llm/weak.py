@@ -140,7 +140,7 @@ class LabelModel:
         return right / ((1 - self.prior) * self.vote[:, 0, 1:].sum(1) + self.prior * self.vote[:, 1, 1:].sum(1))
 
 
-def train_scorer(rows: list[tuple[np.ndarray, np.ndarray, float]], epochs: int = 30, rate: float = 2.0, decay: float = 1e-5) -> np.ndarray:
+def train_scorer(rows: list[tuple[np.ndarray, np.ndarray, float]], epochs: int = 12, rate: float = 2.0, decay: float = 1e-5) -> np.ndarray:
     """Logistic weights from (features, values, posterior) rows, by adaptive gradient steps on mini-batches; the last entry is the intercept."""
     w, seen = np.zeros(DIMENSIONS + 2, np.float64), np.full(DIMENSIONS + 2, 1e-3)
     rng = np.random.default_rng(0)
