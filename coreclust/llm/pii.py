@@ -16,8 +16,6 @@ possessive and start only where a run starts, so long runs cost linear time.
 
 from __future__ import annotations
 
-import json
-
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -38,8 +36,8 @@ CANDIDATE = r"(?<![^\s,;:=\x22'(])[^\s,;:=\x22'(0-9]*+(?:[0-9][^\s,;\x22')0-9]*+
 REACH = 96
 #: Different seed values, share of known instances, and share of all its places, that a pattern needs.
 SEEDS, SURE, SPECIFIC = 3, 0.6, 0.5
-#: The best patterns that a model keeps; they travel in the plan.
-PATTERNS = 1_000
+#: Supported patterns up to which their places are looked up by a broadcast; beyond, places are counted first and then joined.
+SENT = 50_000
 ROUNDS = 3
 
 
@@ -94,45 +92,56 @@ def _context(text: Column, start: Column) -> Column:
     return F.struct(one.alias("one"), two.alias("two"))
 
 
-def scanned(docs: DataFrame, id_col: str = "doc_id", text: str = "text", keep_text: bool = False) -> DataFrame:
-    """(doc_id, base, seeds, candidates): base spans by kind and start; entities and free tokens with their contexts."""
-    t = F.coalesce(F.col("text"), F.lit(""))
-    rows = docs.select(F.col(id_col).alias("doc_id"), t.alias("text")) if text == "text" else docs.select(F.col(id_col).alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text"))
-    rows = rows.select("doc_id", "text", *[v.alias(k) for k, v in base_spans(F.col("text")).items()])
+def scanned(docs: DataFrame, id_col: str = "doc_id", text: str = "text", keep: bool = False) -> DataFrame:
+    """(doc_id, base, seeds, candidates): base spans by kind and start; entities and free tokens with their contexts.
+
+    With `keep`, also the whole row of `docs`.
+    """
+    rest = ["doc"] * keep
+    rows = docs.select(F.col(id_col).alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text"), F.struct(*docs.columns).alias("doc"))
+    rows = rows.select("doc_id", "text", *rest, *[v.alias(k) for k, v in base_spans(F.col("text")).items()])
     every = F.concat(*[F.transform(k, _tagger(i)) for i, k in enumerate(KINDS)])
-    rows = rows.select("doc_id", "text", every.alias("base"))
+    rows = rows.select("doc_id", "text", *rest, every.alias("base"))
     none = F.array().cast("array<struct<start:int,end:int,value:string>>")
     loose = F.when(F.col("text").rlike("[0-9]{1}[^\\s]*[0-9]"), spans(F.col("text"), CANDIDATE)).otherwise(none)
     loose = F.filter(loose, lambda c: ~F.exists("base", lambda b: (b["start"] < c["end"]) & (c["start"] < b["end"])))
-    rows = rows.select("doc_id", "text", "base", loose.alias("loose"))
+    rows = rows.select("doc_id", "text", *rest, "base", loose.alias("loose"))
     context = lambda m: _context(F.col("text"), m["start"])
     return rows.select(
-        "doc_id", *["text"] * keep_text,
+        "doc_id", *rest,
         F.transform("base", lambda b: F.struct(b["kind"].alias("kind"), b["start"].alias("start"), b["end"].alias("end"))).alias("base"),
         F.transform("base", lambda b: F.struct(b["kind"].alias("kind"), F.xxhash64(b["value"]).alias("value"), context(b).alias("context"))).alias("seeds"),
         F.transform("loose", lambda c: F.struct(c["start"].alias("start"), c["end"].alias("end"), F.xxhash64(c["value"]).alias("value"), context(c).alias("context"))).alias("candidates"),
     )
 
 
-def learn(docs: DataFrame, found: DataFrame, text: str = "text", scratch: Scratch | None = None, rounds: int = ROUNDS) -> dict[str, int]:
-    """Sure patterns and their kinds, from the pattern-instance graph of `found` and all places of the patterns in `docs`."""
+def numbered(found: DataFrame) -> DataFrame:
+    """`found` with a number of each row, for `widened`; it holds once the result is written."""
+    return found.withColumn("row", F.monotonically_increasing_id())
+
+
+def learn(docs: DataFrame, found: DataFrame, text: str = "text", scratch: Scratch | None = None, rounds: int = ROUNDS) -> DataFrame | None:
+    """(pattern, kind) of all sure patterns, from the pattern-instance graph of `found` and all places of the patterns in `docs`; None without any."""
     scratch = scratch or Scratch(docs.sparkSession, "pii")
     pattern = lambda c: F.explode(F.array_compact(F.array(c["one"], c["two"]))).alias("pattern")
     known = found.select(F.explode("seeds").alias("s")).select("s.kind", "s.value", pattern(F.col("s.context")))
     free = found.select(F.explode("candidates").alias("c")).select(F.lit(-1).alias("kind"), "c.value", pattern(F.col("c.context")))
     edges = known.unionByName(free).groupBy("pattern", "value", "kind").agg(F.count("*").alias("n"))
     support = edges.where("kind >= 0").groupBy("pattern").agg(F.count("*").alias("seeds"), F.sum("n").alias("n_seen")).where(F.col("seeds") >= SEEDS)
-    likely = scratch.write(support.orderBy(F.desc("seeds"), "pattern").limit(20 * PATTERNS), "likely")  # a bounded list
-    if likely.isEmpty():
-        return {}
+    likely = scratch.write(support, "likely")
+    n_likely = likely.count()
+    if not n_likely:
+        return None
     words = F.filter(F.split(F.lower(F.coalesce(F.col(text), F.lit(""))), r"\s+"), lambda t: t != "")
     grams = docs.select(words.alias("w")).select(F.explode(F.concat(F.col("w"), F.zip_with("w", F.slice(F.col("w"), F.lit(2), F.greatest(F.size("w") - 1, F.lit(0))), lambda a, b: F.when(b.isNotNull(), F.concat(a, F.lit(" "), b))))).alias("pattern"))
-    places = grams.join(F.broadcast(likely.select("pattern")), "pattern").groupBy("pattern").agg(F.count("*").alias("places"))
-    graph = scratch.write(edges.join(likely.select("pattern"), "pattern", "left_semi"), "graph")
+    if n_likely <= SENT:
+        grams = grams.join(F.broadcast(likely.select("pattern")), "pattern")
+    places = grams.groupBy("pattern").agg(F.count("*").alias("places"))
     special = likely.join(places, "pattern", "left").select("pattern", "seeds", (F.col("n_seen") / F.greatest(F.col("n_seen"), F.coalesce("places", F.lit(0)))).alias("special"))
     special = scratch.write(special.where(F.col("special") >= SPECIFIC), "special")
     if special.isEmpty():
-        return {}
+        return None
+    graph = scratch.write(edges.join(special.select("pattern"), "pattern", "left_semi"), "graph")
     nodes = graph.select("value", F.when(F.col("kind") >= 0, F.col("kind")).alias("kind")).groupBy("value").agg(F.max("kind").alias("kind"))
     sure = nodes.where("kind is not null").select("value", "kind", F.lit(1.0).alias("sure"))
     pairs = graph.select("pattern", "value").distinct()
@@ -145,28 +154,25 @@ def learn(docs: DataFrame, found: DataFrame, text: str = "text", scratch: Scratc
         reached = pairs.join(scores.drop("seeds"), "pattern").groupBy("value", "kind").agg((1 - F.exp(doubt)).alias("sure"))
         seeds = nodes.where("kind is not null").select("value", F.col("kind").alias("seed"))
         sure = scratch.write(reached.join(seeds, "value", "left").select("value", "kind", F.when(F.col("seed") == F.col("kind"), F.lit(1.0)).when(F.col("seed").isNotNull(), F.lit(0.0)).otherwise(F.col("sure")).alias("sure")), "sure")
-    best = scores.where(F.col("sure") >= SURE * SPECIFIC).orderBy(F.desc("sure"), F.desc("seeds"), "pattern", "kind").limit(PATTERNS).collect()
-    out: dict[str, int] = {}
-    for row in best:
-        out.setdefault(row["pattern"], row["kind"])
-    return out
+    best = F.max_by("kind", F.struct("sure", -F.col("kind"))).alias("kind")
+    patterns = scratch.write(scores.where(F.col("sure") >= SURE * SPECIFIC).groupBy("pattern").agg(best), "patterns")
+    return None if patterns.isEmpty() else patterns
 
 
-def widened(found: DataFrame, patterns: dict[str, int]) -> DataFrame:
-    """`found` with `spans`: base and added spans by kind, then start."""
-    base = F.col("base")
-    if patterns:
-        table = F.from_json(F.lit(json.dumps(patterns)), "map<string,int>")
-        kind = lambda c: F.coalesce(F.element_at(table, F.coalesce(c["context"]["two"], F.lit(""))), F.element_at(table, F.coalesce(c["context"]["one"], F.lit(""))))
-        added = F.transform("candidates", lambda c: F.struct(kind(c).alias("kind"), c["start"].alias("start"), c["end"].alias("end")))
-        base = F.array_sort(F.concat(base, F.filter(added, lambda a: a["kind"].isNotNull())))
-    return found.withColumn("spans", base)
+def widened(found: DataFrame, patterns: DataFrame | None) -> DataFrame:
+    """Numbered `found` with `spans`: base and added spans by kind, then start.  Two tokens go before one."""
+    if patterns is None:
+        return found.withColumn("spans", F.col("base"))
+    free = found.select("row", F.explode("candidates").alias("c")).select("row", "c.start", "c.end", F.posexplode(F.array("c.context.two", "c.context.one")).alias("turn", "pattern"))
+    met = free.where(F.col("pattern").isNotNull()).join(patterns, "pattern").groupBy("row", "start", "end").agg(F.min_by("kind", "turn").alias("kind"))
+    added = met.groupBy("row").agg(F.collect_list(F.struct("kind", "start", "end")).alias("added"))
+    return found.join(added, "row", "left").withColumn("spans", F.array_sort(F.concat("base", F.coalesce("added", F.array().cast("array<struct<kind:int,start:int,end:int>>"))))).drop("added")
 
 
 def find(docs: DataFrame, id_col: str = "doc_id", text: str = "text") -> DataFrame:
     """(doc_id, base, spans) as arrays of (kind index, start, end)."""
     scratch = Scratch(docs.sparkSession, "pii")
-    found = scratch.write(scanned(docs, id_col, text), "found")
+    found = scratch.write(numbered(scanned(docs, id_col, text)), "found")
     return widened(found, learn(docs, found, text, scratch)).select("doc_id", "base", "spans")
 
 
@@ -187,21 +193,10 @@ def digests(found: DataFrame) -> DataFrame:
 def redact(docs: DataFrame, id_col: str = "doc_id", text: str = "text") -> DataFrame:
     """`docs` with every span replaced by its kind in angle brackets; overlapping spans are replaced together."""
     scratch = Scratch(docs.sparkSession, "pii")
-    patterns = learn(docs, scratch.write(scanned(docs, id_col, text), "found"), text, scratch)
+    found = scratch.write(numbered(scanned(docs, id_col, text, keep=True)), "found")
     names = F.array(*[F.lit(f"<{k}>") for k in KINDS])
-    t = F.coalesce(F.col("text"), F.lit(""))
-    every = docs.select(F.struct(*docs.columns).alias("row"), F.col(id_col).alias("doc_id"), F.col(text).alias("text"))
-    shapes = every.select("row", t.alias("text"), *[v.alias(k) for k, v in base_spans(t).items()])
-    base = F.transform(F.concat(*[F.transform(k, _tagger(i)) for i, k in enumerate(KINDS)]), lambda m: F.struct(m["start"].alias("start"), m["end"].alias("end"), m["kind"].alias("kind")))
-    out = shapes.select("row", "text", base.alias("base"))
-    if patterns:
-        table = F.from_json(F.lit(json.dumps(patterns)), "map<string,int>")
-        loose = F.when(F.col("text").rlike("[0-9]"), spans(F.col("text"), CANDIDATE)).otherwise(F.array().cast("array<struct<start:int,end:int,value:string>>"))
-        loose = F.filter(loose, lambda c: ~F.exists("base", lambda b: (b["start"] < c["end"]) & (c["start"] < b["end"])))
-        look = lambda c: _context(F.col("text"), c["start"])
-        kind = lambda c: F.coalesce(F.element_at(table, F.coalesce(look(c)["two"], F.lit(""))), F.element_at(table, F.coalesce(look(c)["one"], F.lit(""))))
-        added = F.filter(F.transform(loose, lambda c: F.struct(c["start"].alias("start"), c["end"].alias("end"), kind(c).alias("kind"))), lambda a: a["kind"].isNotNull())
-        out = out.select("row", "text", F.concat("base", added).alias("base"))
+    spans_ = F.transform("spans", lambda m: F.struct(m["start"].alias("start"), m["end"].alias("end"), m["kind"].alias("kind")))
+    out = widened(found, learn(docs, found, text, scratch)).select("doc", F.coalesce(F.col("doc")[text], F.lit("")).alias("text"), spans_.alias("base"))
     state = "struct<at:int,out:string>"
 
     def step(acc, s):
@@ -211,5 +206,5 @@ def redact(docs: DataFrame, id_col: str = "doc_id", text: str = "text") -> DataF
 
     start = F.struct(F.lit(0).alias("at"), F.lit("").alias("out")).cast(state)
     new = F.aggregate(F.array_sort("base"), start, step, lambda acc: F.concat(acc["out"], F.substring(F.col("text"), acc["at"] + 1, F.length("text"))))
-    new = F.when(F.col("row")[text].isNull(), F.lit(None)).when(F.size("base") == 0, F.col("row")[text]).otherwise(new)
-    return out.select(new.alias("new"), "row").select(*[(F.col("new") if c == text else F.col("row")[c]).alias(c) for c in docs.columns])
+    new = F.when(F.col("doc")[text].isNull(), F.lit(None)).when(F.size("base") == 0, F.col("doc")[text]).otherwise(new)
+    return out.select(new.alias("new"), "doc").select(*[(F.col("new") if c == text else F.col("doc")[c]).alias(c) for c in docs.columns])

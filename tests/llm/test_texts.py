@@ -174,6 +174,18 @@ def plainly_redacted(t):
     return out + t[at:]
 
 
+def test_every_sure_pattern_counts(spark, monkeypatch):
+    """More than 1,000 sure patterns, behind more than 20,000 supported ones with more seeds; places counted before the join give the same."""
+    letters = lambda k: "".join(chr(97 + k // 26**j % 26) for j in range(3))
+    sure = [f"{letters(j)}: {letters(j)}{i}@a.co" for j in range(1100) for i in range(3)] + [f"{letters(j)}: 55-AB-{1000 + j}" for j in range(1100)]
+    vague = spark.range(20_200).selectExpr("id + 10000", "concat_ws(' ', transform(sequence(1, 4), k -> concat('w', id, ' w', id, ' w', id, ' u', k, 'x', id, '@a.co')))")
+    docs = spark.createDataFrame(list(enumerate(sure)), "doc_id long, text string").union(vague)
+    got = pii.find(docs).where("doc_id BETWEEN 3300 AND 4399").select("doc_id", F.size("spans").alias("n")).collect()
+    assert len(got) == 1100 and all(r["n"] == 1 for r in got)
+    monkeypatch.setattr(pii, "SENT", 0)
+    test_contexts_of_seeds_find_unseen_identifiers(spark)
+
+
 def test_pii_edges(odd, nothing):
     assert pii.find(odd).count() == odd.count() and pii.find(nothing).count() == 0
     assert {r["doc_id"]: r["spans"] for r in pii.digests(pii.find(odd)).collect()}[10] == "email:5:11"
