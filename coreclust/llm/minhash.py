@@ -3,7 +3,8 @@
 One hash of every shingle falls into one of 128 bins; a bin's least hash is its entry, and an
 empty bin takes the entry of the first filled bin on its own random walk.  32 bands of four
 bins make buckets.  Each bucket gives star-shaped candidate edges, from its smallest document
-to the others, so a bucket of n documents has n - 1 edges.
+to those that resemble it.  Documents of a bucket that are not close to its centre get further
+centres, until none is left: large buckets in rounds, the others within one task.
 
 Stars alone could lose a link between two documents that are both unlike the centre.  So
 candidates are gathered into clusters, and clusters are settled on full shingle sets: blocks
@@ -21,6 +22,8 @@ its row, with the component of its set.  Empty tables give no rows.
 
 from __future__ import annotations
 
+import functools
+
 import numpy as np
 import pyarrow as pa
 import xxhash
@@ -32,8 +35,12 @@ from .components import components
 
 BINS, ROWS = 128, 4
 WALK = 4096
-#: Estimated similarity to a bucket's centre below which the bucket met by chance; real neighbours share a dozen bands.
+#: Estimated similarity to a bucket's centre below which the bucket met by chance.
 CHANCE = 0.4
+#: Estimated similarity to a centre from which on a document needs no other one: whatever shares 0.6 of its bins has CHANCE there.
+CLOSE = CHANCE + 0.4
+#: Members of a bucket that are left for one task, and rounds of centres for larger ones before these go in pairs of pieces.
+LOCAL, STARS = 512, 6
 #: Documents and shingles of a block, hubs of a cluster, queries in a group.
 BLOCK, BLOCK_SHINGLES, HUBS, QUERIES = 128, 1_000_000, 16, 128
 ODD = (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F)
@@ -110,22 +117,79 @@ def sketches(docs: DataFrame, width: int = 4, id_col: str = "doc_id", text: str
     return map_rows(docs.select(F.col(id_col).alias("doc_id"), F.col(text).alias("text")), make, "doc_id long, n long, set_key binary, sig binary, bands array<long>")
 
 
-def star_edges(reps: DataFrame, scratch: Scratch, chance: float = CHANCE) -> DataFrame:
-    """(a, b): bucket centres and the members that resemble them."""
-    members = reps.select("rep", F.explode("bands").alias("bucket"))
+def _starred(members: DataFrame, sig: DataFrame, scratch: Scratch, chance: float, close: float) -> tuple[DataFrame, DataFrame]:
+    """(a, b) of bucket centres and members that resemble them, and (bucket, rep) of the members not close to their centre."""
     centres = members.groupBy("bucket").agg(F.min("rep").alias("a"), F.count("*").alias("size")).where("size > 1")
-    pairs = members.join(centres, "bucket").where("rep <> a").select("a", F.col("rep").alias("b")).distinct()
-    sig = reps.select("rep", "sig")
-    both = pairs.join(sig.select(F.col("rep").alias("b"), F.col("sig").alias("sig_b")), "b").join(sig.select(F.col("rep").alias("a"), F.col("sig").alias("sig_a")), "a")
+    pairs = members.join(centres, "bucket").where("rep <> a").select("bucket", "a", F.col("rep").alias("b"))
+    both = pairs.select("a", "b").distinct().join(sig.select(F.col("rep").alias("b"), F.col("sig").alias("sig_b")), "b").join(sig.select(F.col("rep").alias("a"), F.col("sig").alias("sig_a")), "a")
 
     def like(batches):
         for t in batches:
             x, y = (np.frombuffer(b"".join(t.column(c).to_pylist()), np.uint8).reshape(-1, BINS) for c in (2, 3))
-            est = ((x == y).mean(1) - 1 / 256) * 256 / 255
-            keep = pa.array(est >= chance)
-            yield pa.RecordBatch.from_arrays([t.column(0).filter(keep), t.column(1).filter(keep)], ["a", "b"])
+            est = _likeness(x, y)
+            yield pa.RecordBatch.from_arrays([t.column(0), t.column(1), pa.array(est >= chance), pa.array(est < close)], ["a", "b", "like", "far"])
+
+    judged = scratch.write(both.select("a", "b", "sig_a", "sig_b").mapInArrow(like, "a long, b long, like boolean, far boolean"), "judged")
+    return judged.where("like").select("a", "b"), pairs.join(judged.where("far").select("a", "b"), ["a", "b"]).select("bucket", F.col("b").alias("rep"))
+
+
+def _likeness(x: np.ndarray, y: np.ndarray) -> np.ndarray:
+    """Estimated similarity of sketches of a byte per bin."""
+    return ((x == y).mean(-1) - 1 / 256) * 256 / 255
+
+
+def peeled(sig: np.ndarray, chance: float, close: float) -> list[tuple[int, int]]:
+    """Spanning edges of a bucket: each member not close to an earlier centre is a centre for all that are left."""
+    label, left, out = np.arange(len(sig)), np.arange(len(sig)), []
+    while len(left) > 1:
+        i, left = left[0], left[1:]
+        est = _likeness(sig[i], sig[left])
+        near = left[est >= chance]
+        _, first = np.unique(label[near], return_index=True)
+        for j in near[first]:
+            if label[j] != label[i]:
+                out.append((int(i), int(j)))
+                label[label == label[j]] = label[i]
+        left = left[est < close]
+    return out
+
 
-    return scratch.write(both.select("a", "b", "sig_a", "sig_b").mapInArrow(like, "a long, b long"), "stars")
+def _peel(chance: float, close: float):
+    def run(group: pa.Table) -> pa.Table:
+        g = group.sort_by([("bucket", "ascending"), ("x", "ascending"), ("y", "ascending"), ("rep", "ascending")])
+        key = np.stack([g.column(c).to_numpy() for c in ("bucket", "x", "y")])
+        rep, sig = g.column("rep").to_numpy(), np.frombuffer(b"".join(g.column("sig").to_pylist()), np.uint8).reshape(-1, BINS)
+        cut = np.flatnonzero(np.concatenate(([True], (key[:, 1:] != key[:, :-1]).any(0), [True])))
+        edges = np.array([(rep[lo + i], rep[lo + j]) for lo, hi in zip(cut, cut[1:], strict=False) for i, j in peeled(sig[lo:hi], chance, close)], np.int64).reshape(-1, 2)
+        edges = np.unique(edges, axis=0)
+        return pa.table({"a": pa.array(edges[:, 0], pa.int64()), "b": pa.array(edges[:, 1], pa.int64())})
+
+    return run
+
+
+def star_edges(reps: DataFrame, scratch: Scratch, chance: float = CHANCE, close: float = CLOSE) -> DataFrame:
+    """(a, b): candidate edges that join any two documents of a bucket that are alike, directly or over a centre close to one of them."""
+    sig = reps.select("rep", "sig")
+    members, edges, few = reps.select("rep", F.explode("bands").alias("bucket")), [], []
+    for step in range(STARS):
+        found, left = _starred(members, sig, scratch, chance, close)
+        edges.append(found)
+        left = scratch.write(left, "left")
+        sizes = scratch.write(left.groupBy("bucket").agg(F.count("*").alias("size")).where("size > 1"), "sizes")
+        rest = left.join(sizes, "bucket")
+        few.append(rest.where(F.col("size") <= LOCAL) if step < STARS - 1 else rest)
+        if sizes.where(F.col("size") > LOCAL).isEmpty():
+            break
+        members = rest.where(F.col("size") > LOCAL).select("rep", "bucket")
+    cells = functools.reduce(DataFrame.unionByName, few).withColumn("n", F.ceil(F.col("size") / LOCAL).cast("int")).withColumn("k", F.pmod(F.xxhash64("rep", F.lit(11)), F.col("n")).cast("int"))
+    cells = cells.withColumn("o", F.explode(F.sequence(F.lit(0), F.col("n") - 1))).select("bucket", "rep", F.least("k", "o").alias("x"), F.greatest("k", "o").alias("y"))
+    cells = scratch.write(cells, "cells")
+    n = cells.count()
+    if n:
+        groups = max(default_parallelism(reps.sparkSession), n // 20_000)
+        dealt = cells.join(sig, "rep").withColumn("cell", F.pmod(F.xxhash64("bucket", "x", "y"), F.lit(groups)))
+        edges.append(dealt.groupBy("cell").applyInArrow(_peel(chance, close), "a long, b long"))
+    return scratch.write(functools.reduce(DataFrame.unionByName, edges), "stars")
 
 
 def linked(sets: list[np.ndarray], queries: int | None = None, percent: int = 80) -> list[tuple[int, int]]:

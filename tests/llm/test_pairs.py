@@ -131,6 +131,25 @@ def test_densified_bins_estimate_similarity():
         assert abs(np.mean(est)) < 0.08
 
 
+def crowd(spark, n=600):
+    """Pairs that share a bucket only behind `n` unlike documents with smaller ids, all unlike each other."""
+    rng = np.random.default_rng(5)
+    sig = rng.integers(0, 256, (n + 8, minhash.BINS)).astype(np.uint8)
+    for k in range(n, n + 8, 2):
+        sig[k + 1] = sig[k]
+        sig[k + 1, : minhash.BINS // 5] += 1
+    return spark.createDataFrame([(k, bytearray(s.tobytes()), [7]) for k, s in enumerate(sig)], "rep long, sig binary, bands array<long>"), [(k, k + 1) for k in range(n, n + 8, 2)]
+
+
+@pytest.mark.parametrize("local", [minhash.LOCAL, 2000, 100])
+def test_pairs_behind_unlike_centres_become_candidates(spark, monkeypatch, local):
+    monkeypatch.setattr(minhash, "LOCAL", local)
+    monkeypatch.setattr(minhash, "STARS", 2)
+    reps, want = crowd(spark)
+    got = {(r["a"], r["b"]) for r in minhash.star_edges(reps, Scratch(spark, "crowd")).collect()}
+    assert got == set(want)
+
+
 def test_near_duplicate_edges(odd, nothing):
     got = [(r["doc_id"], r["n_shingles"], r["component_id"], r["kept"]) for r in minhash.near_duplicates(odd).collect()]
     assert len(got) == odd.count() and (0, 0, 0, True) in got and got.count((4, 2, 4, True)) == 3
