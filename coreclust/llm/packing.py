@@ -2,8 +2,8 @@
 
 Only lengths matter to the search, and there are at most `size` of them, so the search runs on
 the histogram of lengths: bin completion by branch and bound.  The largest remaining length is
-completed by undominated fillings, each applied to as many sequences as the counts allow; a
-branch ends when its waste exceeds what a better packing could afford.  Best-fit decreasing
+completed by its undominated fillings, least waste first, each applied to as many sequences as
+the counts allow and, when all have failed, to fewer; a branch ends when its waste exceeds what a better packing could afford.  Best-fit decreasing
 gives the first incumbent, and the search stops at a lower bound or after `NODES` steps, with
 the best packing so far.  Pieces then find their place from their rank within their length.
 
@@ -15,6 +15,7 @@ they occur.  An empty table gives no rows.
 from __future__ import annotations
 
 import functools
+import itertools
 import zlib
 from collections.abc import Iterator
 
@@ -29,8 +30,6 @@ from .common import Scratch, map_rows, tokenizer_path
 SIZE = 2048
 #: Steps of the search before the incumbent is taken.
 NODES = 20_000
-#: Fillings kept open at one step.
-WIDTH = 6
 PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 
 
@@ -122,71 +121,121 @@ def best_fit(counts: np.ndarray, size: int) -> list[tuple[dict[int, int], int]]:
     return [b for group in bins.values() for b in group]
 
 
-def fillings(counts: np.ndarray, room: int, width: int = WIDTH) -> list[dict[int, int]]:
-    """Undominated ways to fill `room`, least waste first, then larger items first.
-
-    For each first item only the largest fitting second (third, ...) item is followed: a smaller
-    one in its place is dominated.  A filling whose sum a single item reaches is dominated by it.
+def _sums(items: list[tuple[int, int]], room: int) -> list[int]:
+    """For each position, the sums up to `room` that the items (length, count) from there on can make, as bits."""
+    out, bits, mask = [1], 1, (1 << room + 1) - 1
+    for x, n in reversed(items):
+        n, q = min(n, room // x), 1
+        while n:
+            q = min(q, n)
+            bits |= bits << q * x & mask
+            n, q = n - q, 2 * q
+        out.append(bits)
+    return out[::-1]
+
+
+def _dominated(fill: dict[int, int], counts: np.ndarray, room: int) -> bool:
+    """Whether one item beside the filling can take the place of some of its own that are not longer in sum."""
+    waste = room - sum(x * q for x, q in fill.items())
+    sums, more = 1, 0  # of any items, of two or more
+    for x, q in fill.items():
+        for _ in range(q):
+            more |= more << x | (sums & ~1) << x
+            sums |= sums << x
+    spare = np.flatnonzero(counts[: room + 1])
+    for y in spare[spare > 0].tolist():
+        if counts[y] > fill.get(y, 0) and (more >> y & 1 or sums >> max(0, y - waste) & (1 << min(y, waste)) - 1):
+            return True
+    return False
+
+
+def fillings(counts: np.ndarray, room: int, waste: int | None = None) -> Iterator[dict[int, int]]:
+    """All undominated ways to fill `room`, in the order of `every_filling`.
+
+    A filling is dominated where an item beside it fits in place of some of its items (or into the waste).
+    """
+    return (f for f in every_filling(counts, room, waste) if not _dominated(f, counts, room))
+
+
+def every_filling(counts: np.ndarray, room: int, waste: int | None = None) -> Iterator[dict[int, int]]:
+    """All ways to fill `room` with at most `waste` of it idle, least waste first, then larger items first."""
+    items = [(int(x), int(counts[x])) for x in np.flatnonzero(counts[: room + 1])[::-1] if x]
+    reach = _sums(items, room)
+
+    def exact(at: int, left: int) -> Iterator[dict[int, int]]:
+        stack = [(at, left, ())]
+        while stack:
+            at, left, took = stack.pop()
+            if not left:
+                yield dict(took)
+                continue
+            while at < len(items) and items[at][0] > left:
+                at += 1
+            if not reach[at] >> left & 1:
+                continue
+            x, n = items[at]
+            for q in range(min(n, left // x) + 1):  # the last one pushed, the most of the longest, comes first
+                if reach[at + 1] >> left - q * x & 1:
+                    stack.append((at + 1, left - q * x, (*took, (x, q)) if q else took))
+
+    for idle in range(min(room, room if waste is None else waste) + 1):
+        if reach[0] >> room - idle & 1:
+            yield from exact(0, room - idle)
+
+
+def bin_completion(counts: np.ndarray, size: int = SIZE, nodes: int = NODES, width: int | None = None) -> list[tuple[dict[int, int], int]]:
+    """Packing of `counts[length]` items, as (lengths in a sequence, number of such sequences).
+
+    `width` bounds the fillings of a step; by default all are tried.
     """
-    have = np.flatnonzero(counts[: room + 1])
-    if not len(have):
-        return [{}]
-    if have[-1] == room:
-        return [{int(room): 1}]
-    prev = np.zeros(room + 1, np.int64)
-    prev[have] = have
-    prev = np.maximum.accumulate(prev)
-    single = int(have[-1])
-    first = have[::-1]
-    left, last, run = room - first, first.copy(), np.ones(len(first), np.int64)
-    chosen = [first]
-    for _ in range(7):
-        nxt = prev[np.minimum(left, last)]
-        short = (nxt == last) & (run >= counts[np.minimum(nxt, room)]) & (nxt > 0)
-        nxt = np.where(short, prev[np.minimum(left, np.maximum(last - 1, 0))], nxt)
-        nxt = np.where(nxt <= left, nxt, 0)
-        if not nxt.any():
-            break
-        run = np.where(nxt == last, run + 1, 1)
-        last = np.where(nxt > 0, nxt, last)
-        left = left - nxt
-        chosen.append(nxt)
-    good = np.flatnonzero((room - left > single) | (first == single))
-    out = []
-    for k in good[np.lexsort((-first[good], left[good]))][:width]:
-        fill: dict[int, int] = {}
-        for c in chosen:
-            if c[k]:
-                fill[int(c[k])] = fill.get(int(c[k]), 0) + 1
-        out.append(fill)
-    return out
-
-
-def bin_completion(counts: np.ndarray, size: int = SIZE, nodes: int = NODES, width: int = WIDTH) -> list[tuple[dict[int, int], int]]:
-    """Packing of `counts[length]` items, as (lengths in a sequence, number of such sequences)."""
     counts = counts.astype(np.int64).copy()
     best = best_fit(counts, size)
     used = sum(m for _, m in best)
     need = lower_bound(counts, size)
     total = int((counts * np.arange(len(counts))).sum())
-    path: list[tuple[dict[int, int], int, list]] = []  # filling, times, fillings not tried yet
+    path: list[tuple[dict[int, int], int, Iterator]] = []  # filling, times, fillings not tried yet
     waste, n_bins = 0, 0
 
-    def step(options: list[dict[int, int]]) -> bool:
-        nonlocal waste, n_bins
-        while options:
-            fill = options.pop(0)
-            times = min(int(counts[x]) // q for x, q in fill.items())
+    def choices(x: int) -> Iterator[tuple[dict[int, int], int]]:
+        whole, now = counts.copy(), counts.copy()
+        now[x] -= 1
+
+        def undominated() -> Iterator[dict[int, int]]:
+            nonlocal tried
+            for f in every_filling(now, size - x, (used - 1) * size - total - waste):
+                if not _dominated(f, now, size - x):
+                    yield f
+                    continue
+                tried += 1
+                if tried >= nodes:
+                    return
+
+        def applied(fewer: bool) -> Iterator[tuple[dict[int, int], int]]:
+            for f in itertools.islice(undominated(), width):
+                fill = f | {x: f.get(x, 0) + 1}
+                most = min(int(whole[y]) // q for y, q in fill.items())
+                for times in range(most - 1, 0, -1) if fewer else (most,):
+                    yield fill, times
+
+        yield from applied(False)
+        yield from applied(True)
+
+    def step(options: Iterator[tuple[dict[int, int], int]]) -> bool:
+        nonlocal waste, n_bins, tried
+        for fill, times in options:
             idle = (size - sum(x * q for x, q in fill.items())) * times
-            if times and waste + idle <= (used - 1) * size - total:
+            if waste + idle <= (used - 1) * size - total:
                 for x, q in fill.items():
                     counts[x] -= q * times
                 waste, n_bins = waste + idle, n_bins + times
                 path.append((fill, times, options))
                 return True
+            tried += 1
+            if tried >= nodes:
+                return False
         return False
 
-    def undo() -> list[dict[int, int]]:
+    def undo() -> Iterator[tuple[dict[int, int], int]]:
         nonlocal waste, n_bins
         fill, times, options = path.pop()
         for x, q in fill.items():
@@ -203,12 +252,9 @@ def bin_completion(counts: np.ndarray, size: int = SIZE, nodes: int = NODES, wid
             if not len(top):
                 if n_bins < used:
                     used, best = n_bins, [(f, t) for f, t, _ in path]
-                options = []
+                options = iter(())
             else:
-                x = int(top[-1])
-                counts[x] -= 1
-                options = [f | {x: f.get(x, 0) + 1} for f in fillings(counts, size - x, width)]
-                counts[x] += 1
+                options = choices(int(top[-1]))
         if step(options):
             options = None
         elif path:

@@ -287,6 +287,28 @@ def test_search_beats_best_fit():
     assert sum(t for _, t in packing.bin_completion(counts, 20)) <= sum(t for _, t in packing.best_fit(counts, 20))
 
 
+@pytest.mark.parametrize("lengths", [[57, 49, 40, 29, 24, 23, 22, 15, 12, 10, 10, 9], [59, 50, 47, 38, 29, 24, 17, 15, 11, 10], [64, 52, 45, 38, 30, 25, 19, 10, 9, 8]])
+def test_smaller_second_items_are_tried(lengths):
+    plan = packing.bin_completion(np.bincount(lengths, minlength=101), 100)
+    assert sum(t for _, t in plan) == 3
+    assert sorted(x for fill, t in plan for x, q in fill.items() for _ in range(q * t)) == sorted(lengths)
+
+
+def test_fillings_keep_what_only_smaller_items_reach():
+    assert {5: 1, 3: 1, 2: 1} in list(packing.fillings(np.bincount([5, 4, 3, 2], minlength=11), 10))
+
+
+def test_planted_exact_packings_are_found():
+    for seed in range(6):
+        rng = random.Random(seed)
+        lengths = []
+        for _ in range(5):
+            cuts = sorted(rng.sample(range(1, 2048), 3))
+            lengths += [b - a for a, b in zip([0, *cuts], [*cuts, 2048], strict=True)]
+        plan = packing.bin_completion(np.bincount(lengths, minlength=2049), 2048)
+        assert sum(t for _, t in plan) == 5
+
+
 def check_packing(out, docs, library, size=2048):
     ids = {}
     for i, t in docs:
