@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from dataclasses import dataclass
 
 from pyspark.sql import DataFrame
@@ -27,6 +28,8 @@ class ClusterResult:
     points: DataFrame
     metric: Metric
     spec: ClusterSpec
+    #: Why the plan's proof does not hold for these centers, if so.
+    doubt: str | None = None
 
     def assigned(self) -> DataFrame:
         return assign(self.points, self.centers, self.metric, self.spec.p, keep=("w",))
@@ -40,8 +43,8 @@ class ClusterResult:
         cost = measure.cost(self.points, self.centers, self.metric, self.spec.p).first()["cost"]
         dense = size["n_core"] > 0.5 * size["n"]
         rows = [
-            ("proven_ratio", float(self.plan.ratio), self.plan.why),
-            ("guarantee", float(self.plan.guarantee), f"holds if the rough solutions are within beta = {self.spec.beta} of the optimum"),
+            ("proven_ratio", math.inf if self.doubt else float(self.plan.ratio), f"no proven ratio: {self.doubt}" if self.doubt else self.plan.why),
+            ("guarantee", float(self.plan.guarantee and not self.doubt), f"no proven ratio: {self.doubt}" if self.doubt else f"holds if the rough solutions are within beta = {self.spec.beta} of the optimum"),
             ("cost", float(cost or 0), f"k-{self.spec.objective} cost of all points"),
             ("core_rows", float(size["n_core"]), "no compression at this eps and dimension" if dense else "rows of the summary"),
             ("compression", float(size["compression"] or 0), "points per summary row"),
@@ -58,15 +61,15 @@ def _prepared(points: DataFrame, spec: ClusterSpec, alpha: float, rounds: int |
     return (pts if "part" in pts.columns else by_hash(pts, plan.parts)), plan
 
 
-def _solved(rows: DataFrame, spec: ClusterSpec, metric: Metric, scratch: Scratch, method: str, **options) -> DataFrame:
-    """Centers of the summary: in one task, after one more reduction, or by distributed swaps where even that is too large."""
-    n = rows.count()
+def _solved(rows: DataFrame, spec: ClusterSpec, metric: Metric, scratch: Scratch, method: str, **options) -> tuple[DataFrame, str | None]:
+    """Centers of the summary, in one task, after one more reduction, or by distributed swaps where even that is too large; and why no ratio is proven, if so."""
+    n, doubt = rows.count(), None
     if n > MOST_ROWS:
         rows = reduce_again(rows, spec, metric, MOST_ROWS, scratch).rows
-        n = rows.count()
+        n, doubt = rows.count(), "the summary was reduced once more"
     if n > MOST_ROWS:
-        return local_search_distributed(rows, spec.k, metric, spec.p)
-    return scratch.write(solve(rows, spec.k, metric, spec.p, method, **options), "centers")
+        return local_search_distributed(rows, spec.k, metric, spec.p), f"{doubt}, and swaps with a sample of its rows were tried"
+    return scratch.write(solve(rows, spec.k, metric, spec.p, method, **options), "centers"), doubt
 
 
 def cluster(points: DataFrame, spec: ClusterSpec, metric: Metric, alpha: float = 5.0, rounds: int = 2, rows_per_part: int = ROWS, method: str = "local_search", validate: bool = True, **options) -> ClusterResult:
@@ -74,7 +77,8 @@ def cluster(points: DataFrame, spec: ClusterSpec, metric: Metric, alpha: float =
     scratch = Scratch(points.sparkSession, "cluster")
     pts, plan = _prepared(points, spec, alpha, rounds, rows_per_part, False, validate)
     cs = two_round(pts, spec, metric, scratch=scratch) if rounds == 2 else one_round(pts, spec, metric, scratch=scratch)
-    return ClusterResult(_solved(cs.rows, spec, metric, scratch, method, **options), cs, plan, pts, metric, spec)
+    centers, doubt = _solved(cs.rows, spec, metric, scratch, method, **options)
+    return ClusterResult(centers, cs, plan, pts, metric, spec, doubt)
 
 
 def cluster_fast(points: DataFrame, spec: ClusterSpec, metric: Metric, **options) -> ClusterResult:

@@ -241,6 +241,15 @@ def test_other_solvers_do_not_beat_the_optimum():
         S.exact(e, np.zeros((3000, 1)), np.ones(3000), 3, 1)
 
 
+def test_no_ratio_is_claimed_for_sampled_swaps(spark, monkeypatch):
+    monkeypatch.setattr("coreclust.api.MOST_ROWS", 4)
+    monkeypatch.setattr("coreclust.api.reduce_again", lambda rows, *a: C.Coreset(rows, *[None] * (len(C.Coreset.__dataclass_fields__) - 1)))
+    r = cluster(line(spark, range(0, 900, 30)).select("id", "pt"), ClusterSpec(3, m=6), L1)
+    report = {x["key"]: x for x in r.report().collect()}
+    assert report["proven_ratio"]["value"] == math.inf and report["guarantee"]["value"] == 0
+    assert report["proven_ratio"]["note"].startswith("no proven ratio")
+
+
 def test_end_to_end_and_report(spark, tmp_path):
     rng = np.random.default_rng(15)
     xs = np.concatenate([rng.integers(c, c + 50, 60) for c in (0, 1000, 5000)])
