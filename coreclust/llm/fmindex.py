@@ -6,16 +6,21 @@ that could hold a window are sorted into a suffix array, whose transform is kept
 matrix.  All windows are searched backwards at once, their occurrences are located by walking
 to sampled suffix positions, and the occurrences are merged into removal spans.
 
-Benchmark windows travel to the tasks in blocks of at most `BLOCK_WORDS` words; a larger
-benchmark takes several passes whose spans are united, so nothing unbounded is broadcast.
+Distinct benchmark rows are dealt by hash into blocks of about `BLOCK_WORDS` words.  The driver
+holds the windows of one block at a time; with several blocks each pass is written before the
+next block is read, and the passes' spans are united, so nothing unbounded is broadcast.
 
 Edge cases.  Null or empty text: no words, nothing hit.  Null or empty items have no window.
-An empty benchmark or table gives clean rows or none.  Repeated rows are answered each.  A
-document longer than a shard is a shard of its own.
+Items are told apart by their id as text: repeated rows of an item, and several texts of one id,
+are one item.  An item without an id has windows, which are hit and removed, but no name, so it
+is neither counted nor listed.  An empty benchmark or table gives clean rows or none.  Repeated
+documents are answered each.  A document longer than a shard, or an item longer than a block,
+is one of its own.
 """
 
 from __future__ import annotations
 
+import functools
 from collections.abc import Iterator
 
 import numpy as np
@@ -23,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import ALNUM_WORDS, encode, map_rows, ragged, slices
+from .common import ALNUM_WORDS, Scratch, encode, map_rows, ragged, slices
 
 SHARD_WORDS = 1_000_000
 BLOCK_WORDS = 500_000
@@ -158,14 +163,15 @@ class Windows:
 
     def __init__(self, items: list[tuple[object, str | None]], width: int = 13):
         self.vocabulary: dict[bytes, int] = {}
-        self.names: list[object] = []
+        number: dict[str, int] = {}
         found: dict[tuple[int, ...], set[int]] = {}
         for name, text in items:
             ids = [self.vocabulary.setdefault(w, len(self.vocabulary) + 1) for w in words_of(text)]
-            if ids:
-                self.names.append(name)
             for k in range(max(1, len(ids) - width + 1) if ids else 0):
-                found.setdefault(tuple(ids[k : k + width]), set()).add(len(self.names) - 1)
+                named = found.setdefault(tuple(ids[k : k + width]), set())
+                if name is not None:
+                    named.add(number.setdefault(str(name), len(number)))
+        self.names = list(number)
         self.lengths = np.array([len(x) for x in found], np.int64)
         self.table = np.zeros((len(found), width), np.int64)
         for k, x in enumerate(found):
@@ -192,7 +198,6 @@ class Windows:
         return place[index.locate(ragged(lo, hi - lo))], np.repeat(np.arange(len(lo)), hi - lo)
 
 
-
 def merged(start: np.ndarray, end: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Which of n places lie in a span, and the united spans."""
     step = np.zeros(n + 1, np.int64)
@@ -203,7 +208,7 @@ def merged(start: np.ndarray, end: np.ndarray, n: int) -> tuple[np.ndarray, np.n
     return hit, edge[::2], edge[1::2]
 
 
-def search_shard(windows: Windows, docs: list[list[bytes]]) -> tuple[list[list[tuple[int, int]]], list[list[object]]]:
+def search_shard(windows: Windows, docs: list[list[bytes]]) -> tuple[list[list[tuple[int, int]]], list[list[str]]]:
     """Per document of a shard: united spans of words, and names of the items met."""
     get = windows.vocabulary.get
     size = np.array([len(d) for d in docs], np.int64)
@@ -214,8 +219,8 @@ def search_shard(windows: Windows, docs: list[list[bytes]]) -> tuple[list[list[t
     spans: list[list[tuple[int, int]]] = [[] for _ in docs]
     for d, a, b in zip(np.searchsorted(begin, start, side="right") - 1, start, end, strict=True):
         spans[d].append((int(a - begin[d]), int(b - begin[d])))
-    met: list[list[object]] = [[] for _ in docs]
-    if len(at):
+    met: list[list[str]] = [[] for _ in docs]
+    if len(at) and windows.names:
         doc = np.searchsorted(begin, at, side="right") - 1
         pair = np.unique(np.repeat(doc, windows.item_n[which]) * len(windows.names) + windows.item[ragged(windows.item_at[which], windows.item_n[which])])
         for p in pair.tolist():
@@ -238,7 +243,7 @@ def _pass(docs: DataFrame, windows: Windows, shard_words: int) -> DataFrame:
 
         def out():
             spans, met = search_shard(w, [x[2] for x in held])
-            rows = {"doc_id": [x[0] for x in held], "text_key": [x[1] for x in held], "n_words": [len(x[2]) for x in held], "spans": [[{"start": a, "end": b} for a, b in s] for s in spans], "items": [list(map(str, m)) for m in met]}
+            rows = {"doc_id": [x[0] for x in held], "text_key": [x[1] for x in held], "n_words": [len(x[2]) for x in held], "spans": [[{"start": a, "end": b} for a, b in s] for s in spans], "items": met}
             held.clear()
             return pa.RecordBatch.from_pydict(rows, schema=schema)
 
@@ -256,24 +261,29 @@ def _pass(docs: DataFrame, windows: Windows, shard_words: int) -> DataFrame:
     return docs.mapInArrow(run, SPANS)
 
 
-def contaminated_spans(docs: DataFrame, benchmark: DataFrame, width: int = 13, id_col: str = "doc_id", text: str = "text", item: str = "item_id", shard_words: int = SHARD_WORDS, block_words: int = BLOCK_WORDS) -> DataFrame:
+def item_blocks(benchmark: DataFrame, item: str, text: str, words: int) -> tuple[DataFrame, int]:
+    """(item, text, block) of the distinct benchmark rows with text, and the number of blocks of about `words` words."""
+    rows = benchmark.select(F.col(item).cast("string").alias("item"), F.col(text).alias("text")).where(F.col("text").isNotNull()).distinct()
+    n_words = F.size(F.split("text", r"[\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"))
+    total = rows.agg(F.coalesce(F.sum(n_words), F.lit(0))).first()[0]
+    blocks = max(1, -(-int(total) // words))
+    return rows.withColumn("block", F.pmod(F.xxhash64("item", "text"), F.lit(blocks))), blocks
+
+
+def contaminated_spans(docs: DataFrame, benchmark: DataFrame, width: int = 13, id_col: str = "doc_id", text: str = "text", item: str = "item_id", item_text: str = "text", shard_words: int = SHARD_WORDS, block_words: int = BLOCK_WORDS) -> DataFrame:
     """(doc_id, n_words, spans, items): removal spans in words, united, and the items met."""
     rows = docs.select(F.col(id_col).alias("doc_id"), F.xxhash64(text).alias("text_key"), F.col(text).alias("text"))
-    blocks, held, n = [], [], 0
-    for name, t in benchmark.select(item, "text").toLocalIterator():
-        held.append((name, t))
-        n += len(words_of(t))
-        if n >= block_words:
-            blocks.append(Windows(held, width))
-            held, n = [], 0
-    if held or not blocks:
-        blocks.append(Windows(held, width))
-    found = _pass(rows, blocks[0], shard_words)
-    if len(blocks) == 1:
-        return found.select("doc_id", "n_words", "spans", "items")
-    for b in blocks[1:]:
-        found = found.unionByName(_pass(rows, b, shard_words))
-    found = found.groupBy("doc_id", "text_key", "n_words").agg(F.flatten(F.collect_list("spans")).alias("spans"), F.array_distinct(F.flatten(F.collect_list("items"))).alias("items"), (F.count("*") / len(blocks)).cast("int").alias("copies"))
+    dealt, blocks = item_blocks(benchmark, item, item_text, block_words)
+
+    def windows(b: int) -> Windows:
+        return Windows([(r["item"], r["text"]) for r in dealt.where(F.col("block") == b).select("item", "text").toLocalIterator()], width)
+
+    if blocks == 1:
+        return _pass(rows, windows(0), shard_words).select("doc_id", "n_words", "spans", "items")
+    scratch = Scratch(docs.sparkSession, "fmindex")
+    dealt = scratch.write(dealt, "items")
+    found = functools.reduce(DataFrame.unionByName, [scratch.write(_pass(rows, windows(b), shard_words), "pass") for b in range(blocks)])
+    found = found.groupBy("doc_id", "text_key", "n_words").agg(F.flatten(F.collect_list("spans")).alias("spans"), F.array_distinct(F.flatten(F.collect_list("items"))).alias("items"), (F.count("*") / blocks).cast("int").alias("copies"))
 
     def make():
         def f(ids, n_words, spans, items, copies):

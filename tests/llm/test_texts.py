@@ -39,13 +39,13 @@ def plain_contamination(docs, items, width=13):
     for name, t in items:
         w = WORDS.findall(lower(t))
         for k in range(max(1, len(w) - width + 1) if w else 0):
-            windows.setdefault(tuple(w[k : k + width]), set()).add(name)
+            windows.setdefault(tuple(w[k : k + width]), set()).update(() if name is None else (name,))
     out = []
     for i, t in docs:
         w, hit, met = WORDS.findall(lower(t)), set(), set()
         for n in {len(x) for x in windows}:
             for k in range(len(w) - n + 1):
-                if got := windows.get(tuple(w[k : k + n])):
+                if (got := windows.get(tuple(w[k : k + n]))) is not None:
                     hit |= set(range(k, k + n))
                     met |= got
         names = ",".join(sorted(map(str, met)))
@@ -84,6 +84,7 @@ def test_contamination_equals_brute_force(spark, shard_words, block_words):
     docs = random_docs(1)
     rng = random.Random(2)
     items = [(100 + k, " ".join(docs[rng.randrange(60)][1].split()[:n])) for k, n in enumerate((3, 14, 20, 1, 13, 0, 40))] + [(200, None), (201, "...")]
+    items += items[:4] + [(101, docs[3][1]), (None, docs[5][1]), (None, docs[5][1])]  # repeated rows, a second text of an item, items without an id
     docs += [(i, f"some {items[2][1].upper()} tail") for i in (90, 91)] + [(92, None), (90, f"some {items[2][1].upper()} tail")]
     d, b = spark.createDataFrame(docs, "doc_id long, text string"), spark.createDataFrame(items, "item_id long, text string")
     found = fmindex.contaminated_spans(d, b, shard_words=shard_words, block_words=block_words)
@@ -403,6 +404,11 @@ def test_language_edges(odd, nothing):
     assert {r["lang_pred"] for r in langid.identify(odd, langid.fit(nothing)).collect()} == {"und"}
     assert langid.identify(nothing, p).count() == 0
     assert langid.annotated(odd, p).columns == [*odd.columns, "lang_pred", "lang_score"]
+    clash = odd.withColumn("lang_pred", F.lit("x")).withColumn("lang_score", F.lit(-1))
+    kept = langid.recognised(clash, p, 0.1)
+    assert kept.columns == clash.columns and {r["lang_pred"] for r in kept.collect()} == {"x"}
+    assert kept.count() == langid.recognised(odd, p, 0.1).count()
+    assert langid.annotated(clash, p).columns == [*odd.columns, "lang_pred", "lang_score"]
 
 
 # ---------------------------------------------------------------- rules and weak labels
