@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import extend_rows, map_rows
+from .common import SLICE, extend_rows, map_rows
 
 #: Length of a profile.
 TOP = 300
@@ -159,8 +159,9 @@ def identify(docs: DataFrame, profiles: DataFrame, id_col: str = "doc_id", text:
 
 
 def annotated(docs: DataFrame, profiles: DataFrame, text: str = "text", top: int = TOP) -> DataFrame:
-    """`docs` with `lang_pred` and `lang_score` added."""
+    """`docs` with `lang_pred` and `lang_score` added; columns of these names are replaced."""
     one = _predictor(profiles, top)
+    docs = docs.drop("lang_pred", "lang_score")
 
     def make():
         def f(texts):
@@ -170,3 +171,18 @@ def annotated(docs: DataFrame, profiles: DataFrame, text: str = "text", top: int
         return f
 
     return extend_rows(docs, [text], make, "lang_pred string, lang_score double")
+
+
+def recognised(docs: DataFrame, profiles: DataFrame, least: float, text: str = "text", top: int = TOP) -> DataFrame:
+    """The rows and columns of `docs` whose text has letters and scores at least `least` with its nearest profile."""
+    one = _predictor(profiles, top)
+    where = docs.columns.index(text)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for at in range(0, batch.num_rows, SLICE):
+                part = batch.slice(at, SLICE)
+                got = [one(t) for t in part.column(where).to_pylist()]
+                yield part.filter(pa.array([lang != "und" and score >= least for lang, score in got], pa.bool_()))
+
+    return docs.mapInArrow(run, docs.schema)
