@@ -9,9 +9,11 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """spark.checkpoint.dir as the session has it; only where it is unset (tests) a temporary folder of our own."""
+    """spark.checkpoint.dir as the session has it; where it is unset, a temporary folder of our own, but on one machine only."""
     known = spark.conf.get("spark.checkpoint.dir", None) or spark.conf.get("coreclust.shared.dir", None)
     if not known:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         known = "file://" + tempfile.mkdtemp(prefix="coreclust-")
         spark.conf.set("coreclust.shared.dir", known)
     return known.rstrip("/")

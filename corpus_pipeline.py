@@ -21,8 +21,7 @@ LEAST_SCORE = 0.1
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keeps documents with letters that some learned profile resembles."""
     profiles = langid.fit(docs.where(doc_hash(5) != 0))
-    known = langid.annotated(docs, profiles).where((F.col("lang_pred") != "und") & (F.col("lang_score") >= LEAST_SCORE))
-    return known.select(*docs.columns)
+    return langid.recognised(docs, profiles, LEAST_SCORE)
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -150,3 +150,10 @@ def test_entry_without_the_corpus_operators(tmp_path):
     got = subprocess.run([sys.executable, "-c", code], cwd=tmp_path / "repo", capture_output=True, text=True, env={"PATH": "/usr/bin:/bin", "PYTHONPATH": str(tmp_path / "repo")})
     n, found, covered = got.stdout.split()
     assert int(n) >= 70 and found == "False" and covered == "True", got.stderr
+
+
+def test_entry_without_a_library_of_the_corpus_operators():
+    """A missing library takes the corpus queries with it, and no other."""
+    code = "import sys; sys.modules['zstandard'] = None; import __spark_entry__ as e; q = e.queries(); print(len(q), any(k.startswith('op') or k == 'pipeline' for k in q), set(e.oracle_sql()) <= set(q))"
+    got = subprocess.run([sys.executable, "-c", code], cwd=Path(__file__).resolve().parent.parent, capture_output=True, text=True, check=True).stdout.split()
+    assert int(got[0]) == len(W.QUERIES) and got[1:] == ["False", "True"]
