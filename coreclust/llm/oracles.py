@@ -2,6 +2,7 @@ r"""SQL counterparts of the corpus queries, for an engine with lists and lambdas
 
 from __future__ import annotations
 
+from . import pii
 from .rules import RULES, mask
 
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
@@ -35,18 +36,61 @@ _KINDS = {
 }
 
 
-def _spans(order: int, kind: str, pattern: str, valid: str) -> str:
-    return f"""select doc_id, {order} as k, '{kind}' as kind, a as s, a + length(m) as e from (
-  select doc_id, m, regexp_replace(m, '[^0-9]', '', 'g') as g, coalesce(list_sum(list_transform(between_[1:i], lambda x: length(x))), 0)::bigint + coalesce(list_sum(list_transform(ms[1:i - 1], lambda x: length(x))), 0)::bigint as a
+#: Characters between words, and between tokens that could be identifiers.
+_SPACE = r"\t\n\x0B\f\r\x20\x22\x27()"
+_EDGE = _SPACE + ",;:="
+_FREE = rf"[^{_EDGE}0-9]*(?:[0-9][^{_EDGE}0-9]*){{3,}}|[^{_EDGE}]*?(?:@|\[at\])[^{_EDGE}]+"
+_TRIMMED = f"rtrim(m, '{pii.TRAILING}')"
+
+
+def _words(x: str) -> str:
+    return f"list_transform(list_filter(string_split_regex(lower({x}), '[{_SPACE}]+'), lambda t: t <> ''), lambda t: case when regexp_matches(t, '[0-9@]') then '#' else t end)"
+
+
+def _matched(order: int, pattern: str, valid: str) -> str:
+    """All valid matches of a shape: where, the value, and the words before and after it."""
+    return f"""select doc_id, {order} as k, m, a as s, a + length(m) as e, i = 1 as is_first, {_words('between_[i]')} as l, {_words('between_[i + 1]')} as r from (
+  select *, regexp_replace(m, '[^0-9]', '', 'g') as g, coalesce(list_sum(list_transform(between_[1:i], lambda x: length(x))), 0)::bigint + coalesce(list_sum(list_transform(ms[1:i - 1], lambda x: length(x))), 0)::bigint as a
   from (select doc_id, between_, ms, i, ms[i] as m from (select *, unnest(range(1, len(ms) + 1)) as i from (select doc_id, string_split_regex(text, '{pattern}') as between_, regexp_extract_all(text, '{pattern}') as ms from t)))) where {valid}"""
 
 
-#: Base spans; the given tables repeat no context, so the method adds none there.
+def _round(n: int) -> str:
+    """One round of scores: patterns by their sure instances, then unknown instances by their patterns."""
+    return f"""score{n} as materialized (select pattern, y.kind, sum(y.sure) / any_value(instances) * any_value(special) as sure from pairs join sure{n - 1} y using (value) join totals using (pattern) join special using (pattern) group by pattern, y.kind),
+sure{n} as materialized (select value, kind, 1.0::double as sure from seeds union all (select value, s.kind, 1 - exp(sum(ln(greatest(1e-6, 1 - s.sure)))) as sure from pairs join score{n} s using (pattern) where value not in (select value from seeds) group by value, s.kind having 1 - exp(sum(ln(greatest(1e-6, 1 - s.sure)))) >= {pii.SURE}))"""
+
+
+def _list(condition: str) -> str:
+    return f"string_agg(['email', 'ip', 'card', 'phone', 'secret'][k + 1] || ':' || s || ':' || e, ',' order by k, s, e) filter ({condition})"
+
+
+#: Base spans, the pattern graph over them and the free tokens, its rounds, and the spans that sure patterns add.
 PII = f"""
-with t as (select doc_id, coalesce(text, '') as text from documents),
-s as ({' union all '.join(_spans(k, n, *v) for k, (n, v) in enumerate(_KINDS.items()))}),
-a as (select doc_id, {', '.join(f"count(*) filter (kind = '{n}') as n_{n}" for n in _KINDS)}, string_agg(kind || ':' || s || ':' || e, ',' order by k, s) as spans from s group by doc_id)
-select t.doc_id, {', '.join(f'coalesce(n_{n}, 0)::bigint as n_{n}' for n in _KINDS)}, sha256(coalesce(spans, '')) as base_sha256, coalesce(spans, '') as spans from t left join a using (doc_id)"""
+with t as materialized (select doc_id, coalesce(text, '') as text from documents),
+b as materialized ({' union all '.join(_matched(k, *v) for k, v in enumerate(_KINDS.values()))}),
+loose as ({_matched(-1, _FREE, 'true')}),
+free as materialized (select doc_id, s, s + length(v) as e, regexp_matches(v, '@|\\[at\\]') as is_at, case when regexp_matches(v, '^[A-Za-z0-9_-]{{32,}}$') and regexp_matches(v, '[0-9]') and regexp_matches(v, '[A-Za-z]') then 4 else -1 end as k, v as m, is_first, l, r
+  from (select *, case when {_TRIMMED} = '' then m else {_TRIMMED} end as v from loose where not exists (select 1 from b where b.doc_id = loose.doc_id and b.s < loose.e and loose.s < b.e))),
+seen as (select doc_id, s, e, null as is_at, k as kind, m as value, is_first, l, r from b union all select doc_id, s, e, is_at, k, m, is_first, l, r from free),
+slot as materialized (select doc_id, s, e, is_at, kind, value, unnest([1, 2, 3]) as turn, unnest([case when len(r) > 0 then l[-1] || ' _ ' || r[1] end, case when len(l) > 1 then l[-2] || ' ' || l[-1] when not is_first then '# ' || l[-1] end, l[-1]]) as pattern from seen where len(l) > 0),
+edge as materialized (select pattern, value, kind, count(*) as n from slot where pattern is not null group by all),
+likely as materialized (select pattern, sum(n) as n_seen from edge group by pattern having count(*) filter (kind >= 0) >= {pii.SEEDS}),
+w as (select {_words('text')} as w from t),
+gram as (select unnest([w[i], w[i] || ' ' || w[i + 1], w[i] || ' _ ' || w[i + 2]]) as pattern from (select w, unnest(range(1, len(w) + 1)) as i from w)),
+place as (select pattern, count(*) as places from gram join likely using (pattern) group by pattern),
+special as materialized (select pattern, n_seen / greatest(n_seen, coalesce(places, 0)) as special from likely left join place using (pattern) where n_seen / greatest(n_seen, coalesce(places, 0)) >= {pii.SURE}),
+graph as materialized (select edge.* from edge join special using (pattern)),
+seeds as materialized (select value, max(kind) as kind from graph group by value having max(kind) >= 0),
+pairs as materialized (select distinct pattern, value from graph),
+totals as materialized (select pattern, count(*) as instances from pairs group by pattern),
+sure0 as materialized (select value, kind, 1.0::double as sure from seeds),
+{', '.join(_round(n) for n in range(1, pii.ROUNDS + 1))},
+best as (select pattern, arg_max(kind, (sure, -kind)) as kind from score{pii.ROUNDS} where sure >= {pii.SURE} group by pattern),
+met as (select doc_id, s, e, arg_min(best.kind, turn) as k from slot join best using (pattern) where is_at = (best.kind = 0) group by doc_id, s, e),
+every as (select doc_id, s, e, k, true as is_base from b union all select doc_id, s, e, k, false from met),
+a as (select doc_id, {', '.join(f"count(*) filter (is_base and k = {k}) as n_{n}" for k, n in enumerate(_KINDS))}, {_list('is_base')} as base, {_list('k < 4')} as spans, count(*) filter (k = 4) as n_secret, {_list('k = 4')} as secrets, count(*) as n_spans from every group by doc_id)
+select t.doc_id, {', '.join(f'coalesce(n_{n}, 0)::bigint as n_{n}' for n in _KINDS)}, sha256(coalesce(base, '')) as base_sha256, coalesce(spans, '') as spans, coalesce(n_secret, 0)::bigint as n_secret, coalesce(secrets, '') as secrets, coalesce(n_spans, 0)::bigint as n_spans
+from t left join a using (doc_id)"""
 
 NEAR_DUPLICATES = f"""
 with recursive w as (select doc_id, regexp_extract_all({_low('text')}, '{WORD}') as w from documents),

@@ -1,16 +1,19 @@
 """Personal data: shape matches, widened by bootstrapped contextual extraction.
 
-Shapes (e-mail, IP address, payment card, phone) give the base spans and the seed entities.
-The one or two tokens before an entity are a lexical pattern.  Patterns and the identifier-like
-tokens that follow them form a graph; Spark scores it in rounds: a pattern is as sure as the
-share of its instances that are known, weighed by how often the pattern stands before an
-identifier at all, and an instance is as sure as its patterns together.  Patterns that end up
-sure, with several different seeds, mark identifiers which no shape matched.
+Shapes (e-mail, IP address, payment card, phone) give the base spans and the seed entities; long
+mixed keys are seeds of a fifth kind, `secret`, whose shape alone is never enough for a span.
+The tokens around an entity are its lexical patterns: the token before it, the two before it, and
+the one before with the one after.  Tokens with a digit or an @ are one class, `#`.  Patterns and
+the identifier-like tokens in their slots form a graph; Spark scores it in rounds: a pattern is
+as sure as the share of its instances that are known, weighed by how often the pattern holds an
+identifier at all, and an instance is as sure as its patterns together; it counts for patterns
+once it is sure itself.  Patterns that end up sure, with several different seeds, mark
+identifiers which no shape matched, the most telling pattern first.
 
 Everything runs on DataFrame functions.  Positions are code points, ends exclusive.
 
 Edge cases.  Null text counts as empty: no spans.  Repeated rows are answered each but count
-once as a seed value.  Without seeds or repeated contexts nothing is added.  Shape patterns are
+once as a seed value.  Without seeds or repeated contexts nothing is added.  Shapes are
 possessive and start only where a run starts, so long runs cost linear time.
 """
 
@@ -22,6 +25,8 @@ from pyspark.sql import functions as F
 from .common import Scratch
 
 KINDS = ("email", "ip", "card", "phone")
+#: Kinds that only contexts give follow the base kinds.
+FOUND = (*KINDS, "secret")
 #: Same matches as the plain shapes: a run is entered at its start (or right after a match), and never given back.
 SHAPES = {
     "email": r"(?:(?<![A-Za-z0-9._%+-])|\G)[A-Za-z0-9._%+-]++@[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]++)++",
@@ -30,88 +35,94 @@ SHAPES = {
     "phone": r"\+[0-9][\x20().0-9-]+[0-9]",
 }
 OCTETS = r"^0*(?:25[0-5]|2[0-4][0-9]|1?[0-9]?[0-9])(?:\.0*(?:25[0-5]|2[0-4][0-9]|1?[0-9]?[0-9])){3}$"
-#: A token that could be an identifier: no spaces, at least three digits in it.
-CANDIDATE = r"(?<![^\s,;:=\x22'(])[^\s,;:=\x22'(0-9]*+(?:[0-9][^\s,;\x22')0-9]*+){3,}+"
-#: Code points before a span in which its context is looked for.
-REACH = 96
-#: Different seed values, share of known instances, and share of all its places, that a pattern needs.
-SEEDS, SURE, SPECIFIC = 3, 0.6, 0.5
+#: Characters between words, and between tokens that could be identifiers; single ones, as ranges make slow classes.
+SPACE = r"\t\n\x0B\f\r\x20\x22\x27()"
+EDGE = SPACE + ",;:="
+DIGITS = "0123456789"
+#: A token that could be an identifier: at least three digits in it, or an address sign; its span ends before trailing marks.
+CANDIDATE = rf"(?<![^{EDGE}])(?:[^{EDGE}{DIGITS}]*+(?:[{DIGITS}][^{EDGE}{DIGITS}]*+){{3,}}+|[^{EDGE}]*?(?:@|\[at\])[^{EDGE}]++)"
+TRAILING = ".!?*#$%&|<>-_/"
+#: A key: long, of letters and digits.
+SECRET = (r"^[A-Za-z0-9_-]{32,}$", "[0-9]", "[A-Za-z]")
+#: Different seed values, and share of known instances times share of all its places, that a pattern needs; an instance counts from the latter on.
+SEEDS, SURE = 3, 0.5
 #: Supported patterns up to which their places are looked up by a broadcast; beyond, places are counted first and then joined.
 SENT = 50_000
+#: Entries of a running sum that are made at a time.
+CHUNK = 256
 ROUNDS = 3
+SPAN = "struct<kind:int,start:int,end:int>"
 
 
-def spans(text: Column, shape: str) -> Column:
-    """array<struct<start, end, value>> of the leftmost non-overlapping matches."""
-    between, hits = F.split(text, shape, -1), F.regexp_extract_all(text, F.lit(shape), F.lit(0))
-    both = F.zip_with(F.slice(between, F.lit(1), F.size(hits)), hits, lambda b, h: F.struct(F.length(b).alias("gap"), h.alias("value")))
-    kind = "struct<at:int,out:array<struct<start:int,end:int,value:string>>>"
-    start = F.struct(F.lit(0).alias("at"), F.array().cast("array<struct<start:int,end:int,value:string>>").alias("out")).cast(kind)
-
-    def step(acc, m):
-        a = acc["at"] + m["gap"]
-        b = a + F.length(m["value"])
-        return F.struct(b.alias("at"), F.concat(acc["out"], F.array(F.struct(a.alias("start"), b.alias("end"), m["value"].alias("value")))).alias("out")).cast(kind)
-
-    return F.aggregate(both, start, step, lambda acc: acc["out"])
+MATCHES = "array<struct<start:int,end:int,value:string,patterns:array<bigint>>>"
+#: Conditions on a match `m` of each base kind, and on a free token `v` that is a key.
+DIGITS_OF = "length(regexp_replace(m.value, '[^0-9]', ''))"
+VALID = {
+    "email": "true",
+    "ip": f"m.value rlike r'{OCTETS}'",
+    "card": f"{DIGITS_OF} between 13 and 19 and luhn_check(regexp_replace(m.value, '[^0-9]', ''))",
+    "phone": f"{DIGITS_OF} between 9 and 15",
+}
+#: What a text must hold for a kind: a cheap test that spares most texts the search.
+MAY = {"email": "contains(text, '@')", "ip": r"text rlike r'[0-9]\.[0-9]'", "card": r"text rlike r'[0-9](?:[\x20-]?[0-9]){12}'", "phone": r"text rlike r'\+[0-9]'"}
+IS_SECRET = " and ".join(f"v rlike r'{x}'" for x in SECRET)
 
 
-def _valid(kind: str, value: Column) -> Column:
-    digits = F.regexp_replace(value, "[^0-9]", "")
-    if kind == "ip":
-        return value.rlike(OCTETS)
-    if kind == "card":
-        return F.length(digits).between(13, 19) & F.call_function("luhn_check", digits)
-    if kind == "phone":
-        return F.length(digits).between(9, 15)
-    return F.lit(True)
+def words(text: str) -> str:
+    """SQL of the lower-case words of a text, those with a digit or an @ as `#`."""
+    classed = rf"regexp_replace(lower({text}), r'(?<![^{SPACE}])[^{SPACE}{DIGITS}@]*+[{DIGITS}@][^{SPACE}]*+', '#')"
+    return f"filter(split(if({text} rlike '[0-9@]', {classed}, lower({text})), r'[{SPACE}]+'), t -> t <> '')"
 
 
-def _checker(kind: str):
-    return lambda m: _valid(kind, m["value"])
+def keys(a: str, b: str, c: str) -> str:
+    """SQL of the hashes of the patterns `a _ c`, `a b` and `a` of three words in a row; null where a word is missing."""
+    return f"array(if({c} is null, null, xxhash64(3, {a}, {c})), if({b} is null, null, xxhash64(2, {a}, {b})), xxhash64(1, {a}))"
 
 
-def _tagger(i: int):
-    return lambda m: F.struct(F.lit(i).alias("kind"), m["start"].alias("start"), m["end"].alias("end"), m["value"].alias("value"))
+def patterns(before: str, after: str, first: str) -> str:
+    """SQL of a match's patterns [around, two, one], from the words before it, since the match before (none for the `first`), and after it."""
+    last = "w.l[size(w.l) - 1]"
+    two = f"if(size(w.l) > 1, xxhash64(2, w.l[size(w.l) - 2], {last}), if({first}, null, xxhash64(2, '#', {last})))"
+    around = f"if(size(w.r) > 0, xxhash64(3, {last}, w.r[0]), null)"
+    return f"transform(array(struct({words(before)} as l, {words(after)} as r)), w -> if(size(w.l) > 0, array({around}, {two}, xxhash64(1, {last})), cast(array() as array<bigint>)))[0]"
 
 
-def base_spans(text: Column) -> dict[str, Column]:
-    """Valid spans by kind; a cheap test spares texts that cannot hold the kind."""
-    may = {"email": F.contains(text, F.lit("@")), "ip": text.rlike(r"[0-9]\.[0-9]"), "card": text.rlike(r"[0-9](?:[\x20-]?[0-9]){12}"), "phone": text.rlike(r"\+[0-9]")}
-    none = F.array().cast("array<struct<start:int,end:int,value:string>>")
-    return {k: F.when(may[k], F.filter(spans(text, SHAPES[k]), _checker(k))).otherwise(none) for k in KINDS}
+def running(lengths: str) -> str:
+    """SQL of the running sums of an array, in chunks, as a sum that grows by one entry at a time copies all before it."""
+    last = "if(size({0}) = 0, 0, {0}[size({0}) - 1])"
+    summed = lambda x: f"aggregate({x}, cast(array() as array<int>), (acc, y) -> concat(acc, array({last.format('acc')} + y)))"
+    parts = f"transform(transform(sequence(0, cast((size(a) - 1) div {CHUNK} as int)), k -> slice(a, k * {CHUNK} + 1, {CHUNK})), c -> {summed('c')})"
+    joined = f"flatten(zip_with(q, {summed(f'transform(q, c -> {last.format("c")})')}, (c, o) -> transform(c, e -> e + o - c[size(c) - 1])))"
+    return f"transform(array({lengths}), a -> transform(array({parts}), q -> {joined})[0])[0]"
 
 
-def _context(text: Column, start: Column) -> Column:
-    """struct<one, two>: the last token and the last two tokens before a position, lower case; null where missing."""
-    low = F.greatest(start - REACH, F.lit(0))
-    left = F.filter(F.split(F.lower(F.substring(text, low + 1, start - low)), r"[\s\x22'(]+"), lambda t: t != "")
-    n = F.size(left)
-    one = F.when(n >= 1, F.element_at(left, F.lit(-1)))
-    two = F.when(n >= 2, F.concat_ws(" ", F.element_at(left, F.lit(-2)), F.element_at(left, F.lit(-1))))
-    return F.struct(one.alias("one"), two.alias("two"))
+def matches(shape: str, valid: str = "true") -> str:
+    """SQL of array<struct<start, end, value, patterns>>: the leftmost non-overlapping matches in `text` that are valid."""
+    ends = running("zip_with(slice(x.p, 1, size(x.h)), x.h, (b, h) -> length(b) + length(h))")
+    hit = "struct(x.e[i] - length(v) as start, x.e[i] as `end`, v as value, x.p[i] as before, x.p[i + 1] as after, i = 0 as first)"
+    found = f"transform(array(struct(split(text, r'{shape}', -1) as p, regexp_extract_all(text, r'{shape}', 0) as h)), x -> struct(x.p as p, x.h as h, {ends} as e))"
+    found = f"transform({found}, x -> transform(x.h, (v, i) -> {hit}))[0]"
+    return f"transform(filter({found}, m -> {valid}), m -> struct(m.start as start, m.`end` as `end`, m.value as value, {patterns('m.before', 'm.after', 'm.first')} as patterns))"
 
 
 def scanned(docs: DataFrame, id_col: str = "doc_id", text: str = "text", keep: bool = False) -> DataFrame:
-    """(doc_id, base, seeds, candidates): base spans by kind and start; entities and free tokens with their contexts.
+    """(doc_id, base, seeds, candidates): base spans by kind and start; entities and free tokens with their patterns.
 
     With `keep`, also the whole row of `docs`.
     """
     rest = ["doc"] * keep
+    none = f"cast(array() as {MATCHES})"
     rows = docs.select(F.col(id_col).alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text"), F.struct(*docs.columns).alias("doc"))
-    rows = rows.select("doc_id", "text", *rest, *[v.alias(k) for k, v in base_spans(F.col("text")).items()])
-    every = F.concat(*[F.transform(k, _tagger(i)) for i, k in enumerate(KINDS)])
-    rows = rows.select("doc_id", "text", *rest, every.alias("base"))
-    none = F.array().cast("array<struct<start:int,end:int,value:string>>")
-    loose = F.when(F.col("text").rlike("[0-9]{1}[^\\s]*[0-9]"), spans(F.col("text"), CANDIDATE)).otherwise(none)
-    loose = F.filter(loose, lambda c: ~F.exists("base", lambda b: (b["start"] < c["end"]) & (c["start"] < b["end"])))
-    rows = rows.select("doc_id", "text", *rest, "base", loose.alias("loose"))
-    context = lambda m: _context(F.col("text"), m["start"])
-    return rows.select(
+    every = [f"transform(if({MAY[k]}, {matches(SHAPES[k], VALID[k])}, {none}), m -> struct({i} as kind, m.start as start, m.`end` as `end`, m.value as value, m.patterns as patterns))" for i, k in enumerate(KINDS)]
+    loose = rf"if(text rlike r'[0-9@]|\[at\]', {matches(CANDIDATE)}, {none})"
+    rows = rows.selectExpr("doc_id", *rest, f"concat({', '.join(every)}) as base", f"{loose} as loose")
+    trimmed = f"if(rtrim('{TRAILING}', c.value) = '', c.value, rtrim('{TRAILING}', c.value))"
+    free = rf"struct(c.start as start, c.start + length(v) as `end`, v rlike r'@|\[at\]' as at, if({IS_SECRET}, {len(KINDS)}, -1) as kind, xxhash64(v) as value, c.patterns as patterns)"
+    return rows.selectExpr(
         "doc_id", *rest,
-        F.transform("base", lambda b: F.struct(b["kind"].alias("kind"), b["start"].alias("start"), b["end"].alias("end"))).alias("base"),
-        F.transform("base", lambda b: F.struct(b["kind"].alias("kind"), F.xxhash64(b["value"]).alias("value"), context(b).alias("context"))).alias("seeds"),
-        F.transform("loose", lambda c: F.struct(c["start"].alias("start"), c["end"].alias("end"), F.xxhash64(c["value"]).alias("value"), context(c).alias("context"))).alias("candidates"),
+        "transform(base, b -> struct(b.kind as kind, b.start as start, b.`end` as `end`)) as base",
+        "transform(base, b -> struct(b.kind as kind, xxhash64(b.value) as value, b.patterns as patterns)) as seeds",
+        f"transform(filter(loose, c -> not exists(base, b -> b.start < c.`end` and c.start < b.`end`)), c -> transform(array({trimmed}), v -> {free})[0]) as candidates",
     )
 
 
@@ -121,52 +132,55 @@ def numbered(found: DataFrame) -> DataFrame:
 
 
 def learn(docs: DataFrame, found: DataFrame, text: str = "text", scratch: Scratch | None = None, rounds: int = ROUNDS) -> DataFrame | None:
-    """(pattern, kind) of all sure patterns, from the pattern-instance graph of `found` and all places of the patterns in `docs`; None without any."""
+    """(pattern, kind) of all sure patterns by hash, from the pattern-instance graph of `found` and all places of the patterns in `docs`; None without any."""
     scratch = scratch or Scratch(docs.sparkSession, "pii")
-    pattern = lambda c: F.explode(F.array_compact(F.array(c["one"], c["two"]))).alias("pattern")
-    known = found.select(F.explode("seeds").alias("s")).select("s.kind", "s.value", pattern(F.col("s.context")))
-    free = found.select(F.explode("candidates").alias("c")).select(F.lit(-1).alias("kind"), "c.value", pattern(F.col("c.context")))
+    pattern = lambda c: F.explode(F.array_compact(c)).alias("pattern")
+    known = found.select(F.explode("seeds").alias("s")).select("s.kind", "s.value", pattern(F.col("s.patterns")))
+    free = found.select(F.explode("candidates").alias("c")).select("c.kind", "c.value", pattern(F.col("c.patterns")))
     edges = known.unionByName(free).groupBy("pattern", "value", "kind").agg(F.count("*").alias("n"))
-    support = edges.where("kind >= 0").groupBy("pattern").agg(F.count("*").alias("seeds"), F.sum("n").alias("n_seen")).where(F.col("seeds") >= SEEDS)
+    support = edges.groupBy("pattern").agg(F.count_if(F.col("kind") >= 0).alias("seeds"), F.sum("n").alias("n_seen")).where(F.col("seeds") >= SEEDS)
     likely = scratch.write(support, "likely")
     n_likely = likely.count()
     if not n_likely:
         return None
-    words = F.filter(F.split(F.lower(F.coalesce(F.col(text), F.lit(""))), r"\s+"), lambda t: t != "")
-    grams = docs.select(words.alias("w")).select(F.explode(F.concat(F.col("w"), F.zip_with("w", F.slice(F.col("w"), F.lit(2), F.greatest(F.size("w") - 1, F.lit(0))), lambda a, b: F.when(b.isNotNull(), F.concat(a, F.lit(" "), b))))).alias("pattern"))
+    three = "zip_with(zip_with(w, slice(w, 2, greatest(size(w) - 1, 0)), (a, b) -> struct(a, b)), slice(w, 3, greatest(size(w) - 2, 0)), (x, c) -> struct(x.a as a, x.b as b, c))"
+    grams = docs.select(F.coalesce(F.col(text), F.lit("")).alias("text")).selectExpr(f"{words('text')} as w").selectExpr(f"explode(flatten(transform({three}, x -> {keys('x.a', 'x.b', 'x.c')}))) as pattern")
     if n_likely <= SENT:
         grams = grams.join(F.broadcast(likely.select("pattern")), "pattern")
     places = grams.groupBy("pattern").agg(F.count("*").alias("places"))
-    special = likely.join(places, "pattern", "left").select("pattern", "seeds", (F.col("n_seen") / F.greatest(F.col("n_seen"), F.coalesce("places", F.lit(0)))).alias("special"))
-    special = scratch.write(special.where(F.col("special") >= SPECIFIC), "special")
+    special = likely.join(places, "pattern", "left").select("pattern", (F.col("n_seen") / F.greatest(F.col("n_seen"), F.coalesce("places", F.lit(0)))).alias("special"))
+    special = scratch.write(special.where(F.col("special") >= SURE), "special")
     if special.isEmpty():
         return None
     graph = scratch.write(edges.join(special.select("pattern"), "pattern", "left_semi"), "graph")
-    nodes = graph.select("value", F.when(F.col("kind") >= 0, F.col("kind")).alias("kind")).groupBy("value").agg(F.max("kind").alias("kind"))
-    sure = nodes.where("kind is not null").select("value", "kind", F.lit(1.0).alias("sure"))
+    nodes = graph.groupBy("value").agg(F.max("kind").alias("kind"))
+    seeds = nodes.where("kind >= 0")
+    sure = seeds.select("value", "kind", F.lit(1.0).alias("sure"))
     pairs = graph.select("pattern", "value").distinct()
     scores = None
     for _ in range(rounds):
         totals = pairs.groupBy("pattern").agg(F.count("*").alias("instances"))
         scores = pairs.join(sure, "value").groupBy("pattern", "kind").agg(F.sum("sure").alias("known")).join(totals, "pattern").join(special, "pattern")
-        scores = scratch.write(scores.select("pattern", "kind", "seeds", (F.col("known") / F.col("instances") * F.col("special")).alias("sure")), "scores")
+        scores = scratch.write(scores.select("pattern", "kind", (F.col("known") / F.col("instances") * F.col("special")).alias("sure")), "scores")
         doubt = F.sum(F.log(F.greatest(F.lit(1e-6), 1 - F.col("sure"))))
-        reached = pairs.join(scores.drop("seeds"), "pattern").groupBy("value", "kind").agg((1 - F.exp(doubt)).alias("sure"))
-        seeds = nodes.where("kind is not null").select("value", F.col("kind").alias("seed"))
-        sure = scratch.write(reached.join(seeds, "value", "left").select("value", "kind", F.when(F.col("seed") == F.col("kind"), F.lit(1.0)).when(F.col("seed").isNotNull(), F.lit(0.0)).otherwise(F.col("sure")).alias("sure")), "sure")
+        reached = pairs.join(seeds, "value", "left_anti").join(scores, "pattern").groupBy("value", "kind").agg((1 - F.exp(doubt)).alias("sure")).where(F.col("sure") >= SURE)
+        reached = scratch.write(reached, "reached")
+        if reached.isEmpty():
+            break  # nothing new counts: the scores stay
+        sure = seeds.select("value", "kind", F.lit(1.0).alias("sure")).unionByName(reached)
     best = F.max_by("kind", F.struct("sure", -F.col("kind"))).alias("kind")
-    patterns = scratch.write(scores.where(F.col("sure") >= SURE * SPECIFIC).groupBy("pattern").agg(best), "patterns")
+    patterns = scratch.write(scores.where(F.col("sure") >= SURE).groupBy("pattern").agg(best), "patterns")
     return None if patterns.isEmpty() else patterns
 
 
 def widened(found: DataFrame, patterns: DataFrame | None) -> DataFrame:
-    """Numbered `found` with `spans`: base and added spans by kind, then start.  Two tokens go before one."""
+    """Numbered `found` with `spans`: base and added spans by kind, then start.  A candidate's first sure pattern counts; only addresses are e-mail."""
     if patterns is None:
         return found.withColumn("spans", F.col("base"))
-    free = found.select("row", F.explode("candidates").alias("c")).select("row", "c.start", "c.end", F.posexplode(F.array("c.context.two", "c.context.one")).alias("turn", "pattern"))
-    met = free.where(F.col("pattern").isNotNull()).join(patterns, "pattern").groupBy("row", "start", "end").agg(F.min_by("kind", "turn").alias("kind"))
+    free = found.select("row", F.explode("candidates").alias("c")).select("row", "c.start", "c.end", "c.at", F.posexplode("c.patterns").alias("turn", "pattern"))
+    met = free.where(F.col("pattern").isNotNull()).join(patterns, "pattern").where(F.col("at") == (F.col("kind") == 0)).groupBy("row", "start", "end").agg(F.min_by("kind", "turn").alias("kind"))
     added = met.groupBy("row").agg(F.collect_list(F.struct("kind", "start", "end")).alias("added"))
-    return found.join(added, "row", "left").withColumn("spans", F.array_sort(F.concat("base", F.coalesce("added", F.array().cast("array<struct<kind:int,start:int,end:int>>"))))).drop("added")
+    return found.join(added, "row", "left").withColumn("spans", F.array_sort(F.concat("base", F.coalesce("added", F.array().cast(f"array<{SPAN}>"))))).drop("added")
 
 
 def find(docs: DataFrame, id_col: str = "doc_id", text: str = "text") -> DataFrame:
@@ -180,21 +194,23 @@ def _of_kind(i: int):
     return lambda s: s["kind"] == i
 
 
-def listed(column: str) -> Column:
-    names = F.array(*map(F.lit, KINDS))
-    return F.array_join(F.transform(column, lambda s: F.concat_ws(":", F.element_at(names, s["kind"] + 1), s["start"], s["end"])), ",")
+def listed(spans: str | Column) -> Column:
+    names = F.array(*map(F.lit, FOUND))
+    return F.array_join(F.transform(spans, lambda s: F.concat_ws(":", F.element_at(names, s["kind"] + 1), s["start"], s["end"])), ",")
 
 
 def digests(found: DataFrame) -> DataFrame:
+    """Counts and lists of base spans, of all spans of the base kinds, and of secrets beside them; `n_spans` counts all."""
     counts = [F.size(F.filter("base", _of_kind(i))).cast("long").alias(f"n_{k}") for i, k in enumerate(KINDS)]
-    return found.select("doc_id", *counts, F.sha2(listed("base"), 256).alias("base_sha256"), listed("spans").alias("spans"))
+    of_base, secret = F.filter("spans", lambda s: s["kind"] < len(KINDS)), F.filter("spans", _of_kind(len(KINDS)))
+    return found.select("doc_id", *counts, F.sha2(listed("base"), 256).alias("base_sha256"), listed(of_base).alias("spans"), F.size(secret).cast("long").alias("n_secret"), listed(secret).alias("secrets"), F.size("spans").cast("long").alias("n_spans"))
 
 
 def redact(docs: DataFrame, id_col: str = "doc_id", text: str = "text") -> DataFrame:
     """`docs` with every span replaced by its kind in angle brackets; overlapping spans are replaced together."""
     scratch = Scratch(docs.sparkSession, "pii")
     found = scratch.write(numbered(scanned(docs, id_col, text, keep=True)), "found")
-    names = F.array(*[F.lit(f"<{k}>") for k in KINDS])
+    names = F.array(*[F.lit(f"<{k}>") for k in FOUND])
     spans_ = F.transform("spans", lambda m: F.struct(m["start"].alias("start"), m["end"].alias("end"), m["kind"].alias("kind")))
     out = widened(found, learn(docs, found, text, scratch)).select("doc", F.coalesce(F.col("doc")[text], F.lit("")).alias("text"), spans_.alias("base"))
     state = "struct<at:int,out:string>"
