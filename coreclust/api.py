@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 import math
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -11,12 +11,12 @@ from pyspark.sql import functions as F
 from .functions.metrics import Metric
 from .operators import measure
 from .operators.assign import assign, profile
-from .operators.coreset import Coreset, one_round, reduce_again, two_round
-from .operators.points import by_hash
+from .operators.coreset import Coreset, one_round, reduce_until, two_round
+from .operators.points import by_hash, evenly
 from .operators.solve import MOST_ROWS, local_search_distributed, solve, solve_continuous
 from .plans import bounds
 from .plans.resolve import ROWS, Plan, resolve
-from .schema import ClusterSpec, check_points
+from .schema import ClusterSpec, counted_points
 from .storage import Scratch
 
 
@@ -54,30 +54,53 @@ class ClusterResult:
         return self.points.sparkSession.createDataFrame(rows, "key string, value double, note string")
 
 
-def _prepared(points: DataFrame, spec: ClusterSpec, alpha: float, rounds: int | None, rows: int, continuous: bool, validate: bool) -> tuple[DataFrame, Plan]:
-    pts = check_points(points) if validate else points
-    pts = pts if "w" in pts.columns else pts.withColumn("w", F.lit(1).cast("long"))
-    plan = resolve(pts.count(), spec, alpha, rounds, rows, continuous)
-    return (pts if "part" in pts.columns else by_hash(pts, plan.parts)), plan
+#: Solvers that are no approximation algorithms, whatever coreset they get.
+HEURISTICS = {"seed_only": "seeding alone has no ratio for k centers", "medoids": "alternating medoids have no ratio", "continuous": "alternating passes have no ratio"}
 
 
-def _solved(rows: DataFrame, spec: ClusterSpec, metric: Metric, scratch: Scratch, method: str, **options) -> tuple[DataFrame, str | None]:
-    """Centers of the summary, in one task, after one more reduction, or by distributed swaps where even that is too large; and why no ratio is proven, if so."""
-    n, doubt = rows.count(), None
-    if n > MOST_ROWS:
-        rows = reduce_again(rows, spec, metric, MOST_ROWS, scratch).rows
-        n, doubt = rows.count(), "the summary was reduced once more"
-    if n > MOST_ROWS:
-        return local_search_distributed(rows, spec.k, metric, spec.p), f"{doubt}, and swaps with a sample of its rows were tried"
-    return scratch.write(solve(rows, spec.k, metric, spec.p, method, **options), "centers"), doubt
+def alpha_of(spec: ClusterSpec, method: str = "local_search", t: int = 1) -> float:
+    """Ratio of a solver on the weighted instance; infinite for heuristics."""
+    return 1.0 if method == "exact" else math.inf if method in HEURISTICS else bounds.local_search_alpha(spec.objective, t)
 
 
-def cluster(points: DataFrame, spec: ClusterSpec, metric: Metric, alpha: float = 5.0, rounds: int = 2, rows_per_part: int = ROWS, method: str = "local_search", validate: bool = True, **options) -> ClusterResult:
-    """Three rounds: cover, cover against the union, solve."""
+def _prepared(points: DataFrame, spec: ClusterSpec, alpha: float, rounds: int | None, rows: int, continuous: bool, validate: bool, even: bool) -> tuple[DataFrame, Plan]:
+    """Points in parts, and the plan.  They are counted and checked in one pass; repeated ids meet in one part, which looks for them."""
+    pts = points if "w" in points.columns else points.withColumn("w", F.lit(1).cast("long"))
+    pts, n = counted_points(pts) if validate else (pts, pts.count())
+    plan = resolve(n, spec, alpha, rounds, rows, continuous)
+    return (pts if "part" in pts.columns else (evenly if even else by_hash)(pts, plan.parts)), plan
+
+
+def _fitted(cs: Coreset, plan: Plan, spec: ClusterSpec, metric: Metric, alpha: float, scratch: Scratch, most: int, continuous: bool = False) -> tuple[DataFrame, int, Plan]:
+    """The summary, covered again until at most `most` rows are left or covers no longer shrink it, and the plan with the ratio that this leaves."""
+    rows, n, error, levels = reduce_until(cs.rows, spec, metric, most, cs.error, scratch)
+    levels += cs.reduced
+    if not levels:
+        return rows, n, plan
+    ratio = bounds.ratio_of(alpha, error, spec.objective, continuous)
+    return rows, n, replace(plan, ratio=ratio, why=f"one round{', free centers' * continuous}, after {levels} further reduction{'s' * (levels > 1)}", guarantee=plan.guarantee and math.isfinite(ratio))
+
+
+def cluster(points: DataFrame, spec: ClusterSpec, metric: Metric, alpha: float | None = None, rounds: int = 2, rows_per_part: int = ROWS, method: str = "local_search", validate: bool = True, even: bool = False, most_rows: int = MOST_ROWS, **options) -> ClusterResult:
+    """Three rounds: cover, cover against the union, solve.
+
+    `alpha` is the solver's ratio, by default what is proven for `method`; `even` deals parts of
+    equal size instead of equal hash ranges.  A summary of more than `most_rows` rows is covered
+    again, with the error that this adds; one that covers do not shrink is solved where it lies,
+    by the same local search over all its rows.
+    """
     scratch = Scratch(points.sparkSession, "cluster")
-    pts, plan = _prepared(points, spec, alpha, rounds, rows_per_part, False, validate)
+    alpha = alpha_of(spec, method, options.get("t", 1)) if alpha is None else alpha
+    pts, plan = _prepared(points, spec, alpha, rounds, rows_per_part, False, validate, even)
     cs = two_round(pts, spec, metric, scratch=scratch) if rounds == 2 else one_round(pts, spec, metric, scratch=scratch)
-    centers, doubt = _solved(cs.rows, spec, metric, scratch, method, **options)
+    rows, n, plan = _fitted(cs, plan, spec, metric, alpha, scratch, most_rows)
+    if n <= most_rows:
+        centers, doubt = scratch.write(solve(rows, spec.k, metric, spec.p, method, **options), "centers"), HEURISTICS.get(method)
+    else:
+        centers, doubt = local_search_distributed(rows, spec.k, metric, spec.p), None
+        if method != "local_search" or options.get("t", 1) > 1:
+            plan = replace(plan, why=f"{plan.why}; solved by single swaps, as the summary is too large for {method}")
+            doubt = "the given method's ratio is not that of single swaps"
     return ClusterResult(centers, cs, plan, pts, metric, spec, doubt)
 
 
@@ -86,14 +109,15 @@ def cluster_fast(points: DataFrame, spec: ClusterSpec, metric: Metric, **options
     return cluster(points, spec, metric, rounds=1, **options)
 
 
-def cluster_continuous(points: DataFrame, spec: ClusterSpec, metric: Metric, alpha: float = 1.0, rows_per_part: int = ROWS, validate: bool = True, **options) -> ClusterResult:
-    """One coreset round, then centers anywhere in the vector space."""
+def cluster_continuous(points: DataFrame, spec: ClusterSpec, metric: Metric, alpha: float | None = None, rows_per_part: int = ROWS, validate: bool = True, even: bool = False, **options) -> ClusterResult:
+    """One coreset round, then centers anywhere in the vector space.
+
+    The built-in solvers are heuristics, so no ratio is proven; `alpha` states the ratio of the
+    centers on the summary where the caller knows one.
+    """
     scratch = Scratch(points.sparkSession, "cluster")
-    pts, plan = _prepared(points, spec, alpha, 1, rows_per_part, True, validate)
+    known = math.inf if alpha is None else alpha
+    pts, plan = _prepared(points, spec, known, 1, rows_per_part, True, validate, even)
     cs = one_round(pts, spec, metric, scratch=scratch)
     centers = scratch.write(solve_continuous(cs.rows, spec.k, spec.objective, **options), "centers")
-    return ClusterResult(centers, cs, plan, pts.withColumn("pt", F.col("pt").cast("array<double>")), metric, spec)
-
-
-def alpha_of(spec: ClusterSpec, t: int = 1) -> float:
-    return bounds.local_search_alpha(spec.objective, t)
+    return ClusterResult(centers, cs, plan, pts.withColumn("pt", F.col("pt").cast("array<double>")), metric, spec, HEURISTICS["continuous"] if alpha is None else None)

@@ -22,8 +22,8 @@ class _Common(Params):
     idCol = Param(Params._dummy(), "idCol", "unique long column", TypeConverters.toString)
     predictionCol = Param(Params._dummy(), "predictionCol", "center id column", TypeConverters.toString)
 
-    def _points(self, df: DataFrame) -> DataFrame:
-        return df.select(F.col(self.getOrDefault("idCol")).alias("id"), F.col(self.getOrDefault("featuresCol")).alias("pt"))
+    def _points(self, df: DataFrame, *keep: str) -> DataFrame:
+        return df.select(F.col(self.getOrDefault("idCol")).alias("id"), F.col(self.getOrDefault("featuresCol")).alias("pt"), *keep)
 
 
 class CoresetClusteringModel(Model, _Common):
@@ -32,8 +32,9 @@ class CoresetClusteringModel(Model, _Common):
         self.centers, self.metric = centers, metric or Euclidean()
 
     def _transform(self, df: DataFrame) -> DataFrame:
-        near = assign(self._points(df), self.centers, self.metric).select(F.col("id").alias(self.getOrDefault("idCol")), F.col("center_id").alias(self.getOrDefault("predictionCol")))
-        return df.join(near, self.getOrDefault("idCol"))
+        """Every row of `df` with its center: rows travel as they are, so equal ids neither meet nor multiply."""
+        rows = self._points(df.withColumn("_row", F.struct(*df.columns)), "_row")
+        return assign(rows, self.centers, self.metric, keep=("_row",)).select("_row.*", F.col("center_id").alias(self.getOrDefault("predictionCol")))
 
     def save(self, path: str) -> None:
         save_model(self.centers, {p.name: self.getOrDefault(p) for p in self.params}, path)

@@ -35,9 +35,9 @@ class Metric:
         """Payloads as the object that `one` reads."""
         raise NotImplementedError
 
-    def joined(self, column: pa.Array, more: Sequence = ()):
-        """`load` of an Arrow column with further payloads behind it."""
-        return self.load([*column.to_pylist(), *more])
+    def joined(self, column: pa.Array, more: Sequence | pa.Array = ()):
+        """`load` of an Arrow column with further payloads, listed or in Arrow, behind it."""
+        return self.load([*column.to_pylist(), *(more.to_pylist() if isinstance(more, pa.Array) else more)])
 
     def distances(self, data, i: int, at: np.ndarray) -> np.ndarray:
         raise NotImplementedError
@@ -70,8 +70,10 @@ class _Vector(Metric):
     def prepared(self, x: np.ndarray) -> np.ndarray:
         return x
 
-    def joined(self, column: pa.Array, more: Sequence = ()) -> np.ndarray:
+    def joined(self, column: pa.Array, more: Sequence | pa.Array = ()) -> np.ndarray:
         """The column's values without a detour over Python objects."""
+        if isinstance(more, pa.Array):
+            return np.concatenate((self.joined(column), self.joined(more))) if len(column) and len(more) else self.joined(column if len(column) else more)
         x = column.flatten().to_numpy(zero_copy_only=False).astype(np.int64 if self.exact else np.float64, copy=False)
         x = self.prepared(x.reshape(len(column), -1)) if len(column) else self.load([])
         return np.concatenate((x, self.load(more))) if len(more) and len(column) else self.load(more) if len(more) else x
@@ -157,13 +159,22 @@ class Jaccard(Metric):
         union = F.size(F.array_union(a, b))
         return F.when(union == 0, F.lit(0.0)).otherwise(1 - F.size(F.array_intersect(a, b)) / union)
 
-    def load(self, payload: Sequence) -> list[frozenset]:
-        return [frozenset(x) for x in payload]
+    def load(self, payload: Sequence) -> tuple[np.ndarray, np.ndarray]:
+        """The sets' distinct elements as numbers, one set after the other, and where each set starts."""
+        sets = [dict.fromkeys(x) for x in payload]
+        number: dict = {}
+        return np.fromiter((number.setdefault(v, len(number)) for x in sets for v in x), np.int64, sum(map(len, sets))), np.concatenate(([0], np.cumsum([len(x) for x in sets], dtype=np.int64)))
 
-    def distances(self, data: list[frozenset], i: int, at: np.ndarray) -> np.ndarray:
-        x = data[i]
-        common = np.fromiter((len(x & data[j]) for j in at), np.int64, len(at))
-        union = len(x) + np.fromiter((len(data[j]) for j in at), np.int64, len(at)) - common
+    def distances(self, data: tuple[np.ndarray, np.ndarray], i: int, at: np.ndarray) -> np.ndarray:
+        element, start = data
+        held = np.zeros(int(element.max(initial=-1)) + 1, bool)
+        held[element[start[i] : start[i + 1]]] = True
+        size = start[at + 1] - start[at]
+        ends = np.cumsum(size)
+        each = np.repeat(start[at] - (ends - size), size) + np.arange(int(size.sum()))
+        met = np.concatenate(([0], np.cumsum(held[element[each]])))
+        common = met[ends] - met[ends - size]
+        union = start[i + 1] - start[i] + size - common
         return np.where(union == 0, 0.0, 1 - common / np.maximum(union, 1))
 
 
@@ -249,7 +260,7 @@ class Table(Metric):
     pairs: dict[tuple[int, int], float] = field(default_factory=dict)
     exact: bool = True
     name: str = field(default="table", init=False)
-    MOST = 1_000_000
+    MOST, MOST_LITERALS = 1_000_000, 20_000
 
     @classmethod
     def of(cls, rows: DataFrame) -> Table:
@@ -259,7 +270,16 @@ class Table(Metric):
         both = {(r["u"], r["v"]): r["d"] for r in got} | {(r["v"], r["u"]): r["d"] for r in got}
         return cls(both, all(float(d).is_integer() for d in both.values()))
 
+    def attached(self, df: DataFrame, a: str, b: str, name: str = "d") -> DataFrame:
+        """`df` with the distance of its node columns `a` and `b` looked up by an equi-join on the pair."""
+        rows = [(int(u), int(v), int(d) if self.exact else float(d)) for (u, v), d in self.pairs.items()]
+        table = df.sparkSession.createDataFrame(rows, f"_u long, _v long, _d {'long' if self.exact else 'double'}")
+        near = df.join(F.broadcast(table), (F.col(a) == F.col("_u")) & (F.col(b) == F.col("_v")), "left")
+        return near.withColumn(name, F.when(F.col(a) == F.col(b), F.lit(0)).otherwise(F.col("_d"))).drop("_u", "_v", "_d")
+
     def column(self, a: Column, b: Column) -> Column:
+        if len(self.pairs) > self.MOST_LITERALS:
+            raise CoreclustError(f"{len(self.pairs)} pairs are too many for literals of a plan; use attached")
         keys = F.create_map(*[x for (u, v), d in self.pairs.items() for x in (F.lit(f"{u}:{v}"), F.lit(d))])
         return F.when(a == b, F.lit(0)).otherwise(F.element_at(keys, F.concat_ws(":", a.cast("string"), b.cast("string"))))
 

@@ -8,7 +8,7 @@ corpus-wide tolerance.  Weights count the points that a pivot stands for.
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 from decimal import Decimal
 from fractions import Fraction
 
@@ -20,13 +20,17 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from ..functions.metrics import Metric
+from ..plans import bounds
+from ..plans.resolve import ROWS
 from ..schema import ClusterSpec, CoreclustError
 from ..storage import Scratch
 from .cover import ball_cover
 from .seed import SEEDERS
 
-#: What a task may be sent at once: payload rows of the round-1 union, and their bytes.
-BROADCAST_ROWS, BROADCAST_BYTES = 2_000_000, 512 << 20
+#: What a task may be sent at once: payload rows of the round-1 union, and the bytes of their Arrow buffers.
+BROADCAST_ROWS, BROADCAST_BYTES = 1_000_000, 256 << 20
+#: Share of its rows to which a further reduction must bring a summary to be worth it, and what eps grows to when it does not.
+SHRINKS, COARSEST = 0.7, {"median": Fraction(9, 10), "means": Fraction(7, 10)}
 
 
 def _number(metric: Metric) -> T.DataType:
@@ -62,8 +66,11 @@ def _rng(spec: ClusterSpec, part: int) -> np.random.Generator:
 
 def _opened(t: pa.Table) -> tuple[np.ndarray, pa.Array, np.ndarray]:
     t = t.sort_by("id")
+    ids = t.column("id").to_numpy()
+    if (ids[1:] == ids[:-1]).any():
+        raise CoreclustError(f"id {ids[1:][ids[1:] == ids[:-1]][0]} occurs more than once")
     chunks = t.column("pt").chunks
-    return t.column("id").to_numpy(), pa.concat_arrays(chunks) if chunks else pa.array([], t.schema.field("pt").type), t.column("w").to_numpy()
+    return ids, pa.concat_arrays(chunks) if chunks else pa.array([], t.schema.field("pt").type), t.column("w").to_numpy()
 
 
 def _emit(rows: _Rows, part: int, ids, payload, w, cover, p: int, mapping: bool) -> None:
@@ -134,13 +141,25 @@ def _grouped(parted: DataFrame, schema: T.StructType, task) -> DataFrame:
     return parted.select("part", "id", "pt", "w").groupBy("part").applyInArrow(run, schema)
 
 
-def _split(pts: DataFrame, schema: T.StructType, task) -> DataFrame:
-    """Input splits as parts: no point is shuffled."""
+#: Parts of one input split are numbered in steps of this.
+SPLITS = 1 << 20
+
+
+def _split(pts: DataFrame, schema: T.StructType, task, rows: int = ROWS) -> DataFrame:
+    """Input splits as parts, a split of more than `rows` points as several: no point is shuffled."""
 
     def run(batches):
-        held = [b for b in batches if b.num_rows]
-        if held:
-            yield from task(pa.Table.from_batches(held), TaskContext.get().partitionId()).to_batches()
+        held, n, k, split = [], 0, 0, TaskContext.get().partitionId()
+        for b in batches:
+            while b.num_rows:
+                part, b = b.slice(0, rows - n), b.slice(rows - n)
+                held.append(part)
+                n += part.num_rows
+                if n == rows:
+                    yield from task(pa.Table.from_batches(held), split + k * SPLITS).to_batches()
+                    held, n, k = [], 0, k + 1
+        if n:
+            yield from task(pa.Table.from_batches(held), split + k * SPLITS).to_batches()
 
     return pts.select("id", "pt", "w").mapInArrow(run, schema)
 
@@ -152,6 +171,17 @@ class Coreset:
     tagged: DataFrame
     spec: ClusterSpec
     rounds: int
+    #: Further reductions of the first union before it was sent out, and the constant that they left it with.
+    reduced: int = 0
+    union_error: float | None = None
+
+    @property
+    def error(self) -> float:
+        """Bounded-coreset constant of these rows, as proven for certified rough solutions."""
+        eps = float(self.spec.eps)
+        if not self.reduced:
+            return bounds.first_error(self.spec.objective, eps)
+        return eps * (1 + self.union_error / 2) if self.spec.p == 1 else eps**2 * (2 + self.union_error / 2)
 
     @property
     def rows(self) -> DataFrame:
@@ -190,17 +220,36 @@ def tolerance(first: Coreset) -> tuple[object, int]:
     return (int(cost) if isinstance(cost, Decimal) else cost), int(got["n"] or 1)
 
 
-def two_round(points: DataFrame, spec: ClusterSpec, metric: Metric, mapping: bool = False, scratch: Scratch | None = None, first: Coreset | None = None, broadcast_rows: int = BROADCAST_ROWS) -> Coreset:
-    """Second cover against the union of the first covers, whose size is checked before it is broadcast."""
+def _union(rows: DataFrame, most_rows: int, most_bytes: int) -> tuple[tuple[np.ndarray, pa.Array] | None, int]:
+    """Parts and payloads of a cover in the order of ids, or None where they are more than a task may be sent; and how many rows may be."""
+    kind = rows.schema["pt"].dataType
+    wide = F.length(F.col("pt").cast("string")) if not isinstance(kind, T.ArrayType) or isinstance(kind.elementType, T.StringType) else F.size("pt") * 8
+    size = rows.agg(F.count("*").alias("n"), F.coalesce(F.sum(wide), F.lit(0)).alias("bytes")).first()
+    if size["n"] > most_rows or size["bytes"] > most_bytes:
+        return None, max(1, min(most_rows, most_bytes * size["n"] // max(1, size["bytes"])))
+    got = rows.select("part", "id", "pt").toArrow().sort_by([("part", "ascending"), ("id", "ascending")])
+    pt = got.column("pt")
+    return (got.column("part").to_numpy().astype(np.int64), pa.concat_arrays(pt.chunks) if pt.num_chunks else pa.array([], pt.type)), size["n"]
+
+
+def two_round(points: DataFrame, spec: ClusterSpec, metric: Metric, mapping: bool = False, scratch: Scratch | None = None, first: Coreset | None = None, broadcast_rows: int = BROADCAST_ROWS, broadcast_bytes: int = BROADCAST_BYTES) -> Coreset:
+    """Second cover against the union of the first covers.
+
+    A union beyond the limits is covered again until it may be broadcast, which `error` of the
+    result carries; where covers no longer shrink it, the run says so instead of sending more.
+    """
     spark = points.sparkSession
     scratch = scratch or Scratch(spark, "coreset")
     first = first or one_round(points, spec, metric, scratch=scratch)
     r_num, r_den = tolerance(first)
-    size = first.rows.agg(F.count("*").alias("n"), F.coalesce(F.sum(F.length(F.col("pt").cast("string"))), F.lit(0)).alias("bytes")).first()
-    if size["n"] > broadcast_rows or size["bytes"] > BROADCAST_BYTES:
-        first = reduce_again(first, spec, metric, broadcast_rows, scratch)
-    got = first.rows.select("part", "id", "pt").toArrow().sort_by([("part", "ascending"), ("id", "ascending")])
-    union = spark.sparkContext.broadcast({"part": np.array(got.column("part").to_pylist(), np.int64), "pt": got.column("pt").to_pylist()})
+    rows, reduced, error = first.rows, 0, first.error
+    sent, most = _union(rows, broadcast_rows, broadcast_bytes)
+    if sent is None:
+        rows, n, error, reduced = reduce_until(rows, spec, metric, most, error, scratch)
+        sent, _ = _union(rows, broadcast_rows, broadcast_bytes)
+        if sent is None:
+            raise CoreclustError(f"the union still has {n} rows, more than tasks may be sent, and further covers do not shrink it: use one round, or a larger eps")
+    union = spark.sparkContext.broadcast({"part": sent[0], "pt": sent[1]})
     schema = tagged_schema(points.schema["pt"].dataType, metric)
     arrow = _arrow(schema)
 
@@ -208,7 +257,32 @@ def two_round(points: DataFrame, spec: ClusterSpec, metric: Metric, mapping: boo
         return second_round(t, part, metric, spec, arrow, union.value, r_num, r_den, mapping)
 
     run = _grouped if "part" in points.columns else _split
-    return Coreset(scratch.write(run(points, schema, task), "round2"), spec, 2)
+    return Coreset(scratch.write(run(points, schema, task), "round2"), spec, 2, reduced, error)
+
+
+def given_targets(points: DataFrame, targets: DataFrame, spec: ClusterSpec, metric: Metric, mapping: bool = False, scratch: Scratch | None = None, most: int = BROADCAST_ROWS) -> Coreset:
+    """One-round cover of every part against a table of centers (center_id, pt), with the part's own tolerance to them.  Their number is checked."""
+    scratch = scratch or Scratch(points.sparkSession, "coreset")
+    got = targets.select("center_id", "pt").orderBy("center_id").limit(most + 1).toArrow()
+    if not 0 < got.num_rows <= most:
+        raise CoreclustError(f"{got.num_rows} given centers; between 1 and {most} are needed")
+    sent = points.sparkSession.sparkContext.broadcast(pa.concat_arrays(got.column("pt").chunks))
+    schema = tagged_schema(points.schema["pt"].dataType, metric)
+    arrow = _arrow(schema)
+
+    def task(t: pa.Table, part: int) -> pa.Table:
+        rows = _Rows(arrow, metric.exact)
+        ids, payload, w = _opened(t)
+        data, n = metric.joined(payload, sent.value), len(ids)
+        d, _ = metric.nearest(data, np.arange(n, n + len(sent.value)), np.arange(n), spec.p)
+        cost = sum(int(a) * int(b) for a, b in zip(w, d, strict=True)) if metric.exact else float((w * d).sum())
+        cover = ball_cover(metric, data, d, cost, int(w.sum()), spec.eps, spec.beta, spec.p, spec.order, _rng(spec, part), spec.floor, spec.prune)
+        _emit(rows, part, ids, payload, w, cover, spec.p, mapping)
+        rows.add(part=part, kind="stat", n=n, w_sum=int(w.sum()), cost=rows.number(cost), n_seed=len(sent.value), n_dist=cover.n_dist + n * len(sent.value), w=len(cover.pivots))
+        return rows.table()
+
+    run = _grouped if "part" in points.columns else _split
+    return Coreset(scratch.write(run(points, schema, task), "given"), spec, 1)
 
 
 def union(coresets: list[Coreset]) -> DataFrame:
@@ -220,19 +294,35 @@ def union(coresets: list[Coreset]) -> DataFrame:
     return out
 
 
-def reduce_again(cs: Coreset | DataFrame, spec: ClusterSpec, metric: Metric, target_rows: int, scratch: Scratch | None = None) -> Coreset:
-    """A weighted coreset covered once more, over fewer parts: errors e1 then e2 add to e1 + 2 e2 (1 + e1) for medians."""
+def reduce_again(cs: Coreset | DataFrame, spec: ClusterSpec, metric: Metric, scratch: Scratch | None = None, rows_per_part: int = ROWS) -> Coreset:
+    """A weighted coreset covered once more, over as few parts as a task's memory allows; `bounds.reduced_error` has what that costs."""
     rows = cs.rows if isinstance(cs, Coreset) else cs
     n = rows.count()
     if not n:
         raise CoreclustError("nothing to reduce")
-    parts = max(1, -(-n // max(1, target_rows // 2)))
+    parts = max(1, -(-n // rows_per_part))
     pts = rows.select("id", "pt", "w").withColumn("part", F.pmod(F.xxhash64("id"), F.lit(parts)).cast("int"))
     return one_round(pts, spec, metric, scratch=scratch)
 
 
-def re_reduction_bound(e1: Fraction, e2: Fraction) -> Fraction:
-    return e1 + 2 * e2 * (1 + e1)
+def reduce_until(rows: DataFrame, spec: ClusterSpec, metric: Metric, most: int, error: float, scratch: Scratch) -> tuple[DataFrame, int, float, int]:
+    """(rows, their number, error constant, reductions): covered again and again while more than `most` rows are left and covers shrink them.
+
+    A level that does not shrink its input to the share SHRINKS is dropped, and the next one
+    tried with twice the eps, up to the coarsest that has a proof.
+    """
+    eps, n, levels = spec.eps, rows.count(), 0
+    while n > most:
+        level = replace(spec, eps=eps)
+        less = reduce_again(rows, level, metric, scratch).rows
+        m = less.count()
+        if m <= SHRINKS * n or m <= most:
+            rows, n, levels, error = less, m, levels + 1, bounds.reduced_error(spec.objective, error, float(eps))
+        elif eps < COARSEST[spec.objective]:
+            eps = min(2 * eps, COARSEST[spec.objective])
+        else:
+            break
+    return rows, n, error, levels
 
 
 def ablation_sizes(points: DataFrame, specs: dict[str, ClusterSpec], metric: Metric) -> DataFrame:

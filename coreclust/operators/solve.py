@@ -93,38 +93,62 @@ def exact(metric: Metric, data, w: np.ndarray, k: int, p: int) -> tuple[np.ndarr
     return np.array(best), float((d[list(best)].min(0) * w).sum())
 
 
+#: Points on a line whose optimum may be asked for.
+MOST_ON_LINE = 200_000
+
+
+def _interval_costs(x: np.ndarray, w: np.ndarray, p: int):
+    """cost(a, j): cheapest service of the sorted points a..j-1 (arrays of a) by one of them, and which; whole numbers."""
+    mass, first = np.concatenate(([0], np.cumsum(w))), np.concatenate(([0], np.cumsum(w * x)))
+    second = np.concatenate(([0], np.cumsum(w * x * x))) if p == 2 else None
+
+    def median(a: np.ndarray, j: int) -> tuple[np.ndarray, np.ndarray]:
+        c = np.searchsorted(mass, (mass[a] + mass[j] + 1) // 2, side="left") - 1
+        left = x[c] * (mass[c] - mass[a]) - (first[c] - first[a])
+        return left + first[j] - first[c] - x[c] * (mass[j] - mass[c]), c
+
+    def mean(a: np.ndarray, j: int) -> tuple[np.ndarray, np.ndarray]:
+        m, s = mass[j] - mass[a], first[j] - first[a]
+        up = np.clip(np.searchsorted(x, -(-s // m), side="left"), a, j - 1)
+        both = np.stack((np.maximum(up - 1, a), up))
+        cost = second[j] - second[a] - 2 * x[both] * s + m * x[both] * x[both]
+        k = cost.argmin(0)
+        return np.take_along_axis(cost, k[None], 0)[0], np.take_along_axis(both, k[None], 0)[0]
+
+    return median if p == 1 else mean
+
+
 def exact_line(x: np.ndarray, w: np.ndarray, k: int, p: int) -> tuple[np.ndarray, float]:
-    """The optimum of points on a line, centers among them, by dynamic programming over sorted intervals."""
-    order = np.argsort(x, kind="stable")
-    x, w, n = x[order].astype(np.int64), w[order].astype(np.int64), len(x)
-    d = np.abs(x[:, None] - x[None, :]) ** p * w[None, :]
-    run = np.concatenate((np.zeros((n, 1), np.int64), np.cumsum(d, 1)), 1)  # run[c, j]: cost of the first j points at center c
-    best = np.full((n, n + 1), np.iinfo(np.int64).max)
-    who = np.zeros((n, n + 1), np.int64)
-    for i in range(n):
-        cost = run[i:, i + 1 :] - run[i:, i : i + 1]  # centers from i on, intervals [i, j)
-        low = np.tril(np.full(cost.shape, np.iinfo(np.int64).max // 2), -1)
-        cost = np.maximum(cost, low)
-        who[i, i + 1 :], best[i, i + 1 :] = cost.argmin(0) + i, cost.min(0)
-    value = best[0].copy()
-    back = [np.zeros(n + 1, np.int64)]
+    """The optimum of points on a line, centers among them: dynamic programming over sorted intervals, whose best cuts move one way, so each layer is divided and conquered."""
+    if len(x) > MOST_ON_LINE:
+        raise CoreclustError(f"{len(x)} points on a line are too many ({MOST_ON_LINE})")
+    x, w = np.asarray(x).astype(np.int64), np.asarray(w).astype(np.int64)
+    at, first, where = np.unique(x, return_index=True, return_inverse=True)
+    mass, n = np.bincount(where, w, len(at)).astype(np.int64), len(at)
+    cost = _interval_costs(at, mass, p)
+    value = np.array([0, *(int(cost(np.array([0]), j)[0][0]) for j in range(1, n + 1))], np.int64)
+    cuts = [np.zeros(n + 1, np.int64)]
     for _ in range(1, min(k, n)):
-        new, at = value.copy(), np.full(n + 1, -1)
-        for j in range(1, n + 1):
-            both = np.where(value[1:j] < np.iinfo(np.int64).max, value[1:j], 0) + best[np.arange(1, j), j] if j > 1 else np.zeros(0, np.int64)
-            if len(both) and both.min() < new[j]:
-                new[j], at[j] = both.min(), int(both.argmin()) + 1
+        new, cut = value.copy(), np.full(n + 1, -1, np.int64)
+        open_ = [(1, n, 0, n - 1)]
+        while open_:
+            lo, hi, least, most = open_.pop()
+            if lo > hi:
+                continue
+            j = (lo + hi) // 2
+            a = np.arange(least, min(most, j - 1) + 1)
+            total = value[a] + cost(a, j)[0]
+            i = int(total.argmin())
+            new[j], cut[j] = total[i], a[i]
+            open_ += [(lo, j - 1, least, int(a[i])), (j + 1, hi, int(a[i]), most)]
         value = new
-        back.append(at)
+        cuts.append(cut)
     picks, j = [], n
-    for at in reversed(back):
-        i = int(at[j])
-        if i < 0:
-            continue
-        picks.append(int(order[who[i, j]]))
-        j = i
-        if j == 0:
-            break
+    for cut in reversed(cuts):
+        if j > 0:
+            a = int(cut[j])
+            picks.append(int(first[cost(np.array([a]), j)[1][0]]))
+            j = a
     return np.sort(np.array(picks)), float(value[n])
 
 
@@ -166,24 +190,29 @@ def lloyd(x: np.ndarray, w: np.ndarray, k: int, passes: int = 50, seed: int = 0)
 
 
 def weiszfeld(x: np.ndarray, w: np.ndarray, k: int, passes: int = 50, inner: int = 20, seed: int = 0) -> tuple[np.ndarray, float]:
-    """Continuous weighted k-median: alternating assignment and steps towards each cluster's geometric median."""
+    """Continuous weighted k-median: alternating assignment and steps towards each cluster's geometric median.
+
+    Seeds are points, which the steps could not leave; each cluster's mean is the first stop.
+    """
     from ..functions.metrics import Euclidean
 
     c = x[seed_only(Euclidean(), x, w, k, 1, seed)[0]].astype(float)
     cost = lambda c: float((np.sqrt(((x[:, None, :] - c[None]) ** 2).sum(2)).min(1) * w).sum())
-    best, value = c, cost(c)
+    best, seeded, value = c.copy(), cost(c), np.inf
     for _ in range(passes):
         near = ((x[:, None, :] - c[None]) ** 2).sum(2).argmin(1)
         for j in range(len(c)):
             m = near == j
-            for _i in range(inner if m.any() else 0):
-                pull = w[m] / np.maximum(np.sqrt(((x[m] - c[j]) ** 2).sum(1)), 1e-12)
+            for i in range(inner if m.any() else 0):
+                pull = w[m] / np.maximum(np.sqrt(((x[m] - c[j]) ** 2).sum(1)), 1e-12) if i or value < np.inf else w[m]
                 c[j] = (x[m] * pull[:, None]).sum(0) / pull.sum()
         now = cost(c)
         if now >= value * (1 - 1e-7):
             break
-        best, value = c.copy(), now
-    return best, value
+        if now < seeded:
+            best = c.copy()
+        value, seeded = now, min(now, seeded)
+    return best, seeded
 
 
 SOLVERS = {"local_search": swap_search, "exact": exact, "seed_only": seed_only, "medoids": medoids}
@@ -206,52 +235,125 @@ def solve(rows: DataFrame, k: int, metric: Metric, p: int, method: str = "local_
     return few.groupBy("g").applyInArrow(run, f"center_id long, pt {kind}")
 
 
-def solve_continuous(rows: DataFrame, k: int, objective: str = "means", **options) -> DataFrame:
-    """(center_id, pt) anywhere in the vector space."""
+#: Rows from which the continuous solvers pass over the rows where they lie instead of in one task; rows that their seeds are drawn from.
+CONTINUOUS_ROWS, SEED_ROWS = 100_000, 20_000
+
+
+def _hashed(rows: DataFrame, most: int, seed: int) -> DataFrame:
+    """At most `most` rows drawn by hash, without a sort of all."""
+    n = rows.count()
+    share = min(1.0, 2 * most / max(n, 1))
+    return rows.where(F.pmod(F.xxhash64("id", F.lit(seed)), F.lit(1 << 30)) <= int(share * (1 << 30))).orderBy(F.xxhash64("id", F.lit(seed + 1)), "id").limit(most)
+
+
+def solve_continuous(rows: DataFrame, k: int, objective: str = "means", passes: int = 50, seed: int = 0, most: int = CONTINUOUS_ROWS) -> DataFrame:
+    """(center_id, pt) anywhere in the vector space.
+
+    Up to `most` rows meet in one task.  Beyond, every pass sums up where the rows lie: only the
+    k centers go out, and one partial sum per task and center comes back.
+    """
+    if rows.count() > most:
+        return _continuous_distributed(rows, k, objective, passes, seed)
 
     def run(t: pa.Table) -> pa.Table:
         t = t.sort_by("id")
         x, w = np.array(t.column("pt").to_pylist(), float), np.array(t.column("w").to_pylist(), np.int64)
-        c, _ = (lloyd if objective == "means" else weiszfeld)(x, w, min(k, len(x)), **options)
+        c, _ = (lloyd if objective == "means" else weiszfeld)(x, w, min(k, len(x)), passes=passes, seed=seed)
         return pa.table({"center_id": pa.array(range(len(c)), pa.int64()), "pt": pa.array(c.tolist(), pa.list_(pa.float64()))})
 
     return rows.select(F.lit(0).alias("g"), "id", "pt", "w").groupBy("g").applyInArrow(run, "center_id long, pt array<double>")
 
 
-def local_search_distributed(rows: DataFrame, k: int, metric: Metric, p: int, passes: int = 5, candidates: int = 64, min_gain: float = 1e-3) -> DataFrame:
-    """Local search when the instance outgrows one task: each pass values a block of candidate swaps in one aggregation.
+def _continuous_distributed(rows: DataFrame, k: int, objective: str, passes: int, seed: int) -> DataFrame:
+    from ..functions.metrics import Euclidean
 
-    Only the k centers and a bounded block of candidates travel; costs of all (candidate, center)
-    swaps come back as one row each.
+    spark, metric = rows.sparkSession, Euclidean()
+    few = _hashed(rows.select("id", "pt", "w"), SEED_ROWS, seed).toPandas()
+    x, w = np.array(few["pt"].tolist(), float), few["w"].to_numpy(np.int64)
+    c = x[seed_only(metric, x, w, min(k, len(x)), 2 if objective == "means" else 1, seed)[0]]
+    dim, best = c.shape[1], (np.inf, c)
+    for step in range(passes):
+        sent = spark.sparkContext.broadcast((c, objective == "means" or not step))
+
+        def sums(batches, sent=sent):
+            c, plain = sent.value
+            total, mass, cost = np.zeros(c.shape), np.zeros(len(c)), 0.0
+            for b in batches:
+                x, w = metric.joined(b.column(0)), b.column(1).to_numpy().astype(float)
+                for at in range(0, len(x), 4096):
+                    y, v = x[at : at + 4096], w[at : at + 4096]
+                    d = ((y[:, None, :] - c[None]) ** 2).sum(2)
+                    near = d.argmin(1)
+                    d = d[np.arange(len(y)), near]
+                    cost += float((v * (d if objective == "means" else np.sqrt(d))).sum())
+                    v = v if plain else v / np.maximum(np.sqrt(d), 1e-12)
+                    mass += np.bincount(near, v, len(c))
+                    total += np.stack([np.bincount(near, v * y[:, j], len(c)) for j in range(dim)], 1)
+            yield pa.RecordBatch.from_pydict({"c": pa.array(np.arange(len(c))), "mass": pa.array(mass), "total": pa.array(total.tolist(), pa.list_(pa.float64())), "cost": pa.array(np.append(cost, np.zeros(len(c) - 1)))})
+
+        parts = rows.select("pt", "w").mapInArrow(sums, "c long, mass double, total array<double>, cost double")
+        got = parts.groupBy("c").agg(F.sum("mass").alias("mass"), *[F.sum(F.col("total")[j]).alias(f"t{j}") for j in range(dim)], F.sum("cost").alias("cost")).collect()
+        cost = sum(r["cost"] for r in got)
+        if step > 1 and cost >= best[0] * (1 - 1e-7):
+            break
+        best, c = min(best, (cost, c), key=lambda b: b[0]), c.copy()
+        for r in got:
+            if r["mass"] > 0:
+                c[r["c"]] = [r[f"t{j}"] / r["mass"] for j in range(dim)]
+    return spark.createDataFrame([(i, [float(v) for v in x]) for i, x in enumerate(best[1])], "center_id long, pt array<double>")
+
+
+def local_search_distributed(rows: DataFrame, k: int, metric: Metric, p: int, passes: int = 200, block: int = 2_000, min_gain: float = 1e-3, start_rows: int = 2_000) -> DataFrame:
+    """Local search over all rows when the instance outgrows one task: the same single swaps as `swap_search`, block after block.
+
+    Every row is a candidate.  A block of them goes out with the k centers; its swaps are valued
+    where the rows lie, from each point's nearest and second nearest center, and come back as one
+    sum per (candidate, center).  The best of a block is taken if it gains `min_gain` of the
+    cost; the search ends when a whole round over all blocks has brought none.  Centers start
+    from a local search on a bounded sample.  After `passes` blocks with a gain it stops anyway
+    and raises, as the result would be no local optimum.
     """
     spark = rows.sparkSession
     kind = rows.schema["pt"].dataType.simpleString()
-    got = rows.select("id", "pt").orderBy(F.xxhash64("id", F.lit(0)), "id").limit(k).collect()
-    centers, cost = [(r["id"], r["pt"]) for r in got], None
-    for step in range(passes):
-        block = [(r["id"], r["pt"]) for r in rows.select("id", "pt").orderBy(F.xxhash64("id", F.lit(step + 1)), "id").limit(candidates).collect() if r["id"] not in {c for c, _ in centers}]
-        sent = spark.sparkContext.broadcast((centers, block))
+    n = rows.count()
+    blocks = max(1, -(-n // block))
+    few = _hashed(rows.select("id", "pt", "w"), start_rows, 1).orderBy("id").collect()
+    picks, _ = swap_search(metric, metric.load([r["pt"] for r in few]), np.array([r["w"] for r in few], np.int64), k, p)
+    centers = [(few[i]["id"], few[i]["pt"]) for i in picks]
+    dealt = rows.select("id", "pt", "w", F.pmod(F.xxhash64("id", F.lit(2)), F.lit(blocks)).alias("b"))
+    idle, gains, at = 0, 0, 0
+    while idle < blocks:
+        held = {c for c, _ in centers}
+        batch = [(r["id"], r["pt"]) for r in dealt.where(F.col("b") == at).select("id", "pt").orderBy("id").collect() if r["id"] not in held]
+        at, idle = (at + 1) % blocks, idle + 1
+        sent = spark.sparkContext.broadcast((centers, batch))
 
         def value(batches, sent=sent):
-            centers, block = sent.value
-            total = np.zeros((len(block), len(centers)))
-            stay = 0.0
+            centers, batch = sent.value
+            total, stay = np.zeros((len(batch), len(centers))), 0.0
             for b in batches:
-                n, w = b.num_rows, np.array(b.column(1).to_pylist(), float)
-                data = metric.joined(b.column(0), [p for _, p in centers] + [p for _, p in block])
-                every = np.arange(n)
-                dc = np.stack([metric.one(data, n + c, every, p) for c in range(len(centers))]).astype(float)
-                stay += float((dc.min(0) * w).sum())
-                rest = np.stack([np.delete(dc, c, 0).min(0) if len(centers) > 1 else np.full(n, np.inf) for c in range(len(centers))])
-                for x in range(len(block)):
-                    d = metric.one(data, n + len(centers) + x, every, p).astype(float)
-                    total[x] += (np.minimum(rest, d) * w).sum(1)
-            rows_out = [(x, c, float(total[x, c])) for x in range(len(block)) for c in range(len(centers))] + [(-1, -1, stay)]
-            yield pa.RecordBatch.from_pydict({k: pa.array(v) for k, v in zip(("x", "c", "v"), zip(*rows_out, strict=True), strict=True)})
-
-        best = rows.select("pt", "w").mapInArrow(value, "x long, c long, v double").groupBy("x", "c").agg(F.sum("v").alias("v")).orderBy("v", "x", "c").collect()
-        cost = next(r["v"] for r in best if r["x"] == -1)
-        swap = next((r for r in best if r["x"] >= 0), None)
-        if swap and swap["v"] < cost * (1 - min_gain):
-            centers = [block[swap["x"]] if j == swap["c"] else c for j, c in enumerate(centers)]
+                for lo in range(0, b.num_rows, 2048):
+                    part = b.slice(lo, 2048)
+                    m, w = part.num_rows, part.column(1).to_numpy().astype(float)
+                    data, every = metric.joined(part.column(0), [x for _, x in centers] + [x for _, x in batch]), np.arange(part.num_rows)
+                    d = np.stack([metric.one(data, m + c, every, p) for c in range(len(centers))]).astype(float)
+                    near = d.argmin(0)
+                    first = d[near, every]
+                    d[near, every] = np.inf
+                    second = d.min(0)
+                    stay += float((first * w).sum())
+                    new = np.stack([metric.one(data, m + len(centers) + x, every, p) for x in range(len(batch))]).astype(float) if batch else np.zeros((0, m))
+                    kept = np.minimum(new, first)
+                    lost = (np.minimum(new, second) - kept) * w
+                    total += (kept @ w)[:, None] + np.stack([lost[:, near == c].sum(1) for c in range(len(centers))], 1)
+            yield pa.RecordBatch.from_pydict({"x": pa.array(np.append(np.arange(len(batch)), -1)), "v": pa.array([*total.tolist(), [stay] * len(centers)], pa.list_(pa.float64()))})
+
+        summed = rows.select("pt", "w").mapInArrow(value, "x long, v array<double>").select("x", F.posexplode("v").alias("c", "v")).groupBy("x", "c").agg(F.sum("v").alias("v"))
+        best = summed.where("x >= 0 OR c = 0").orderBy(F.col("x") >= 0, "v", "x", "c").limit(2).collect()  # what staying costs, then the best swap
+        cost = best[0]["v"]
+        if len(best) > 1 and best[1]["v"] < cost * (1 - min_gain):
+            centers = [batch[best[1]["x"]] if j == best[1]["c"] else c for j, c in enumerate(centers)]
+            idle, gains = 0, gains + 1
+            if gains >= passes:
+                raise CoreclustError(f"no local optimum after {passes} swaps")
     return spark.createDataFrame(centers, f"center_id long, pt {kind}")

@@ -43,6 +43,31 @@ def ratio(alpha: float, eps: float, objective: str = "median", rounds: int = 2,
     return (two, "two rounds") if two <= one else (one, "two rounds, by the one-round argument")
 
 
+def first_error(objective: str, eps: float) -> float:
+    """Bounded-coreset constant of the union that one or two rounds leave."""
+    return 2 * eps if objective == "median" else 4 * eps**2
+
+
+def reduced_error(objective: str, error: float, eps: float) -> float:
+    """Bounded-coreset constant after a coreset with constant `error` is covered once more with `eps`.
+
+    Medians: moved distances add.  Means: their roots do, by the relaxed triangle inequality with
+    its best constant; the second move is measured on the first summary, whose cost is off by
+    `error + 2 sqrt(error)` at most.
+    """
+    if objective == "median":
+        return error + 2 * eps * (1 + error)
+    return (math.sqrt(error) + math.sqrt(4 * eps**2 * (1 + error + 2 * math.sqrt(error)))) ** 2
+
+
+def ratio_of(alpha: float, error: float, objective: str, continuous: bool = False) -> float:
+    """Proven ratio of an alpha-approximation on any coreset with bounded constant `error`, by the one-round argument."""
+    if objective == "median":
+        return alpha * (1 if continuous else 2) * (1 + error) + error
+    g = error + 2 * math.sqrt(error)
+    return alpha * (1 if continuous else 4) * (1 + g) / (1 - g) if g < 1 else math.inf
+
+
 def local_search_alpha(objective: str, t: int) -> float:
     return 3 + 2 / t if objective == "median" else 5 + 4 / t
 

@@ -10,6 +10,8 @@ from . import bounds
 
 #: Points that a task holds, by default.
 ROWS = 50_000
+#: Rows that a seed is expected to leave in a one-round summary.
+PER_SEED = 16
 
 
 @dataclass(frozen=True)
@@ -28,14 +30,14 @@ def part_count(n: int, least: int = 4, rows: int = ROWS) -> int:
 
 
 def resolve(n: int, spec: ClusterSpec, alpha: float = 5.0, rounds: int | None = None, rows: int = ROWS, continuous: bool = False) -> Plan:
-    """Balanced parts: (n/k)^(1/3) for two rounds, (n/k)^(1/2) for one; more where a task's memory asks for it.
+    """Balanced parts: (n/k)^(1/3) for two rounds; for one, so many that a part is as large as the summary; more where a task's memory asks for it.
 
     Above the crossover eps the one-round form has the smaller proven ratio and is preferred.
     """
     eps = float(spec.eps)
     if rounds is None:
         rounds = 1 if continuous or eps >= bounds.crossover(spec.objective) else 2
-    balanced = math.ceil((max(n, 1) / spec.k) ** (1 / 3 if rounds == 2 else 1 / 2))
+    balanced = math.ceil((max(n, 1) / spec.k) ** (1 / 3) if rounds == 2 else (max(n, 1) / (PER_SEED * spec.m)) ** (1 / 2))
     parts = max(1, balanced, -(-n // rows))
     value, why = bounds.ratio(alpha, eps, spec.objective, rounds, continuous)
     return Plan(parts, rounds, value, why, spec.proven and math.isfinite(value), -(-n // parts))

@@ -69,12 +69,21 @@ def point_schema(pt: T.DataType) -> T.StructType:
     return T.StructType([T.StructField("id", T.LongType(), False), T.StructField("pt", pt, False), T.StructField("w", T.LongType(), False)])
 
 
-def check_points(points: DataFrame, on_invalid: str = "error") -> DataFrame:
+def check_points(points: DataFrame, on_invalid: str = "error", unique: bool = True) -> DataFrame:
     """Rows that are points: id and payload present, no null, NaN or infinite coordinate, weight at least 1, one payload length.
 
     `error` counts the bad rows in one pass and raises; `drop` filters them out.  Ids must be
-    unique, which `error` checks too.
+    unique; `error` checks that by a shuffle unless `unique` is off.
     """
+    return _checked(points, on_invalid, unique)[0]
+
+
+def counted_points(points: DataFrame) -> tuple[DataFrame, int]:
+    """The points and their number, checked in one pass without a shuffle; parts look for repeated ids themselves."""
+    return _checked(points, "error", False)
+
+
+def _checked(points: DataFrame, on_invalid: str, unique: bool) -> tuple[DataFrame, int]:
     for c in ("id", "pt"):
         if c not in points.columns:
             raise CoreclustError(f"points need a column {c}")
@@ -86,7 +95,7 @@ def check_points(points: DataFrame, on_invalid: str = "error") -> DataFrame:
         odd = lambda x: x.isNull() | (F.isnan(x) | (F.abs(x) == float("inf")) if isinstance(kind.elementType, (T.DoubleType, T.FloatType)) else F.lit(False))
         bad = bad | F.coalesce(F.exists("pt", odd), F.lit(True))
     if on_invalid == "drop":
-        return points.where(~bad)
+        return points.where(~bad), -1
     vector = isinstance(kind, T.ArrayType) and not isinstance(kind.elementType, T.StringType)
     length = F.size("pt") if vector else F.lit(0)
     got = points.agg(F.count_if(bad).alias("bad"), F.count("*").alias("n"), F.min(length).alias("lo"), F.max(length).alias("hi")).first()
@@ -94,7 +103,9 @@ def check_points(points: DataFrame, on_invalid: str = "error") -> DataFrame:
         raise CoreclustError(f"{got['bad']} of {got['n']} rows are no points (null, NaN or infinite values, or a weight under 1)")
     if vector and got["n"] and got["lo"] != got["hi"]:
         raise CoreclustError(f"payload lengths differ: {got['lo']} to {got['hi']}")
+    if not unique:
+        return points, got["n"]
     twice = points.groupBy("id").agg(F.count("*").alias("n")).where("n > 1").agg(F.count("*").alias("n")).first()["n"]
     if twice:
         raise CoreclustError(f"{twice} ids occur more than once")
-    return points
+    return points, got["n"]

@@ -59,62 +59,53 @@ def by_window_parts(events: DataFrame, spec: ClusterSpec, metric: Metric, time:
     return one_round(events.withColumn("part", day), spec, metric)
 
 
-def merged(windows: list[Coreset], spec: ClusterSpec, metric: Metric, target_rows: int) -> Coreset:
+def merged(windows: list[Coreset], spec: ClusterSpec, metric: Metric) -> Coreset:
     from ..operators.coreset import union
 
-    return reduce_again(union(windows), spec, metric, target_rows)
+    return reduce_again(union(windows), spec, metric)
 
 
 class MergeTree:
     """Bounded state of a stream: buckets of doubling size, reduced again when two of a size meet.
 
-    Level j is reduced with eps / 2^(j + 2), so that the errors e + 2 e' (1 + e) of all levels
-    stay within a constant of eps.  Only medians have that recursion proven.
+    There are at most `most_levels` levels; what reaches the top is merged into it again and again,
+    so the state holds at most that many covers, however long the stream.  `moved` is the weighted
+    distance (to the power p) by which points have been moved so far, each reduction added: for
+    medians the cost of no set of centers differs between stream and summary by more than it.  For
+    means its root per reduction adds up, which `moved` does too.
     """
 
-    def __init__(self, spec: ClusterSpec, metric: Metric, bucket_rows: int = 512, levels: dict[int, list[tuple]] | None = None):
-        self.spec, self.metric, self.bucket_rows = spec, metric, bucket_rows
+    def __init__(self, spec: ClusterSpec, metric: Metric, bucket_rows: int = 512, levels: dict[int, list[tuple]] | None = None, moved: float = 0.0, most_levels: int = 12):
+        self.spec, self.metric, self.bucket_rows, self.most_levels = spec, metric, bucket_rows, most_levels
         self.levels: dict[int, list[tuple]] = levels or {}
+        self.moved = moved
 
-    def error(self) -> float:
-        e = 0.0
-        for j in sorted(self.levels):
-            e = e + 2 * float(self.spec.eps) / 2 ** (j + 2) * (1 + e)
-        return e
-
-    def _reduced(self, rows: list[tuple], level: int) -> list[tuple]:
-        from dataclasses import replace
-        from fractions import Fraction
-
+    def _reduced(self, rows: list[tuple]) -> list[tuple]:
         from ..operators.cover import ball_cover
         from ..operators.seed import SEEDERS
 
-        rows = sorted(rows, key=lambda r: r[0])
-        spec = replace(self.spec, eps=Fraction(self.spec.eps, 2 ** (level + 2)))
+        rows, spec = sorted(rows, key=lambda r: r[0]), self.spec
         w = np.array([r[2] for r in rows], np.int64)
         data = self.metric.load([r[1] for r in rows])
         _, d = SEEDERS[spec.seeder](self.metric, data, w, spec.m, spec.p, np.random.default_rng(spec.seed))
         cost = int((w * d).sum()) if self.metric.exact else float((w * d).sum())
         c = ball_cover(self.metric, data, d, cost, int(w.sum()), spec.eps, spec.beta, spec.p)
+        step = float((w * c.d).sum())
+        self.moved = self.moved + step if spec.p == 1 else (self.moved**0.5 + step**0.5) ** 2
         mass = np.bincount(c.tau, w, len(rows)).astype(np.int64)
         return [(rows[k][0], rows[k][1], int(mass[k])) for k in np.sort(c.pivots)]
 
     def add(self, rows: list[tuple]) -> None:
-        level = 0
-        while True:
-            held = self.levels.pop(level, None)
-            if held is None:
-                if level == 0 and len(rows) < self.bucket_rows:
-                    self.levels[0] = rows
-                    return
-                self.levels[level] = rows
-                return
-            rows = held + rows
-            if level == 0 and len(rows) < self.bucket_rows:
-                self.levels[0] = rows
-                return
-            rows = self._reduced(rows, level)
-            level += 1
+        """Takes rows of unique ids; a bucket of level 0 is reduced once it is full."""
+        rows = self.levels.pop(0, []) + rows
+        if len(rows) < self.bucket_rows:
+            self.levels[0] = rows
+            return
+        rows, level = self._reduced(rows), 1
+        while level in self.levels:
+            rows = self._reduced(self.levels.pop(level) + rows)
+            level = min(level + 1, self.most_levels)
+        self.levels[level] = rows
 
     def rows(self) -> list[tuple]:
         return [r for level in sorted(self.levels) for r in self.levels[level]]
@@ -130,12 +121,12 @@ def keyed_summaries(events: DataFrame, key: str, spec: ClusterSpec, metric: Metr
     def update(k: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
         import json
 
-        levels = {int(a): [tuple(r) for r in b] for a, b in json.loads(state.get[0]).items()} if state.exists else {}
-        tree = MergeTree(spec, metric, bucket_rows, levels)
+        levels, moved = json.loads(state.get[0]) if state.exists else ({}, 0.0)
+        tree = MergeTree(spec, metric, bucket_rows, {int(a): [tuple(r) for r in b] for a, b in levels.items()}, moved)
         for f in frames:
             if len(f):
                 tree.add([(int(i), [x.item() if hasattr(x, "item") else x for x in p], int(w)) for i, p, w in zip(f["id"], f["pt"], f["w"], strict=True)])
-        state.update((json.dumps(tree.levels),))
+        state.update((json.dumps((tree.levels, tree.moved)),))
         rows = tree.rows()
         yield pd.DataFrame({"key": [str(k[0])] * len(rows), "id": [r[0] for r in rows], "w": [r[2] for r in rows]})
 

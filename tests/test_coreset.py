@@ -10,7 +10,7 @@ from hypothesis import given, settings
 from hypothesis import strategies as st
 from pyspark.sql import functions as F
 
-from coreclust.api import cluster, cluster_continuous, cluster_fast
+from coreclust.api import alpha_of, cluster, cluster_continuous, cluster_fast
 from coreclust.functions.metrics import Edit, Euclidean, Hamming, Lp
 from coreclust.operators import coreset as C
 from coreclust.operators import measure as M
@@ -189,9 +189,14 @@ def test_splits_as_parts_and_composition(spark):
     assert cs.stats.count() == 3 and cs.rows.agg(F.sum("w")).first()[0] == 300
     both = C.union([cs, cs])
     assert both.select("part").distinct().count() == 6
-    again = C.reduce_again(cs, ClusterSpec(4), L1, 20)
+    again = C.reduce_again(cs, ClusterSpec(4), L1)
     assert again.rows.agg(F.sum("w")).first()[0] == 300 and again.rows.count() < cs.rows.count()
-    assert C.re_reduction_bound(Fraction(1, 10), Fraction(1, 10)) == Fraction(32, 100)
+    assert bounds.reduced_error("median", 0.1, 0.1) == pytest.approx(0.32) and bounds.reduced_error("means", 0.04, 0.1) > 0.16
+    schema = C.tagged_schema(pts.schema["pt"].dataType, L1)
+    arrow = C._arrow(schema)
+    cut = C._split(pts, schema, lambda t, part: C.first_round(t, part, L1, ClusterSpec(4), arrow, False), rows=30)
+    stats = cut.where("kind = 'stat'").collect()
+    assert max(r["n"] for r in stats) <= 30 and sum(r["n"] for r in stats) == 300 and len({r["part"] for r in stats}) == len(stats)
 
 
 def test_skewed_natural_parts_are_salted(spark):
@@ -241,13 +246,76 @@ def test_other_solvers_do_not_beat_the_optimum():
         S.exact(e, np.zeros((3000, 1)), np.ones(3000), 3, 1)
 
 
-def test_no_ratio_is_claimed_for_sampled_swaps(spark, monkeypatch):
-    monkeypatch.setattr("coreclust.api.MOST_ROWS", 4)
-    monkeypatch.setattr("coreclust.api.reduce_again", lambda rows, *a: C.Coreset(rows, *[None] * (len(C.Coreset.__dataclass_fields__) - 1)))
-    r = cluster(line(spark, range(0, 900, 30)).select("id", "pt"), ClusterSpec(3, m=6), L1)
+def test_a_large_summary_is_reduced_until_it_fits(spark):
+    """The ratio carries the error of every reduction, and holds."""
+    xs = np.random.default_rng(21).integers(0, 10**5, 600)
+    pts = line(spark, xs).select("id", "pt")
+    opt = S.exact_line(xs, np.ones(600, np.int64), 3, 1)[1]
+    plain, tight = (cluster(pts, ClusterSpec(3, eps=Fraction(1, 10), m=6), L1, most_rows=most) for most in (4000, 60))
+    a, b = ({x["key"]: x for x in r.report().collect()} for r in (plain, tight))
+    assert a["guarantee"]["value"] == b["guarantee"]["value"] == 1 and "further reduction" in b["proven_ratio"]["note"]
+    assert a["proven_ratio"]["value"] < b["proven_ratio"]["value"] < math.inf
+    for r in (a, b):
+        assert opt <= r["cost"]["value"] <= r["proven_ratio"]["value"] * opt
+
+
+@pytest.mark.parametrize("metric, p", [(L1, 1), (SQ, 2)])
+def test_swaps_where_the_rows_lie_end_in_a_local_optimum(spark, metric, p):
+    rng = np.random.default_rng(22)
+    xs, w = rng.integers(0, 1000, (150, 3)), rng.integers(1, 5, 150)
+    pts = spark.createDataFrame([(i, x.tolist(), int(v)) for i, (x, v) in enumerate(zip(xs, w, strict=True))], "id long, pt array<bigint>, w long")
+    got = S.local_search_distributed(pts, 4, metric, p, block=40, start_rows=30)
+    picks = sorted(r["center_id"] for r in got.collect())
+    data = metric.load(xs.tolist())
+    again, _ = S.swap_search(metric, data, w, 4, p, start=np.array(picks))
+    assert again.tolist() == picks and got.count() == 4
+
+
+def test_a_summary_that_does_not_shrink_is_solved_where_it_lies(spark):
+    xs = np.random.default_rng(23).normal(0, 1, (120, 40))
+    pts = spark.createDataFrame([(i, x.tolist()) for i, x in enumerate(xs)], "id long, pt array<double>")
+    r = cluster(pts, ClusterSpec(3, eps=Fraction(1, 10)), Euclidean(), most_rows=50)
     report = {x["key"]: x for x in r.report().collect()}
-    assert report["proven_ratio"]["value"] == math.inf and report["guarantee"]["value"] == 0
-    assert report["proven_ratio"]["note"].startswith("no proven ratio")
+    assert report["core_rows"]["value"] == 120 and report["guarantee"]["value"] == 1 and r.centers.count() == 3
+    with pytest.raises(CoreclustError, match="do not shrink"):
+        C.two_round(by_hash(pts.withColumn("w", F.lit(1).cast("long")), 2), ClusterSpec(3, eps=Fraction(1, 10)), Euclidean(), broadcast_rows=50)
+
+
+def test_heuristics_claim_no_ratio(spark):
+    pts = line(spark, range(0, 900, 30)).select("id", "pt")
+    for r in (cluster(pts, ClusterSpec(3, m=6), L1, method="medoids"), cluster_continuous(pts, ClusterSpec(3, m=6), L1)):
+        report = {x["key"]: x for x in r.report().collect()}
+        assert report["proven_ratio"]["value"] == math.inf and report["guarantee"]["value"] == 0
+        assert report["proven_ratio"]["note"].startswith("no proven ratio")
+    assert alpha_of(ClusterSpec(2, "means", Fraction(1, 10))) == 9 and alpha_of(ClusterSpec(2), t=2) == 4 and alpha_of(ClusterSpec(2), "exact") == 1
+
+
+@pytest.mark.parametrize("objective", ["means", "median"])
+def test_continuous_passes_where_the_rows_lie(spark, objective):
+    rng = np.random.default_rng(24)
+    x = np.concatenate([rng.normal(c, 5, (80, 2)) for c in (0, 100, 250)])
+    pts = spark.createDataFrame([(i, v.tolist(), 1 + i % 3) for i, v in enumerate(x)], "id long, pt array<double>, w long").repartition(3)
+    cost = [M.cost(pts, S.solve_continuous(pts, 3, objective, most=most), Euclidean(), 2 if objective == "means" else 1).first()["cost"] for most in (10**6, 10)]
+    assert cost[1] <= 1.02 * cost[0]
+
+
+def test_given_table_of_centers(spark):
+    """Targets outside the points: the cover holds against them, with the parts' own tolerances."""
+    xs = np.random.default_rng(25).integers(0, 5000, 200)
+    pts = line(spark, xs, parts=2)
+    targets = spark.createDataFrame([(1, [100]), (2, [2600]), (3, [4700])], "center_id long, pt array<bigint>")
+    cs = C.given_targets(pts, targets, ClusterSpec(3), L1, mapping=True)
+    part = {r["id"]: r["part"] for r in pts.collect()}
+    d = np.abs(xs[:, None] - [100, 2600, 4700]).min(1)
+    tolerance = {p: d[[i for i in range(200) if part[i] == p]].mean() for p in (0, 1)}
+    got = cs.mapping.collect()
+    assert len(got) == 200 and all(4 * r["d"] <= max(tolerance[r["part"]], d[r["id"]]) + 1e-9 for r in got)
+    assert cs.rows.agg(F.sum("w")).first()[0] == 200 and cs.rows.count() < 100
+
+
+def test_repeated_ids_are_found_in_their_part(spark):
+    with pytest.raises(Exception, match="more than once"):
+        cluster(spark.createDataFrame([(1, [1]), (2, [5]), (1, [9])], "id long, pt array<bigint>"), ClusterSpec(1), L1)
 
 
 def test_end_to_end_and_report(spark, tmp_path):

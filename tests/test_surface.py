@@ -140,7 +140,22 @@ def test_merge_tree_keeps_weight_and_error():
     tree = MergeTree(ClusterSpec(3), L1, 32)
     for k in range(20):
         tree.add([(k * 40 + i, [(k * 37 + i * 11) % 500], 1) for i in range(40)])
-    assert sum(r[2] for r in tree.rows()) == 800 and len(tree.rows()) < 800 and tree.error() < 1
+    assert sum(r[2] for r in tree.rows()) == 800 and len(tree.rows()) < 800 and tree.moved > 0
+
+
+def test_merge_tree_stays_small_and_knows_its_error():
+    """A stream fifty times as long leaves no larger state, and no set of centers costs more or less than `moved` says."""
+    rng, tree, seen, most = np.random.default_rng(4), MergeTree(ClusterSpec(3), L1, 64, most_levels=4), [], []
+    for k in range(400):
+        rows = [(k * 40 + i, [int(x)], 1) for i, x in enumerate(rng.integers(0, 100_000, 40))]
+        seen += rows
+        tree.add(rows)
+        most.append(len(tree.rows()))
+    assert max(most[8:]) <= 4 * max(most[:8]) + 64 and sum(r[2] for r in tree.rows()) == len(seen)
+    for _ in range(20):
+        c = rng.integers(0, 100_000, 3)
+        cost = [sum(w * min(abs(x[0] - c)) for _, x, w in rows) for rows in (seen, tree.rows())]
+        assert abs(cost[0] - cost[1]) <= tree.moved
 
 
 def test_entry_without_the_corpus_operators(tmp_path):
