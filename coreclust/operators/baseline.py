@@ -83,15 +83,24 @@ def farthest_on_parts(parted: DataFrame, spec: ClusterSpec, metric: Metric) -> D
     return parted.select("part", "id", "pt", "w").groupBy("part").applyInArrow(run, "part int, rank int, id long")
 
 
-def library_kmeans(points: DataFrame, k: int, seed: int = 1, passes: int = 10) -> DataFrame:
-    """(id, cluster) by Spark's own continuous k-means."""
+def _library_model(points: DataFrame, k: int, seed: int, passes: int):
     from pyspark.ml.clustering import KMeans
     from pyspark.ml.functions import array_to_vector
 
     rows = points.select("id", array_to_vector(F.col("pt").cast("array<double>")).alias("features"))
-    model = KMeans(k=k, seed=seed, maxIter=passes).fit(rows)
+    return KMeans(k=k, seed=seed, maxIter=passes).fit(rows), rows
+
+
+def library_kmeans(points: DataFrame, k: int, seed: int = 1, passes: int = 10) -> DataFrame:
+    """(id, cluster) by Spark's own continuous k-means."""
+    model, rows = _library_model(points, k, seed, passes)
     return model.transform(rows).select("id", F.col("prediction").alias("cluster"))
 
 
+def library_centers(points: DataFrame, k: int, seed: int = 1, passes: int = 10) -> list[tuple[int, list[float]]]:
+    """The k centers that it finds."""
+    return [(i, [float(v) for v in c]) for i, c in enumerate(_library_model(points, k, seed, passes)[0].clusterCenters())]
+
+
 def euclidean_cost(points: DataFrame, centers: DataFrame | list, p: int) -> float:
     return assign(points.withColumn("pt", F.col("pt").cast("array<double>")), centers, Euclidean(), p).agg(F.sum("d")).first()[0]

@@ -35,6 +35,23 @@ def ratio(value: float, optimum: float) -> float:
     return 1.0 if value == optimum else value / optimum
 
 
+def part_costs(parted: DataFrame, cs: Coreset, metric: Metric, p: int = 1) -> DataFrame:
+    """(part, cost) of serving each part from its own cover: points and cover of a part meet in one co-grouped Arrow task."""
+
+    def run(key, points: pa.Table, core: pa.Table) -> pa.Table:
+        n = points.num_rows
+        if not n or not core.num_rows:
+            return pa.table({"part": pa.array([], pa.int32()), "cost": pa.array([], number)})
+        data = metric.joined(pa.concat_arrays(points.column("pt").chunks), pa.concat_arrays(core.column("pt").chunks))
+        d, _ = metric.nearest(data, np.arange(n, n + core.num_rows), np.arange(n), p)
+        w = points.column("w").to_numpy()
+        return pa.table({"part": pa.array([key[0].as_py()], pa.int32()), "cost": pa.array([(w * d).sum()], number)})
+
+    number = pa.int64() if metric.exact else pa.float64()
+    left, right = parted.select("part", "pt", "w").groupBy("part"), cs.rows.select("part", "pt").groupBy("part")
+    return left.cogroup(right).applyInArrow(run, f"part int, cost {'long' if metric.exact else 'double'}")
+
+
 def mapping_cost(cs: Coreset, metric: Metric) -> DataFrame:
     """(num): summed distance of all points to the points that stand for them."""
     c = total(metric, F.col("w"), F.col("d"))

@@ -37,7 +37,7 @@ def by_hash(pts: DataFrame, parts: int) -> DataFrame:
 def by_column(pts: DataFrame, column: Column, rows_per_part: int | None = None) -> DataFrame:
     """Parts along a natural column; values with more rows than fit a task are salted into several parts."""
     if rows_per_part is None:
-        return pts.withColumn("part", F.abs(F.xxhash64(column)).cast("int"))
+        return pts.withColumn("part", F.hash(column))
     keyed = pts.withColumn("_k", column)
     sizes = keyed.groupBy("_k").agg(F.ceil(F.count("*") / rows_per_part).cast("int").alias("_s"))
     return keyed.join(sizes, "_k").withColumn("part", F.hash("_k", F.pmod(F.xxhash64("id"), F.col("_s")))).drop("_k", "_s")

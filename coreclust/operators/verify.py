@@ -5,6 +5,7 @@ from __future__ import annotations
 from fractions import Fraction
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -57,6 +58,37 @@ def shell_separation(core: list, targets: list, r: float, spec: ClusterSpec, met
     return least
 
 
+def shell_violations(cs: Coreset, metric: Metric) -> DataFrame:
+    """(violations): pairs of a one-round cover, in one shell of one seed of their part, that lie no farther apart than the shell promises.
+
+    Each part is one Arrow task over its own cover and seeds; a shell's pairs are looked at row
+    by row and only counted.
+    """
+    spec = cs.spec
+    tol = cs.stats.select("part", F.col("cost").alias("r"), F.col("w_sum").alias("n"))
+    rows = cs.rows.select("part", F.lit(0).alias("role"), "id", "pt").unionByName(cs.seeds.select("part", F.lit(1).alias("role"), "id", "pt")).join(F.broadcast(tol), "part")
+
+    def run(t: pa.Table) -> pa.Table:
+        t = t.sort_by([("role", "ascending"), ("id", "ascending")])
+        role = t.column("role").to_numpy()
+        n, r = int((role == 0).sum()), Fraction(t.column("r")[0].as_py()) / t.column("n")[0].as_py()
+        data = metric.joined(pa.concat_arrays(t.column("pt").chunks))
+        d, who = metric.nearest(data, np.arange(n, len(role)), np.arange(n))
+        shell = np.full(n, -1)
+        edge, k = r, 0
+        while r and (d > float(edge)).any():
+            shell[d > float(edge)] = k
+            edge, k = 2 * edge, k + 1
+        unit, bad = spec.eps / (2 * spec.beta) * r, 0
+        for target, j in {*zip(who.tolist(), shell.tolist(), strict=True)}:
+            m = np.flatnonzero((who == target) & (shell == j))
+            least = float(unit * 2 ** max(0, j))
+            bad += sum(int((metric.one(data, int(x), m[i + 1 :]) <= least * (1 - 1e-12)).sum()) for i, x in enumerate(m[:-1]))
+        return pa.table({"bad": pa.array([bad], pa.int64())})
+
+    return rows.groupBy("part").applyInArrow(run, "bad long").agg(F.coalesce(F.sum("bad"), F.lit(0)).alias("violations"))
+
+
 def beta_of(cost: float, metric: Metric, data, w: np.ndarray, k: int, p: int) -> float:
     """A rough solution's cost over the exact optimum of its part (tiny parts)."""
     best = exact(metric, data, w, k, p)[1]

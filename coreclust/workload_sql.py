@@ -29,7 +29,9 @@ PART_CATEGORIES = f"select p_partkey::bigint as id, {parts('p_partkey', 'part')}
 PART_WEIGHTED = f"select p_partkey::bigint as id, {parts('p_partkey', 'part')} as part, greatest(1, coalesce(l.n, 0))::bigint as w, {PART_V} as v from part left join (select l_partkey, count(*) as n from lineitem group by l_partkey) l on l_partkey = p_partkey"
 ORDERS = f"select o_orderkey::bigint as id, {parts('o_orderkey', 'orders', 11)} as part, 1::bigint as w, {{'x': cast(round(o_totalprice / 100) as bigint), 'y': (date_diff('day', date '1995-01-01', o_orderdate::date) * 10)::bigint}} as v from orders"
 EVENTS = f"select event_id::bigint as id, date_diff('day', date '1970-01-01', ts::date)::int as part, 1::bigint as w, {{'x': {CENTS.format('value')}, 'y': ((date_part('hour', ts) * 3600 + date_part('minute', ts) * 60 + floor(date_part('second', ts)))::bigint // 36)}} as v from events"
-BENCHMARK = f"select item_id::bigint as id, {parts('item_id', 'benchmark', 2)} as part, 1::bigint as w, {{'x': regexp_replace(coalesce(text, ''), '[^\\x00-\\x7F]', '?', 'g')}} as v from benchmark"
+#: Every character of the texts as a byte of its own, so that byte and character edits are the same; for up to 127 different ones.
+_ALPHABET = "(select list(distinct c order by c) from (select unnest(string_split(coalesce(text, ''), '')) as c from benchmark))"
+BENCHMARK = f"select item_id::bigint as id, {parts('item_id', 'benchmark', 2)} as part, 1::bigint as w, {{'x': coalesce(array_to_string(list_transform(list_filter(string_split(coalesce(text, ''), ''), lambda c: c <> ''), lambda c: chr(list_position(abc, c)::int)), ''), '')}} as v from benchmark cross join (select {_ALPHABET} as abc)"
 
 
 def _d(dist: str, a: str, b: str) -> str:
@@ -85,6 +87,12 @@ def one_round(src: str, dist: str, m: int, **options) -> str:
     return f"{seeded(src, dist, m)}, {covered('cov', FIRST, dist, **options)}"
 
 
+def given(src: str, dist: str, k: int, **options) -> str:
+    """Covers of the parts against the k smallest ids as targets of all, each part with its own tolerance."""
+    return f"""{centers_of(src, k)}, dt as materialized (select p.id, p.part, p.w, p.v, min({_d(dist, 'p.v', 'c.v')}) as d from pts p cross join cen c group by p.id, p.part, p.w, p.v),
+tol as materialized (select part, sum(w)::hugeint as n, sum(w * d)::hugeint as r from dt group by part), {covered('cov', FIRST, dist, **options)}"""
+
+
 def two_round(src: str, dist: str, m: int, p: int = 1) -> str:
     return f"{one_round(src, dist, m, p=p)}, {second(dist, p=p)}"
 

@@ -18,7 +18,7 @@ from .operators import measure as M
 from .operators import verify as V
 from .operators.points import by_modulo, points, quantised
 from .operators.solve import exact, exact_line
-from .plans.resolve import part_count
+from .plans.resolve import ROWS, part_count
 from .schema import ClusterSpec
 from .sources.tables import stream, table, with_event_time
 from .storage import Scratch
@@ -77,9 +77,15 @@ def _event_vector():
     return F.array(quantised("value", 100), F.floor(seconds / 36).cast("long"))
 
 
+#: Parts of one day are numbered in steps of this.
+DAYS = 100_000
+
+
 def events(s: SparkSession, d: str) -> DataFrame:
-    e = table(s, d, "events")
-    return e.select(F.col("event_id").alias("id"), _event_vector().alias("pt"), F.lit(1).cast("long").alias("w"), F.unix_date(F.col("ts").cast("date")).alias("part"))
+    """Days as parts; a day of more events than a task holds is dealt to several, which are the same modulo DAYS."""
+    e = table(s, d, "events").select(F.col("event_id").alias("id"), _event_vector().alias("pt"), F.lit(1).cast("long").alias("w"), F.unix_date(F.col("ts").cast("date")).alias("day"))
+    sizes = e.groupBy("day").agg(F.ceil(F.count("*") / ROWS).cast("int").alias("tasks"))
+    return e.join(F.broadcast(sizes), "day").select("id", "pt", "w", (F.col("day") + F.pmod(F.xxhash64("id"), F.col("tasks")) * DAYS).cast("int").alias("part"))
 
 
 def lineitem(s: SparkSession, d: str) -> DataFrame:
@@ -90,8 +96,8 @@ def lineitem(s: SparkSession, d: str) -> DataFrame:
 
 
 def benchmark(s: SparkSession, d: str) -> DataFrame:
-    """Texts with every non-ASCII character as one `?`: engines differ in whether an edit counts bytes or characters."""
-    return points(table(s, d, "benchmark"), "item_id", F.regexp_replace(F.coalesce("text", F.lit("")), r"[^\x00-\x7F]", "?"))
+    """Whole texts; edits count characters (the SQL counterpart, whose engine counts bytes, gives every character a byte of its own)."""
+    return points(table(s, d, "benchmark"), "item_id", F.coalesce("text", F.lit("")))
 
 
 def documents(s: SparkSession, d: str) -> DataFrame:
@@ -120,42 +126,43 @@ def core(cs: C.Coreset) -> DataFrame:
 # ---------------------------------------------------------------- metrics
 
 
-def _to_first(src: str, *cols: str) -> str:
-    return f"with pts as ({src}), o as (select v from pts order by id limit 1) select pts.id, {', '.join(cols)} from pts cross join o"
+def _to_first(src: str, *cols: str, k: int = 3) -> str:
+    return f"with pts as ({src}), o as (select id as other, v from pts order by id limit {k}) select pts.id as id_a, o.other as id_b, {', '.join(cols)} from pts cross join o"
 
 
 def _first(pts: DataFrame):
     return F.lit(pts.orderBy("id").first()["pt"])
 
 
-@query(_to_first(Q.PART, f"{Q._d(Q.L1_2D, 'pts.v', 'o.v')} as d1", "greatest(abs(pts.v.x - o.v.x), abs(pts.v.y - o.v.y)) as dmax", f"{Q._d(Q.SQUARE_2D, 'pts.v', 'o.v')} as d2"))
+def _pairs(pts: DataFrame, k: int = 3) -> DataFrame:
+    """(id_a, id_b, a, b): every point against the k points of smallest ids."""
+    few = pts.select(F.col("id").alias("id_b"), F.col("pt").alias("b")).orderBy("id_b").limit(k)
+    return pts.select(F.col("id").alias("id_a"), F.col("pt").alias("a")).join(F.broadcast(few), F.lit(True))
+
+
+@query(_to_first(Q.PART, f"{Q._d(Q.L1_2D, 'pts.v', 'o.v')} as d1", "greatest(abs(pts.v.x - o.v.x), abs(pts.v.y - o.v.y)) as dmax", f"{Q._d(Q.SQUARE_2D, 'pts.v', 'o.v')} as d2", f"round((abs(pts.v.x - o.v.x)::double ** 3 + abs(pts.v.y - o.v.y)::double ** 3) ** (1 / 3.0), 4) as d3"))
 def metric_lp_part(s, d):
-    pts = part(s, d)
-    o = _first(pts).cast("array<bigint>")
-    return pts.select("id", L1.column(F.col("pt"), o).alias("d1"), Lp(float("inf")).column(F.col("pt"), o).alias("dmax"), SQ.power_column(F.col("pt"), o, 2).alias("d2"))
+    a, b = F.col("a"), F.col("b")
+    return _pairs(part(s, d)).select("id_a", "id_b", L1.column(a, b).alias("d1"), Lp(float("inf")).column(a, b).alias("dmax"), SQ.power_column(a, b, 2).alias("d2"), F.round(Lp(3).column(a, b), 4).alias("d3"))
 
 
 @query(_to_first(Q.PART_CATEGORIES, f"{Q._d(Q.HAMMING, 'pts.v', 'o.v')} as d"))
 def metric_hamming_part(s, d):
-    pts = part_categories(s, d)
-    return pts.select("id", HAM.column(F.col("pt"), _first(pts)).alias("d"))
+    return _pairs(part_categories(s, d)).select("id_a", "id_b", HAM.column(F.col("a"), F.col("b")).alias("d"))
 
 
 @query(_to_first(Q.BENCHMARK, f"{Q._d(Q.EDIT, 'pts.v', 'o.v')}::bigint as d"))
 def metric_edit_benchmark(s, d):
-    pts = benchmark(s, d)
-    return pts.select("id", EDIT.column(F.col("pt"), _first(pts)).alias("d"))
+    return _pairs(benchmark(s, d)).select("id_a", "id_b", EDIT.column(F.col("a"), F.col("b")).alias("d"))
 
 
 _WORDS = "list_distinct(list_filter(regexp_split_to_array(coalesce(text, ''), '[ \\t\\n\\x0B\\f\\r]+'), lambda x: x <> ''))"
 
 
-@query(f"with t as (select doc_id as id, {_WORDS} as w from documents), o as (select w as ow from t order by id limit 1) select id, len(list_intersect(w, ow))::bigint as common, (len(w) + len(ow) - len(list_intersect(w, ow)))::bigint as united from t cross join o")
+@query(f"with t as (select doc_id as id, {_WORDS} as w from documents), o as (select id as other, w as ow from t order by id limit 3) select id as id_a, other as id_b, len(list_intersect(w, ow))::bigint as common, (len(w) + len(ow) - len(list_intersect(w, ow)))::bigint as united from t cross join o")
 def metric_jaccard_documents(s, d):
-    pts = documents(s, d)
-    o = _first(pts)
-    common = F.size(F.array_intersect("pt", o)).cast("long")
-    return pts.select("id", common.alias("common"), (F.size("pt") + F.size(o) - common).cast("long").alias("united"))
+    common = F.size(F.array_intersect("a", "b")).cast("long")
+    return _pairs(documents(s, d)).select("id_a", "id_b", common.alias("common"), (F.size("a") + F.size("b") - common).cast("long").alias("united"))
 
 
 @query("select * from (values ('identity', 0::bigint), ('symmetry', 0), ('sign', 0), ('triangle', 0)) t(axiom, violations)")
@@ -163,10 +170,11 @@ def metric_axioms_part(s, d):
     return verify(part(s, d), L1)
 
 
-@query("with t as (select vec_id as id, list_transform(embedding, lambda x: round(x::double * 10000)::bigint) as v from embeddings), o as (select v as ov from t order by id limit 1) select id, list_sum(list_transform(list_zip(v, ov), lambda z: (z[1] - z[2]) * (z[1] - z[2])))::bigint as d2 from t cross join o")
+@query("with t as (select vec_id as id, list_transform(embedding, lambda x: round(x::double * 10000)::bigint) as v from embeddings), o as (select id as other, v as ov from t order by id limit 3) select id as id_a, other as id_b, d2, round(sqrt(d2), 6) as d from (select id, other, list_sum(list_transform(list_zip(v, ov), lambda z: (z[1] - z[2]) * (z[1] - z[2]))) as d2 from t cross join o)")
 def metric_sq_embeddings(s, d):
     pts = points(table(s, d, "embeddings"), "vec_id", F.transform("embedding", lambda x: F.round(x.cast("double") * 10000).cast("long")))
-    return pts.select("id", SQ.power_column(F.col("pt"), _first(pts).cast("array<bigint>"), 2).alias("d2"))
+    a, b = F.col("a"), F.col("b")
+    return _pairs(pts).select("id_a", "id_b", SQ.power_column(a, b, 2).alias("d2"), F.round(Euclidean().column(a, b), 6).alias("d"))
 
 
 @query(f"{Q.nearest(Q.PART, Q.L1_2D, 10)} select id, center_id, d from near")
@@ -181,7 +189,7 @@ def nearest_sql_part(s, d):
     return A.assign_sql(pts, centers(pts, 10), L1)
 
 
-@query(_to_first(Q.ORDERS, f"{Q._d(Q.L1_2D, 'pts.v', 'o.v')} as d") + f" where {Q._d(Q.L1_2D, 'pts.v', 'o.v')} <= 5000")
+@query(f"with pts as ({Q.ORDERS}), o as (select v from pts order by id limit 1) select pts.id, {Q._d(Q.L1_2D, 'pts.v', 'o.v')} as d from pts cross join o where {Q._d(Q.L1_2D, 'pts.v', 'o.v')} <= 5000")
 def ball_orders(s, d):
     pts = orders(s, d)
     return A.ball(pts, pts.orderBy("id").first()["pt"], 5000, L1)
@@ -350,7 +358,7 @@ def two_round_median_part(s, d):
 
 @query(Q.core(Q.one_round(Q.EVENTS, Q.L1_2D, 20), label="day"))
 def window_coreset_events(s, d):
-    return core(C.one_round(events(s, d), spec(10, 20), L1)).withColumnRenamed("part", "day")
+    return core(C.one_round(events(s, d), spec(10, 20), L1)).select((F.col("part") % DAYS).alias("day"), "id", "w")
 
 
 @query(f"with recursive {Q.one_round(Q.EVENTS, Q.L1_2D, 20)}, c as (select part, tau_id, sum(w) as w from cov_tau group by 1, 2) select count(*) as n_core, sum(w)::bigint as w_sum from c")
@@ -366,8 +374,7 @@ def compose_events(s, d):
     "select tau_id as id, sum(w)::bigint as w from cow_tau group by tau_id"
 )
 def re_reduce_customer(s, d):
-    rows = C.one_round(parted(customer(s, d)), spec(5), L1).rows.select("id", "pt", "w").withColumn("part", F.lit(0))
-    return C.one_round(rows, spec(5), L1).rows.select("id", "w")
+    return C.reduce_again(C.one_round(parted(customer(s, d)), spec(5), L1), spec(5), L1).rows.select("id", "w")
 
 
 @query(f"with recursive {Q.seeded(Q.CUSTOMER, Q.L1, 5)}, g as (select sum(n)::bigint as n, sum(r)::bigint as nu from tol), mu as (select sum(d::hugeint * d)::bigint as mu from dt) select n, nu, mu from g cross join mu")
@@ -407,10 +414,8 @@ def exact_supplier(s, d):
 
 @query(f"with pts as ({Q.SUPPLIER}), c as (select a.id as s1, b.id as s2, a.v as av, b.v as bv from pts a join pts b on a.id < b.id) select min(cost)::bigint as cost from (select sum(p.w * least({Q._d(Q.L1, 'p.v', 'c.av')}, {Q._d(Q.L1, 'p.v', 'c.bv')})) as cost from c cross join pts p group by s1, s2)")
 def exact_line_supplier(s, d):
-    import numpy as np
-
-    _, pt, w = _local(supplier(s, d))
-    return s.createDataFrame([(int(exact_line(np.array(pt)[:, 0], w, 2, 1)[1]),)], "cost long")
+    got = supplier(s, d).select(F.col("pt")[0].alias("x"), "w").toArrow()
+    return s.createDataFrame([(int(exact_line(got.column("x").to_numpy(), got.column("w").to_numpy(), 2, 1)[1]),)], "cost long")
 
 
 _OPT = f"pairs as (select a.id as s1, b.id as s2, a.v as av, b.v as bv from pts a join pts b on a.id < b.id), opt as materialized (select min(cost) as den from (select sum(p.w * least({Q._d(Q.L1, 'p.v', 'c.av')}, {Q._d(Q.L1, 'p.v', 'c.bv')})) as cost from pairs c cross join pts p group by s1, s2))"
@@ -459,7 +464,7 @@ def local_search_part(s, d):
 def local_search_distributed_part(s, d):
     from .operators.solve import local_search_distributed
 
-    return local_search_distributed(part(s, d), 5, L1, 1, passes=3, candidates=16).select("center_id")
+    return local_search_distributed(part(s, d), 5, L1, 1).select("center_id")
 
 
 def flagship(s: SparkSession, d: str) -> DataFrame:
@@ -547,31 +552,6 @@ def baseline_mllib_orders(s, d):
     return B.library_kmeans(orders(s, d), 10).groupBy("cluster").agg(F.count("*").alias("n"))
 
 
-@query()
-def baseline_costs_customer(s, d):
-    """(method, rows, cost, ratio) of every way to get five centers, against the exact optimum where it is small enough."""
-    import numpy as np
-
-    pts = parted(customer(s, d))
-    sp = spec(5, seeder="dsample")
-    ways = {"one round": C.one_round(pts, sp, L1).rows, "two rounds": C.two_round(pts, sp, L1).rows, "local centers": B.local_centers(pts, sp, L1), "uniform sample": B.uniform_sample(pts, 8), "all points": pts.where("w > 0")}
-    from .operators.solve import MOST_ROWS, solve
-
-    out = []
-    n = pts.count()
-    for name, rows in ways.items():
-        few = rows.select("id", "pt", "w")
-        if name == "all points" and n > 2_000 or few.count() > MOST_ROWS:
-            continue
-        found = [(r["center_id"], r["pt"]) for r in solve(few, 5, L1, 1).collect()]
-        out.append((name, few.count(), int(M.cost(pts, found, L1).first()["cost"])))
-    best = min(c for *_, c in out)
-    if n <= 2_000:
-        _, pt, w = _local(pts)
-        best = int(exact_line(np.array(pt)[:, 0], w, 5, 1)[1])
-    return s.createDataFrame([(a, b, c, c / best) for a, b, c in out], "method string, rows long, cost long, ratio double")
-
-
 @query(f"with t as (select doc_id as id, lang, {_WORDS} as v from documents), cen as (select id as center_id, v as cv from t order by id limit 5), n as (select t.id, t.lang, arg_min(c.center_id, (1 - len(list_intersect(v, cv))::double / (len(v) + len(cv) - len(list_intersect(v, cv)))::double, c.center_id)) as center_id from t cross join cen c group by t.id, t.lang), k as (select center_id, lang, count(*) as n from n group by 1, 2) select center_id, arg_min(lang, (-n, lang)) as lang, max(n) as n from k group by center_id")
 def purity_documents(s, d):
     pts = documents(s, d)
