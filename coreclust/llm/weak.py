@@ -5,6 +5,12 @@ counted per pattern, so expectation-maximisation of the labellers' accuracies ru
 whose size depends on the number of labellers only.  Posterior labels of a bounded sample then
 train a linear scorer on hashed features, which scores every document.
 
+Labellers are not independent given good or bad: each knows one fault, and passes text with
+another.  So bad text is of one of as many kinds as there are labellers, kind k being what
+labeller k is for, and votes are independent given the kind.  What a labeller is for enters as
+pseudo-counts in proportion to the corpus (`ANCHOR` for votes on good text and of a kind's own
+labeller, `LOOSE` for the rest), so that a fit does not depend on size; no accuracy is bounded.
+
 The sample bound (`SAMPLE`) is a parameter; votes, pattern counts and scores cover all rows.
 
 Edge cases.  Null text counts as empty.  A document on which every labeller abstains has the
@@ -27,10 +33,12 @@ from .rules import MEASURES, measure_one
 GOOD, BAD, ABSTAIN = 2, 1, 0
 #: Documents that train the scorer, at most.
 SAMPLE = 8_192
-#: Share of good documents that a labeller blames, at most; share of bad ones that it passes, at least.
-BLAMED, PASSED = 0.001, 0.3
-#: Mean of posterior and score from which a document is kept: the doubtful stay.
-KEEP = 0.35
+#: Weight of the prior votes as a share of all documents: of good text and of a kind's own labeller, and of all others.
+ANCHOR, LOOSE = 2.0, 0.01
+#: Prior chances to abstain, blame and pass: on good text, of a kind's own labeller, of the others; and the prior share of good text.
+ON_GOOD, ON_OWN, ON_OTHER, GOOD_SHARE = (0.3, 0.001, 0.699), (0.15, 0.8, 0.05), (0.3, 0.15, 0.55), 0.8
+#: Mean of posterior and score from which a document is kept.
+KEEP = 0.5
 #: Hashed feature space; its weights are what travels to the tasks.
 DIMENSIONS = 1 << 16
 SHAPE = bytes(97 if 97 <= LOWER[c] <= 122 and c > 96 else 65 if 65 <= c <= 90 else 57 if 48 <= c <= 57 else 120 if c >= 128 else c for c in range(256))
@@ -98,46 +106,42 @@ def votes(docs: DataFrame, id_col: str = "doc_id", text: str = "text", features:
 
 
 class LabelModel:
-    """Accuracies of independent labellers with abstention, by expectation-maximisation on pattern counts."""
+    """Accuracies of labellers with abstention on good text and on each kind of fault, by expectation-maximisation on pattern counts.
+
+    `vote[k, c, x]` is labeller k's chance of vote x on class c, class 0 being good text and
+    class 1 + j fault j; `share` are the classes' shares.
+    """
 
-    def __init__(self, counts: dict[int, int], n_labellers: int, prior_good: float = 0.8, rounds: int = 200):
+    def __init__(self, counts: dict[int, int], n_labellers: int, rounds: int = 300):
         patterns = np.array(sorted(counts), np.int64)
         n = np.array([counts[int(p)] for p in patterns], float)
         v = np.stack([patterns // 3**k % 3 for k in range(n_labellers)], 1) if len(patterns) else np.zeros((0, n_labellers), np.int64)
-        self.prior = prior_good
-        # chance of each vote given the class (0 bad, 1 good): a labeller knows one fault among many and seldom blames good text
-        self.vote = np.tile(np.array([[0.30, 0.25, 0.45], [0.30, 0.003, 0.697]])[None], (n_labellers, 1, 1))
+        own = np.arange(n_labellers)
+        prior, weight = np.tile(np.array(ON_OTHER), (n_labellers, 1 + n_labellers, 1)), np.full((n_labellers, 1 + n_labellers), LOOSE)
+        prior[:, 0], prior[own, 1 + own] = ON_GOOD, ON_OWN
+        weight[:, 0] = weight[own, 1 + own] = ANCHOR
+        self.share = np.array([GOOD_SHARE, *[(1 - GOOD_SHARE) / n_labellers] * n_labellers])
+        self.vote = prior.copy()
+        pseudo = prior * weight[:, :, None] * n.sum()
         for _ in range(rounds if len(patterns) else 0):
-            good = self._posterior(v)
-            weight = np.stack([(1 - good) * n, good * n])
-            before = self.vote.copy()
-            for k in range(n_labellers):
-                for x in range(3):
-                    self.vote[k, :, x] = weight @ (v[:, k] == x) + (0.5, 0.5)
-                self.vote[k] /= self.vote[k].sum(1, keepdims=True)
-            self._bounded()
-            self.prior = float(np.clip(weight[1].sum() / n.sum(), 0.01, 0.99))
-            if np.abs(before - self.vote).max() < 1e-7:
+            mass, before = self._classes(v) * n[:, None], self.vote
+            self.vote = pseudo + np.stack([(v == x).T @ mass for x in range(3)], 2)
+            self.vote /= self.vote.sum(2, keepdims=True)
+            self.share = (mass.sum(0) + 1e-3) / (n.sum() + 1e-3 * len(self.share))
+            if np.abs(before - self.vote).max() < 1e-8:
                 break
-        self.posterior = dict(zip(patterns.tolist(), self._posterior(v).tolist(), strict=True))
-
-    def _bounded(self) -> None:
-        """Keeps the classes apart: few good documents are blamed, and a fault is passed by the labellers of other faults."""
-        for c, x, least, most in ((1, BAD, 0.0, BLAMED), (0, GOOD, PASSED, 1.0)):
-            p = np.clip(self.vote[:, c, x], least, most)
-            rest = np.delete(self.vote[:, c], x, axis=1)
-            rest *= ((1 - p) / rest.sum(1))[:, None]
-            self.vote[:, c] = np.insert(rest, x, p, axis=1)
+        self.posterior = dict(zip(patterns.tolist(), self._classes(v)[:, 0].tolist(), strict=True))
 
-    def _posterior(self, v: np.ndarray) -> np.ndarray:
-        k = np.arange(self.vote.shape[0])[None, :]
-        score = np.stack([np.log(self.vote[k, c, v]).sum(1) for c in (0, 1)]) + np.log([[1 - self.prior], [self.prior]])
-        return 1 / (1 + np.exp(np.clip(score[0] - score[1], -60, 60)))
+    def _classes(self, v: np.ndarray) -> np.ndarray:
+        """Chances of the classes given the votes."""
+        score = np.log(self.vote[np.arange(v.shape[1])[None], :, v]).sum(1) + np.log(self.share)
+        chance = np.exp(score - score.max(1, keepdims=True))
+        return chance / chance.sum(1, keepdims=True)
 
     def accuracies(self) -> np.ndarray:
         """Per labeller, the chance that a vote that is no abstention is right."""
-        right = (1 - self.prior) * self.vote[:, 0, BAD] + self.prior * self.vote[:, 1, GOOD]
-        return right / ((1 - self.prior) * self.vote[:, 0, 1:].sum(1) + self.prior * self.vote[:, 1, 1:].sum(1))
+        given = self.vote * self.share[None, :, None]
+        return (given[:, 0, GOOD] + given[:, 1:, BAD].sum(1)) / given[:, :, 1:].sum((1, 2))
 
 
 def train_scorer(rows: list[tuple[np.ndarray, np.ndarray, float]], epochs: int = 12, rate: float = 2.0, decay: float = 1e-5) -> np.ndarray:
