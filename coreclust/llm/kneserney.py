@@ -38,6 +38,8 @@ from pyspark.sql import functions as F
 from .common import LOWER, Scratch, encode, ensure_file_dir, slices
 
 BLOCK_TOKENS, SHARD_TOKENS = 600_000, 300_000
+#: Shards, and blocks, that one task of an exchange gets; exchanges have as many tasks as that takes, so none grows with the corpus.
+DEALT = 4
 START, END = np.uint64(0x5354415254), np.uint64(0x454E44)
 ODD = np.uint64(0x9E3779B97F4A7C15)
 #: Payload columns: adjusted count; then, as context of the next order: total, and continuations seen 1, 2, 3 or more times; raw count.
@@ -260,9 +262,14 @@ def _scored(block: Block, replies: dict[int, list[np.ndarray]], orders: dict[int
 SCORES = "doc_id long, n_tokens long, n_known long, train_tokens long, base_score double, score double"
 
 
-def _merge(sent: DataFrame, keep_model: bool) -> DataFrame:
+def _dealt(rows: DataFrame, key: str, groups: int) -> DataFrame:
+    """`rows` exchanged by a key with so many groups."""
+    return rows.repartition(max(rows.sparkSession.sparkContext.defaultParallelism, -(-groups // DEALT)), key)
+
+
+def _merge(sent: DataFrame, keep_model: bool, shards: int) -> DataFrame:
     schema = _schema(REPLY)
-    return sent.groupBy("shard").applyInArrow(lambda t: pa.Table.from_pylist(list(answer(t, keep_model)), schema=schema), REPLY)
+    return _dealt(sent, "shard", shards).groupBy("shard").applyInArrow(lambda t: pa.Table.from_pylist(list(answer(t, keep_model)), schema=schema), REPLY)
 
 
 def _orders(replies: DataFrame) -> Order:
@@ -311,7 +318,7 @@ def run(docs: DataFrame, learn: Column, order: int = 2, id_col: str = "doc_id",
     """Scores of every document and, with `keep_model`, the model's rows by order."""
     scratch = Scratch(docs.sparkSession, "kneserney")
     store = scratch.write(blocks(docs, learn, id_col, text, block_tokens), "blocks")
-    tokens = store.agg(F.coalesce(F.sum("n_tokens"), F.lit(0))).first()[0]
+    tokens, n_blocks = store.agg(F.coalesce(F.sum("n_tokens"), F.lit(0)), F.count("*")).first()
     shards = max(1, int(tokens) // shard_tokens)
     if model:
         shards = next(iter(model.values())).agg(F.max("shards")).first()[0]
@@ -320,10 +327,10 @@ def run(docs: DataFrame, learn: Column, order: int = 2, id_col: str = "doc_id",
         if k == order:
             sent = store.mapInArrow(_first_requests(k, shards), SENT)
         else:
-            sent = _joined(store, {k + 1: replies[k + 1]}).groupBy("block").applyInArrow(_lower_requests(k, order, shards), SENT)
+            sent = _dealt(_joined(store, {k + 1: replies[k + 1]}), "block", n_blocks).groupBy("block").applyInArrow(_lower_requests(k, order, shards), SENT)
         if model:
             sent = sent.unionByName(model[k].select("shard", F.lit(None).cast("string").alias("block"), "keys", "cols"))
-        replies[k] = scratch.write(_merge(sent, keep_model), f"order{k}")
+        replies[k] = scratch.write(_merge(sent, keep_model, shards), f"order{k}")
         orders[k] = _orders(replies[k])
         kept[k] = replies[k].where("block IS NULL").select("shard", F.lit(shards).alias("shards"), F.col("cols")[0].alias("keys"), F.slice("cols", F.lit(2), F.size("cols") - 1).alias("cols"))
     score_schema = _schema(SCORES)
@@ -332,7 +339,7 @@ def run(docs: DataFrame, learn: Column, order: int = 2, id_col: str = "doc_id",
         b, got = _opened(t)
         return pa.Table.from_pydict(_scored(b, got, orders, order), schema=score_schema)
 
-    return _joined(store, replies).groupBy("block").applyInArrow(last, SCORES), kept
+    return _dealt(_joined(store, replies), "block", n_blocks).groupBy("block").applyInArrow(last, SCORES), kept
 
 
 def fit(docs: DataFrame, learn: Column | None = None, order: int = 2, **options) -> dict[int, DataFrame]:
