@@ -412,9 +412,43 @@ def test_bin_completion_is_optimal_on_small_cases(lengths):
     assert packing.lower_bound(counts, 20) <= fewest(lengths, 20) == n <= sum(t for _, t in packing.best_fit(counts, 20))
 
 
-def test_search_beats_best_fit():
-    counts = np.bincount([6, 6, 5, 5, 4, 4] * 4 + [9, 7, 4] * 3, minlength=21)
-    assert sum(t for _, t in packing.bin_completion(counts, 20)) <= sum(t for _, t in packing.best_fit(counts, 20))
+def fewest_by_subsets(lengths, size):
+    """Optimal number of sequences by the least (sequences, last fill) over all subsets."""
+    best = [(99, 0)] * (1 << len(lengths))
+    best[0] = (1, 0)
+    for m, (n, full) in enumerate(best):
+        for i, x in enumerate(lengths):
+            if not m >> i & 1:
+                best[m | 1 << i] = min(best[m | 1 << i], (n, full + x) if full + x <= size else (n + 1, x))
+    return best[-1][0]
+
+
+def test_production_search_is_optimal():
+    """As the query runs it, on instances up to 14 items of which best fit misses some."""
+    rng, missed = random.Random(11), 0
+    for k in range(60):
+        lengths = []
+        while len(lengths) < 11:  # exact fillings of size 50, and what they leave behind when one item is gone
+            cuts = sorted(rng.sample(range(6, 45), rng.choice((2, 3))))
+            lengths += [b - a for a, b in zip([0, *cuts], [*cuts, 50], strict=True)]
+        lengths = lengths[: 12 + k % 3]
+        counts = np.bincount(lengths, minlength=51)
+        want = fewest_by_subsets(lengths, 50)
+        assert sum(t for _, t in packing.bin_completion(counts, 50)) == want
+        missed += sum(t for _, t in packing.best_fit(counts, 50)) > want
+    assert missed > 0
+    assert sum(t for _, t in packing.bin_completion(np.bincount([7, 7, 8, 8, 10, 12, 15, 15, 15, 15, 16, 19, 26, 27], minlength=51), 50)) == 4
+
+
+def test_search_closes_what_best_fit_misses():
+    """1,600 documents that fill 400 sequences exactly: best fit needs one more, the search does not."""
+    rng, lengths = random.Random(5), []
+    for _ in range(400):
+        cuts = sorted(rng.sample(range(1, 2048), 3))
+        lengths += [b - a for a, b in zip([0, *cuts], [*cuts, 2048], strict=True)]
+    counts = np.bincount(lengths, minlength=2049)
+    assert sum(t for _, t in packing.best_fit(counts, 2048)) == 401
+    assert sum(t for _, t in packing.bin_completion(counts, 2048)) == 400
 
 
 @pytest.mark.parametrize("lengths", [[57, 49, 40, 29, 24, 23, 22, 15, 12, 10, 10, 9], [59, 50, 47, 38, 29, 24, 17, 15, 11, 10], [64, 52, 45, 38, 30, 25, 19, 10, 9, 8]])
