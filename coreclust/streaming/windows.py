@@ -31,14 +31,15 @@ def batch_coresets(stream: DataFrame, path: str, checkpoint: str, spec: ClusterS
     return stream.writeStream.foreachBatch(each).option("checkpointLocation", checkpoint)
 
 
-def window_coreset(events: DataFrame, spec: ClusterSpec, metric: Metric, time: str = "ts", window: str = "1 day", delay: str = "1 hour", slide: str | None = None) -> DataFrame:
-    """(start, id, pt, w) of every closed window: the points of a window are gathered by an aggregate, then covered in one task.
+def window_coreset(events: DataFrame, spec: ClusterSpec, metric: Metric, time: str = "ts", window: str = "1 day", delay: str = "1 hour", slide: str | None = None, tasks: int = 1) -> DataFrame:
+    """(start, id, pt, w) of every closed window: the points of a window are gathered by an aggregate, then covered.
 
-    Meant for windows whose points fit a task; `by_window_parts` in batch has no such limit.
+    A window's points are dealt by id to `tasks` groups, each a part of its own; choose so many
+    that a group fits a task.
     """
     kind = events.schema["pt"].dataType.simpleString()
     when = F.window(time, window, slide) if slide else F.window(time, window)
-    rows = events.withWatermark(time, delay).groupBy(when.alias("win")).agg(F.collect_list(F.struct("id", "pt", "w")).alias("rows"))
+    rows = events.withWatermark(time, delay).groupBy(when.alias("win"), F.pmod(F.xxhash64("id"), F.lit(tasks)).alias("group")).agg(F.collect_list(F.struct("id", "pt", "w")).alias("rows"))
     schema = tagged_schema(events.schema["pt"].dataType, metric)
     arrow = _arrow(schema)
 

@@ -134,6 +134,8 @@ def test_sliding_windows(spark, sf):
     e = _points(spark.read.parquet(f"{sf}/events.parquet"))
     out = window_coreset(e.select("ts", "id", "pt", "w"), ClusterSpec(3), L1, window="2 days", slide="1 day")
     assert out.agg(F.sum("w")).first()[0] == 2000
+    dealt = window_coreset(e.select("ts", "id", "pt", "w"), ClusterSpec(3), L1, tasks=3)
+    assert dealt.agg(F.sum("w")).first()[0] == 1000 and dealt.count() > window_coreset(e.select("ts", "id", "pt", "w"), ClusterSpec(3), L1).count()
 
 
 def test_merge_tree_keeps_weight_and_error():
