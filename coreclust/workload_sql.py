@@ -38,7 +38,7 @@ def _d(dist: str, a: str, b: str) -> str:
     return dist.format(a=a, b=b)
 
 
-def seeded(src: str, dist: str, m: int) -> str:
+def seeded(src: str, dist: str, m: int, number: str = "hugeint") -> str:
     """pts, ff (one row a point and step), dt (cost to the seeds), tol (weight and cost by part)."""
     return f"""
 pts as materialized ({src}),
@@ -50,19 +50,20 @@ ff as (
   from (select *, arg_max(id, (d, -id)) over (partition by part) as npid, arg_max(v, (d, -id)) over (partition by part) as npv, max(d) over (partition by part) as md from ff where step < {m})
   where md > 0),
 dt as materialized (select id, part, w, v, min(d) as d from ff group by id, part, w, v),
-tol as materialized (select part, sum(w)::hugeint as n, sum(w * d)::hugeint as r from dt group by part)"""
+tol as materialized (select part, sum(w)::{number} as n, sum(w * d)::{number} as r from dt group by part)"""
 
 
-def covered(name: str, source: str, dist: str, p: int = 1, order: str = "id", floor: bool = True, num: int = 1, den: int = 2) -> str:
-    """Greedy cover of `source` (id, part, w, v, d, n, r) as tables {name} (steps) and {name}_tau."""
+def covered(name: str, source: str, dist: str, p: int = 1, order: str = "id", floor: bool = True, num: int = 1, den: int = 2, number: str = "hugeint") -> str:
+    """Greedy cover of `source` (id, part, w, v, d, n, r) as tables {name} (steps) and {name}_tau; in whole numbers, or in floats by the engine's own order of operations."""
     first = ("min(id)", "arg_min(v, id)") if order == "id" else ("arg_max(id, (d, -id))", "arg_max(v, (d, -id))")
     pick = f"{first[0]} over (partition by part) as pid, {first[1]} over (partition by part) as pv"
     reach = "greatest(r, n * d)" if floor else "n * d"
+    near = f"{_d(dist, 'v', 'pv')}::hugeint * {2 * den**p} * n <= {num**p} * {reach}" if number == "hugeint" else f"{_d(dist, 'v', 'pv')} <= {num**p / (2 * den**p)} * greatest(r / n, d)"
     return f"""
 {name} as (
   select 1 as step, id, part, w, v, d, n, r, {pick} from ({source})
   union all
-  select step + 1, id, part, w, v, d, n, r, {pick} from {name} where not ({_d(dist, 'v', 'pv')}::hugeint * {2 * den**p} * n <= {num**p} * {reach})),
+  select step + 1, id, part, w, v, d, n, r, {pick} from {name} where not ({near})),
 {name}_tau as materialized (select id, part, w, arg_max(pid, step) as tau_id, arg_max({_d(dist, 'v', 'pv')}, step) as d, any_value(d) as d_t from {name} group by id, part, w)"""
 
 
@@ -83,8 +84,8 @@ def core(tables: str, name: str = "cov_tau", label: str = "part") -> str:
     return f"with recursive {tables} select part as {label}, tau_id as id, sum(w)::bigint as w from {name} group by part, tau_id"
 
 
-def one_round(src: str, dist: str, m: int, **options) -> str:
-    return f"{seeded(src, dist, m)}, {covered('cov', FIRST, dist, **options)}"
+def one_round(src: str, dist: str, m: int, number: str = "hugeint", **options) -> str:
+    return f"{seeded(src, dist, m, number)}, {covered('cov', FIRST, dist, number=number, **options)}"
 
 
 def given(src: str, dist: str, k: int, **options) -> str:

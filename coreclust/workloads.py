@@ -300,7 +300,11 @@ def cover_embeddings(s, d):
     return core(C.one_round(parted(pts), spec(10, 20, objective="means"), SQ))
 
 
-@query()
+_DOCUMENTS = f"select doc_id as id, (doc_id % 4)::int as part, 1::bigint as w, {{'x': {_WORDS}}} as v from documents"
+_JACCARD = "(case when len({a}.x) + len({b}.x) = 0 then 0.0::double else 1 - len(list_intersect({a}.x, {b}.x))::double / (len({a}.x) + len({b}.x) - len(list_intersect({a}.x, {b}.x)))::double end)"
+
+
+@query(Q.core(Q.one_round(_DOCUMENTS, _JACCARD, 20, number="double")))
 def cover_jaccard_documents(s, d):
     pts = documents(s, d)
     return core(C.one_round(by_modulo(pts, part_count(pts.count(), 4, 1_000)), spec(10, 20), JAC))
