@@ -59,10 +59,18 @@ HEURISTICS = {"seed_only": "seeding alone has no ratio for k centers", "medoids"
 
 
 def alpha_of(spec: ClusterSpec, method: str = "local_search", t: int = 1) -> float:
-    """Ratio of a solver on the weighted instance; infinite for heuristics."""
+    """Ratio of a solver on the weighted instance, run until no swap gains anything; infinite for heuristics."""
     return 1.0 if method == "exact" else math.inf if method in HEURISTICS else bounds.local_search_alpha(spec.objective, t)
 
 
+def _stopping(spec: ClusterSpec, method: str, options: dict) -> float:
+    """Factor on a local search's ratio for stopping at swaps that gain less than `min_gain` of the cost: the proof adds up k of them.  By default at most 1 %."""
+    if method != "local_search":
+        return 1.0
+    left = 1 - spec.k * options.setdefault("min_gain", min(1e-3, 0.01 / spec.k))
+    return 1 / left if left > 0 else math.inf
+
+
 def _prepared(points: DataFrame, spec: ClusterSpec, alpha: float, rounds: int | None, rows: int, continuous: bool, validate: bool, even: bool) -> tuple[DataFrame, Plan]:
     """Points in parts, and the plan.  They are counted and checked in one pass; repeated ids meet in one part, which looks for them."""
     pts = points if "w" in points.columns else points.withColumn("w", F.lit(1).cast("long"))
@@ -90,14 +98,14 @@ def cluster(points: DataFrame, spec: ClusterSpec, metric: Metric, alpha: float |
     by the same local search over all its rows.
     """
     scratch = Scratch(points.sparkSession, "cluster")
-    alpha = alpha_of(spec, method, options.get("t", 1)) if alpha is None else alpha
+    alpha = alpha_of(spec, method, options.get("t", 1)) * _stopping(spec, method, options) if alpha is None else alpha
     pts, plan = _prepared(points, spec, alpha, rounds, rows_per_part, False, validate, even)
     cs = two_round(pts, spec, metric, scratch=scratch) if rounds == 2 else one_round(pts, spec, metric, scratch=scratch)
     rows, n, plan = _fitted(cs, plan, spec, metric, alpha, scratch, most_rows)
     if n <= most_rows:
         centers, doubt = scratch.write(solve(rows, spec.k, metric, spec.p, method, **options), "centers"), HEURISTICS.get(method)
     else:
-        centers, doubt = local_search_distributed(rows, spec.k, metric, spec.p), None
+        centers, doubt = local_search_distributed(rows, spec.k, metric, spec.p, min_gain=options.get("min_gain", 1e-3)), None
         if method != "local_search" or options.get("t", 1) > 1:
             plan = replace(plan, why=f"{plan.why}; solved by single swaps, as the summary is too large for {method}")
             doubt = "the given method's ratio is not that of single swaps"

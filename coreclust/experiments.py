@@ -63,8 +63,8 @@ def _against_optimum(s: SparkSession, pts: DataFrame, cost: float, ratio: float,
 
 
 def _certified(objective: str) -> ClusterSpec:
-    """Rough solutions by local search, so beta is that search's ratio and every premise of the proofs holds."""
-    return ClusterSpec(5, objective, TENTH, beta=5 if objective == "median" else 9, seeder="local_search", strict=True)
+    """Rough solutions by local search, so beta is that search's ratio (5 or 9, over 1 - 5 / 1000 for where it stops) and every premise of the proofs holds."""
+    return ClusterSpec(5, objective, TENTH, beta=Fraction(51, 10) if objective == "median" else Fraction(91, 10), seeder="local_search", strict=True)
 
 
 def _guarantee(s: SparkSession, d: str, objective: str, rounds: int) -> DataFrame:

@@ -25,8 +25,8 @@ def matrix(metric: Metric, data, n: int, p: int) -> np.ndarray:
     return np.stack([metric.one(data, i, every, p) for i in range(n)]).astype(float) if n else np.zeros((0, 0))
 
 
-def swap_search(metric: Metric, data, w: np.ndarray, k: int, p: int, t: int = 1, min_gain: float = 1e-3, most_passes: int = 200, start: np.ndarray | None = None, **_) -> tuple[np.ndarray, float]:
-    """Weighted local search by swaps of up to `t` centers; stops when no swap gains `min_gain` of the cost.
+def swap_search(metric: Metric, data, w: np.ndarray, k: int, p: int, t: int = 1, min_gain: float = 1e-3, most_passes: int = 10_000, start: np.ndarray | None = None, **_) -> tuple[np.ndarray, float]:
+    """Weighted local search by swaps of up to `t` centers; stops when no swap gains `min_gain` of the cost (so the cost bounds the passes).
 
     Single swaps are all valued at once from each point's nearest and second nearest center.
     """
@@ -303,7 +303,7 @@ def _continuous_distributed(rows: DataFrame, k: int, objective: str, passes: int
     return spark.createDataFrame([(i, [float(v) for v in x]) for i, x in enumerate(best[1])], "center_id long, pt array<double>")
 
 
-def local_search_distributed(rows: DataFrame, k: int, metric: Metric, p: int, passes: int = 200, block: int = 2_000, min_gain: float = 1e-3, start_rows: int = 2_000) -> DataFrame:
+def local_search_distributed(rows: DataFrame, k: int, metric: Metric, p: int, passes: int = 2_000, block: int = 2_000, min_gain: float = 1e-3, start_rows: int = 2_000) -> DataFrame:
     """Local search over all rows when the instance outgrows one task: the same single swaps as `swap_search`, block after block.
 
     Every row is a candidate.  A block of them goes out with the k centers; its swaps are valued

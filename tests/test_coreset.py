@@ -253,6 +253,7 @@ def test_a_large_summary_is_reduced_until_it_fits(spark):
     opt = S.exact_line(xs, np.ones(600, np.int64), 3, 1)[1]
     plain, tight = (cluster(pts, ClusterSpec(3, eps=Fraction(1, 10), m=6), L1, most_rows=most) for most in (4000, 60))
     a, b = ({x["key"]: x for x in r.report().collect()} for r in (plain, tight))
+    assert plain.plan.ratio == pytest.approx(bounds.ratio(5 / (1 - 3 * 1e-3), 0.1)[0])
     assert a["guarantee"]["value"] == b["guarantee"]["value"] == 1 and "further reduction" in b["proven_ratio"]["note"]
     assert a["proven_ratio"]["value"] < b["proven_ratio"]["value"] < math.inf
     for r in (a, b):
