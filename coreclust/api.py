@@ -100,7 +100,8 @@ def cluster(points: DataFrame, spec: ClusterSpec, metric: Metric, alpha: float |
     scratch = Scratch(points.sparkSession, "cluster")
     alpha = alpha_of(spec, method, options.get("t", 1)) * _stopping(spec, method, options) if alpha is None else alpha
     pts, plan = _prepared(points, spec, alpha, rounds, rows_per_part, False, validate, even)
-    cs = two_round(pts, spec, metric, scratch=scratch) if rounds == 2 else one_round(pts, spec, metric, scratch=scratch)
+    first = one_round(pts, spec, metric, scratch=scratch, unique=validate)
+    cs = two_round(pts, spec, metric, scratch=scratch, first=first) if rounds == 2 else first
     rows, n, plan = _fitted(cs, plan, spec, metric, alpha, scratch, most_rows)
     if n <= most_rows:
         centers, doubt = scratch.write(solve(rows, spec.k, metric, spec.p, method, **options), "centers"), HEURISTICS.get(method)
@@ -126,6 +127,6 @@ def cluster_continuous(points: DataFrame, spec: ClusterSpec, metric: Metric, alp
     scratch = Scratch(points.sparkSession, "cluster")
     known = math.inf if alpha is None else alpha
     pts, plan = _prepared(points, spec, known, 1, rows_per_part, True, validate, even)
-    cs = one_round(pts, spec, metric, scratch=scratch)
+    cs = one_round(pts, spec, metric, scratch=scratch, unique=validate)
     centers = scratch.write(solve_continuous(cs.rows, spec.k, spec.objective, **options), "centers")
     return ClusterResult(centers, cs, plan, pts.withColumn("pt", F.col("pt").cast("array<double>")), metric, spec, HEURISTICS["continuous"] if alpha is None else None)

@@ -67,8 +67,6 @@ def _rng(spec: ClusterSpec, part: int) -> np.random.Generator:
 def _opened(t: pa.Table) -> tuple[np.ndarray, pa.Array, np.ndarray]:
     t = t.sort_by("id")
     ids = t.column("id").to_numpy()
-    if (ids[1:] == ids[:-1]).any():
-        raise CoreclustError(f"id {ids[1:][ids[1:] == ids[:-1]][0]} occurs more than once")
     chunks = t.column("pt").chunks
     return ids, pa.concat_arrays(chunks) if chunks else pa.array([], t.schema.field("pt").type), t.column("w").to_numpy()
 
@@ -82,10 +80,12 @@ def _emit(rows: _Rows, part: int, ids, payload, w, cover, p: int, mapping: bool)
             rows.add(part=part, kind="map", id=int(ids[q]), tau_id=int(ids[cover.tau[q]]), w=int(w[q]), d=rows.number(cover.d[q]))
 
 
-def first_round(t: pa.Table, part: int, metric: Metric, spec: ClusterSpec, schema: pa.Schema, mapping: bool) -> pa.Table:
-    """Seeds, tolerance and cover of one part."""
+def first_round(t: pa.Table, part: int, metric: Metric, spec: ClusterSpec, schema: pa.Schema, mapping: bool, unique: bool = False) -> pa.Table:
+    """Seeds, tolerance and cover of one part; with `unique`, ids that it holds twice are an error."""
     rows = _Rows(schema, metric.exact)
     ids, payload, w = _opened(t)
+    if unique and (ids[1:] == ids[:-1]).any():
+        raise CoreclustError(f"id {ids[1:][ids[1:] == ids[:-1]][0]} occurs more than once")
     data, rng = metric.joined(payload), _rng(spec, part)
     picks, d = SEEDERS[spec.seeder](metric, data, w, spec.m, spec.p, rng, **spec.options)
     cost = sum(int(a) * int(b) for a, b in zip(w, d, strict=True)) if metric.exact else float((w * d).sum())
@@ -200,14 +200,14 @@ class Coreset:
         return self.tagged.where("kind = 'map'").select("id", "part", "tau_id", "w", "d")
 
 
-def one_round(points: DataFrame, spec: ClusterSpec, metric: Metric, mapping: bool = False, scratch: Scratch | None = None) -> Coreset:
-    """Cover of every part.  `points` with a column `part` are grouped by it; without, input splits are the parts."""
+def one_round(points: DataFrame, spec: ClusterSpec, metric: Metric, mapping: bool = False, scratch: Scratch | None = None, unique: bool = False) -> Coreset:
+    """Cover of every part.  `points` with a column `part` are grouped by it; without, input splits are the parts.  `unique` looks for repeated ids in each part."""
     scratch = scratch or Scratch(points.sparkSession, "coreset")
     schema = tagged_schema(points.schema["pt"].dataType, metric)
     arrow = _arrow(schema)
 
     def task(t: pa.Table, part: int) -> pa.Table:
-        return first_round(t, part, metric, spec, arrow, mapping)
+        return first_round(t, part, metric, spec, arrow, mapping, unique)
 
     run = _grouped if "part" in points.columns else _split
     return Coreset(scratch.write(run(points, schema, task), "round1"), spec, 1)
