@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from .common import Scratch
 
 ROUNDS = 60
-#: Pieces into which a node's neighbourhood is dealt for the joins, so that no hub's edges meet in one task.
+#: Pieces into which every node's neighbourhood is dealt for the joins; a larger hub's pieces are split further by the session's adaptive skew joins.
 SALTS = 8
 
 

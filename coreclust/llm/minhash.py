@@ -30,7 +30,7 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import LOWER, Scratch, default_parallelism, encode, map_rows
+from .common import LOWER, Scratch, default_parallelism, encode, map_rows, slices
 from .components import components
 
 BINS, ROWS = 128, 4
@@ -43,6 +43,8 @@ CLOSE = CHANCE + 0.4
 LOCAL, STARS = 512, 6
 #: Documents and shingles of a block, hubs of a cluster, queries in a group.
 BLOCK, BLOCK_SHINGLES, HUBS, QUERIES = 128, 1_000_000, 16, 128
+#: Bits of the filter of wanted ids, at most, as a power of two.
+MEMBER_BITS = 26
 ODD = (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F)
 
 
@@ -262,26 +264,40 @@ def clustered(nodes: DataFrame, reps: DataFrame, scratch: Scratch, block: int) -
     return scratch.write(rows.join(scratch.write(rows.groupBy("cluster").agg(blocks.alias("blocks")), "blocks"), "cluster"), "wanted")
 
 
-def cluster_sets(docs: DataFrame, wanted: DataFrame, width: int, id_col: str, text: str) -> DataFrame:
+def member_bits(wanted: DataFrame, n: int) -> np.ndarray:
+    """A Bloom filter of the wanted ids, two bits each: at most MEMBER_BITS, so what is sent never grows beyond that; a full one lets more through, and loses nothing."""
+    size = 1 << min(MEMBER_BITS, max(16, (16 * n).bit_length()))
+    h = F.xxhash64("rep")
+    at = wanted.select(F.explode(F.array(*[x.bitwiseAND(F.lit(size - 1)) for x in (h, F.shiftrightunsigned(h, 32))])).alias("at"))
+    words = at.groupBy(F.shiftright("at", 6).alias("word")).agg(F.bit_or(F.expr("shiftleft(1L, cast(at & 63 as int))")).alias("bits")).toArrow()
+    out = np.zeros(size >> 6, np.uint64)
+    out[words.column("word").to_numpy()] = words.column("bits").to_numpy().view(np.uint64)
+    return out
+
+
+def cluster_sets(docs: DataFrame, wanted: DataFrame, n: int, width: int, id_col: str, text: str) -> DataFrame:
     """(cluster, blocks, rep, hashes): the sets of clustered representatives, made anew from the texts.
 
-    The hint makes the join behave alike at every size; the ids of a large input are no broadcast.
+    Texts stay where they lie: ids that cannot be wanted are passed over by a filter of fixed
+    size, and only the sets of the others are exchanged.  The hint makes the join behave alike at
+    every size; the ids of a large input are no broadcast.
     """
-    texts = docs.select(F.col(id_col).alias("rep"), F.col(text).alias("text")).join(wanted.hint("merge"), "rep").select("rep", "cluster", "blocks", "set_key", "text")
-
-    def make():
-        def f(ids, clusters, blocks, keys, texts):
-            out = {"cluster": [], "blocks": [], "rep": [], "hashes": []}
-            for i, c, m, k, t in zip(ids, clusters, blocks, keys, texts, strict=True):
-                s = shingles(t, width)
-                if xxhash.xxh3_128_digest(s.tobytes()) == k:
-                    for name, value in zip(out, (c, m, i, s.tobytes()), strict=True):
-                        out[name].append(value)
-            return out
+    sent = docs.sparkSession.sparkContext.broadcast(member_bits(wanted, n))
+    schema = pa.schema([("rep", pa.int64()), ("set_key", pa.binary()), ("hashes", pa.binary())])
 
-        return f
+    def run(batches):
+        bits = sent.value
+        for batch in batches:
+            h = batch.column(1).to_numpy().view(np.uint64)
+            at = np.stack((h, h >> np.uint64(32))) & np.uint64(64 * len(bits) - 1)
+            batch = batch.filter(pa.array((bits[at >> np.uint64(6)] >> (at & np.uint64(63)) & np.uint64(1)).all(0)))
+            for ids, _, texts in slices([batch]):
+                sets = [shingles(t, width) for t in texts]
+                yield pa.RecordBatch.from_pydict({"rep": ids, "set_key": [xxhash.xxh3_128_digest(s.tobytes()) for s in sets], "hashes": [s.tobytes() for s in sets]}, schema=schema)
 
-    return map_rows(texts, make, "cluster long, blocks int, rep long, hashes binary")
+    ids = docs.where(F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias("rep"), F.xxhash64(F.col(id_col).cast("long")).alias("h"), F.col(text).alias("text"))
+    sets = ids.mapInArrow(run, "rep long, set_key binary, hashes binary")
+    return sets.join(wanted.select("rep", "set_key", "cluster", "blocks").hint("merge"), ["rep", "set_key"]).select("cluster", "blocks", "rep", "hashes")
 
 
 def _hubs(wanted: DataFrame) -> DataFrame:
@@ -303,7 +319,7 @@ def near_duplicates(docs: DataFrame, width: int = 4, id_col: str = "doc_id", tex
     wanted = clustered(components(star_edges(reps, scratch), scratch), reps, scratch, block)
     total = wanted.agg(F.count("*").alias("n"), F.coalesce(F.sum("n"), F.lit(0)).alias("s"), F.coalesce(F.max("blocks"), F.lit(0)).alias("blocks")).first()
     groups = max(default_parallelism(spark), total["n"] // (2 * block), total["s"] // BLOCK_SHINGLES, 1)
-    sets = scratch.write(cluster_sets(docs, wanted, width, id_col, text), "members")
+    sets = scratch.write(cluster_sets(docs, wanted, total["n"], width, id_col, text), "members")
     cols = ["cluster", "block", "chunk", "role", "rep", "hashes"]
     everywhere = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
     cut = sets.withColumn("block", F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int")).withColumn("chunk", F.lit(0))

@@ -14,7 +14,7 @@ from hypothesis import strategies as st
 from pyspark.sql import functions as F
 
 import corpus_pipeline
-from coreclust.llm import fixity, kneserney, minhash
+from coreclust.llm import fixity, kneserney, minhash, pii
 from coreclust.llm import queries as Q
 from coreclust.llm.common import Scratch, table
 from coreclust.llm.components import components
@@ -107,6 +107,18 @@ def test_groups_equal_brute_force(spark):
         assert all(r["kept"] == (i == r["component_id"]) for i, r in got.items())
 
 
+def test_wanted_ids_pass_a_filter_of_any_size(spark, monkeypatch):
+    """No wanted id is lost, most others are held back, and a full filter only lets more through."""
+    docs = spark.range(6000).selectExpr("id as doc_id", "concat('w', id, ' a b c d') as text")
+    wanted = minhash.sketches(docs.where("doc_id % 7 = 0")).selectExpr("doc_id as rep", "set_key", "1L as cluster", "1 as blocks")
+    for bits in (26, 17, 6):
+        monkeypatch.setattr(minhash, "MEMBER_BITS", bits)
+        got = minhash.cluster_sets(docs, wanted, wanted.count(), 4, "doc_id", "text").select("rep").collect()
+        assert sorted(r["rep"] for r in got) == list(range(0, 6000, 7))
+    monkeypatch.setattr(minhash, "MEMBER_BITS", 26)
+    assert np.bitwise_count(minhash.member_bits(wanted, wanted.count())).sum() <= 2 * wanted.count()
+
+
 @given(st.lists(st.sets(st.integers(0, 12), min_size=1), min_size=2, max_size=12))
 @settings(max_examples=100, deadline=None)
 def test_links_of_a_block_span_the_same_groups(sets):
@@ -281,7 +293,7 @@ def test_equal_replicas_and_empty_ones(spark):
 
 
 def test_pipeline_equals_its_stages_in_plain_python(spark):
-    from tests.llm.test_texts import check_packing, plain_contamination, plain_spans
+    from tests.llm.test_texts import check_packing, plain_bootstrap, plain_contamination
     from tokenizers import Tokenizer
 
     from coreclust.llm.common import tokenizer_path
@@ -294,14 +306,14 @@ def test_pipeline_equals_its_stages_in_plain_python(spark):
     bad = {i for i, *_, c in plain_contamination([(d["doc_id"], d["text"]) for d in left], bench) if c}
     left = [d for d in left if d["doc_id"] not in bad]
 
-    def redacted(t):
+    def redacted(t, spans):
         out, at = "", 0
-        for a, b, k in sorted((int(a), int(b), k) for k, a, b in (s.split(":") for s in plain_spans(t))):
+        for a, b, k in sorted((a, b, k) for k, a, b in spans):
             if b > at:
-                out, at = (out + t[at:a] + f"<{k}>" if a >= at else out), b
+                out, at = (out + t[at:a] + f"<{pii.FOUND[k]}>" if a >= at else out), b
         return out + t[at:]
 
-    want = sorted((d["doc_id"], redacted(d["text"])) for d in left)
+    want = sorted((d["doc_id"], redacted(d["text"], s)) for d, s in zip(left, plain_bootstrap([d["text"] for d in left]), strict=True))
     frame = table(spark, SF, "documents")
     columns, scratch = frame.columns, Scratch(spark, "t")
     for name, stage in corpus_pipeline.STAGES[:-1]:
