@@ -30,6 +30,8 @@ from .common import Scratch, map_rows, tokenizer_path
 SIZE = 2048
 #: Steps of the search before the incumbent is taken.
 NODES = 20_000
+#: Steps whose choices are held at a time; a choice among 2,048 lengths is half a megabyte.
+OPEN = 64
 PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 
 
@@ -183,6 +185,21 @@ def every_filling(counts: np.ndarray, room: int, waste: int | None = None) -> It
             yield from exact(0, room - idle)
 
 
+class _Options:
+    """Choices of a step, and how many of them were taken: those of steps far above are forgotten, and made anew on the way back."""
+
+    def __init__(self, choices: Iterator):
+        self.choices, self.taken = choices, 0
+
+    def __iter__(self) -> Iterator:
+        return self
+
+    def __next__(self):
+        got = next(self.choices)
+        self.taken += 1
+        return got
+
+
 def bin_completion(counts: np.ndarray, size: int = SIZE, nodes: int = NODES, width: int | None = None) -> list[tuple[dict[int, int], int]]:
     """Packing of `counts[length]` items, as (lengths in a sequence, number of such sequences).
 
@@ -193,7 +210,7 @@ def bin_completion(counts: np.ndarray, size: int = SIZE, nodes: int = NODES, wid
     used = sum(m for _, m in best)
     need = lower_bound(counts, size)
     total = int((counts * np.arange(len(counts))).sum())
-    path: list[tuple[dict[int, int], int, Iterator]] = []  # filling, times, fillings not tried yet
+    path: list[tuple[dict[int, int], int, _Options]] = []  # filling, times, choices not tried yet
     waste, n_bins = 0, 0
 
     def choices(x: int) -> Iterator[tuple[dict[int, int], int]]:
@@ -220,7 +237,7 @@ def bin_completion(counts: np.ndarray, size: int = SIZE, nodes: int = NODES, wid
         yield from applied(False)
         yield from applied(True)
 
-    def step(options: Iterator[tuple[dict[int, int], int]]) -> bool:
+    def step(options: _Options) -> bool:
         nonlocal waste, n_bins, tried
         for fill, times in options:
             idle = (size - sum(x * q for x, q in fill.items())) * times
@@ -229,19 +246,27 @@ def bin_completion(counts: np.ndarray, size: int = SIZE, nodes: int = NODES, wid
                     counts[x] -= q * times
                 waste, n_bins = waste + idle, n_bins + times
                 path.append((fill, times, options))
+                if len(path) > OPEN:
+                    path[-1 - OPEN][2].choices = None
                 return True
             tried += 1
             if tried >= nodes:
                 return False
         return False
 
-    def undo() -> Iterator[tuple[dict[int, int], int]]:
-        nonlocal waste, n_bins
+    def undo() -> _Options:
+        nonlocal waste, n_bins, tried
         fill, times, options = path.pop()
         for x, q in fill.items():
             counts[x] += q * times
         waste -= (size - sum(x * q for x, q in fill.items())) * times
         n_bins -= times
+        if options.choices is None:
+            before, tried = tried, 0  # what was counted once does not count again
+            options.choices = choices(int(np.flatnonzero(counts)[-1]))
+            for _ in range(options.taken):
+                next(options.choices, None)
+            tried = before
         return options
 
     tried, options = 0, None
@@ -252,9 +277,9 @@ def bin_completion(counts: np.ndarray, size: int = SIZE, nodes: int = NODES, wid
             if not len(top):
                 if n_bins < used:
                     used, best = n_bins, [(f, t) for f, t, _ in path]
-                options = iter(())
+                options = _Options(iter(()))
             else:
-                options = choices(int(top[-1]))
+                options = _Options(choices(int(top[-1])))
         if step(options):
             options = None
         elif path:
