@@ -93,21 +93,30 @@ def exact(metric: Metric, data, w: np.ndarray, k: int, p: int) -> tuple[np.ndarr
     return np.array(best), float((d[list(best)].min(0) * w).sum())
 
 
-#: Points on a line whose optimum may be asked for.
-MOST_ON_LINE = 200_000
+#: Different places on a line whose optimum may be asked for: what the driver's arrays may hold.
+MOST_ON_LINE = 2_000_000
+#: Pairs that a step of the search for monotone minima values at once.
+AT_ONCE = 1 << 20
+
+
+def whole(x: np.ndarray, w: np.ndarray, p: int) -> tuple[np.ndarray, np.ndarray]:
+    """Coordinates and weights as whole numbers: 64 bits where no sum can leave them, Python's integers beyond."""
+    x, w = np.asarray(x).astype(np.int64), np.asarray(w).astype(np.int64)
+    far = max((abs(int(v)) for v in (x.min(), x.max())), default=0) if len(x) else 0
+    return (x, w) if 4 * far**p * sum(map(int, w)) < 2**62 else (x.astype(object), w.astype(object))
 
 
 def _interval_costs(x: np.ndarray, w: np.ndarray, p: int):
-    """cost(a, j): cheapest service of the sorted points a..j-1 (arrays of a) by one of them, and which; whole numbers."""
+    """cost(a, j): cheapest service of the sorted points a..j-1 (arrays of both) by one of them, and which; whole numbers."""
     mass, first = np.concatenate(([0], np.cumsum(w))), np.concatenate(([0], np.cumsum(w * x)))
     second = np.concatenate(([0], np.cumsum(w * x * x))) if p == 2 else None
 
-    def median(a: np.ndarray, j: int) -> tuple[np.ndarray, np.ndarray]:
+    def median(a: np.ndarray, j: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         c = np.searchsorted(mass, (mass[a] + mass[j] + 1) // 2, side="left") - 1
         left = x[c] * (mass[c] - mass[a]) - (first[c] - first[a])
         return left + first[j] - first[c] - x[c] * (mass[j] - mass[c]), c
 
-    def mean(a: np.ndarray, j: int) -> tuple[np.ndarray, np.ndarray]:
+    def mean(a: np.ndarray, j: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         m, s = mass[j] - mass[a], first[j] - first[a]
         up = np.clip(np.searchsorted(x, -(-s // m), side="left"), a, j - 1)
         both = np.stack((np.maximum(up - 1, a), up))
@@ -118,36 +127,57 @@ def _interval_costs(x: np.ndarray, w: np.ndarray, p: int):
     return median if p == 1 else mean
 
 
+def monotone_minima(lo: int, hi: int, value) -> tuple[np.ndarray, np.ndarray]:
+    """(least, where) of value(a, j) over 0 <= a < j for j = lo..hi, whose best a moves one way with j: divide and conquer, all intervals of a level at once."""
+    least, where = None, np.zeros(hi - lo + 1, np.int64)
+    level = [np.array([v]) for v in (lo, hi, 0, hi - 1)]
+    while len(level[0]):
+        first, last, low, high = level
+        j = (first + last) // 2
+        size = np.minimum(high, j - 1) - low + 1
+        cut = np.zeros(len(j), np.int64)
+        ends = np.cumsum(size)
+        at = 0
+        while at < len(j):
+            to = max(at + 1, int(np.searchsorted(ends, (ends[at - 1] if at else 0) + AT_ONCE, side="right")))
+            n = size[at:to]
+            starts = np.cumsum(n) - n
+            a = np.arange(int(n.sum())) + np.repeat(low[at:to] - starts, n)
+            total = value(a, np.repeat(j[at:to], n))
+            best = np.minimum.reduceat(total, starts)
+            if least is None:
+                least = np.zeros(hi - lo + 1, total.dtype)
+            hit = np.flatnonzero(total == np.repeat(best, n))
+            cut[at:to] = a[hit[np.searchsorted(hit, starts)]]
+            least[j[at:to] - lo] = best
+            at = to
+        where[j - lo] = cut
+        level = [np.concatenate(x) for x in ((first, j + 1), (j - 1, last), (low, cut), (cut, high))]
+        some = level[0] <= level[1]
+        level = [x[some] for x in level]
+    return least, where
+
+
 def exact_line(x: np.ndarray, w: np.ndarray, k: int, p: int) -> tuple[np.ndarray, float]:
     """The optimum of points on a line, centers among them: dynamic programming over sorted intervals, whose best cuts move one way, so each layer is divided and conquered."""
-    if len(x) > MOST_ON_LINE:
-        raise CoreclustError(f"{len(x)} points on a line are too many ({MOST_ON_LINE})")
-    x, w = np.asarray(x).astype(np.int64), np.asarray(w).astype(np.int64)
-    at, first, where = np.unique(x, return_index=True, return_inverse=True)
-    mass, n = np.bincount(where, w, len(at)).astype(np.int64), len(at)
-    cost = _interval_costs(at, mass, p)
-    value = np.array([0, *(int(cost(np.array([0]), j)[0][0]) for j in range(1, n + 1))], np.int64)
+    at, first, where = np.unique(np.asarray(x).astype(np.int64), return_index=True, return_inverse=True)
+    if len(at) > MOST_ON_LINE:
+        raise CoreclustError(f"{len(at)} places on a line are too many ({MOST_ON_LINE})")
+    mass, n = np.zeros(len(at), np.int64), len(at)
+    np.add.at(mass, where, np.asarray(w).astype(np.int64))
+    cost = _interval_costs(*whole(at, mass, p), p)
+    every = np.arange(1, n + 1)
+    value = np.concatenate(([0], cost(np.zeros(n, np.int64), every)[0]))
     cuts = [np.zeros(n + 1, np.int64)]
     for _ in range(1, min(k, n)):
-        new, cut = value.copy(), np.full(n + 1, -1, np.int64)
-        open_ = [(1, n, 0, n - 1)]
-        while open_:
-            lo, hi, least, most = open_.pop()
-            if lo > hi:
-                continue
-            j = (lo + hi) // 2
-            a = np.arange(least, min(most, j - 1) + 1)
-            total = value[a] + cost(a, j)[0]
-            i = int(total.argmin())
-            new[j], cut[j] = total[i], a[i]
-            open_ += [(lo, j - 1, least, int(a[i])), (j + 1, hi, int(a[i]), most)]
-        value = new
-        cuts.append(cut)
+        least, cut = monotone_minima(1, n, lambda a, j, value=value: value[a] + cost(a, j)[0])
+        value = np.concatenate(([0], least))
+        cuts.append(np.concatenate(([-1], cut)))
     picks, j = [], n
     for cut in reversed(cuts):
         if j > 0:
             a = int(cut[j])
-            picks.append(int(first[cost(np.array([a]), j)[1][0]]))
+            picks.append(int(first[cost(np.array([a]), np.array([j]))[1][0]]))
             j = a
     return np.sort(np.array(picks)), float(value[n])
 

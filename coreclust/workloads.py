@@ -16,6 +16,7 @@ from .operators import baseline as B
 from .operators import coreset as C
 from .operators import measure as M
 from .operators import verify as V
+from .operators.line import optimum, places
 from .operators.points import by_modulo, points, quantised
 from .operators.solve import exact, exact_line
 from .plans.resolve import ROWS, part_count
@@ -428,9 +429,8 @@ _OPT = f"pairs as (select a.id as s1, b.id as s2, a.v as av, b.v as bv from pts
 @query(f"with recursive {Q.two_round(Q.SUPPLIER, Q.L1, 3)}, {_OPT} select sum(w * d)::bigint as num, any_value(den)::bigint as den from cov2_tau cross join opt")
 def bounded_supplier(s, d):
     pts = supplier(s, d)
-    _, pt, w = _local(pts)
     cs = C.two_round(parted(pts, 2), spec(2, 3), L1, mapping=True)
-    return M.mapping_cost(cs, L1).withColumn("den", F.lit(int(exact(L1, L1.load(pt), w, 2, 1)[1])).cast("long"))
+    return M.mapping_cost(cs, L1).withColumn("den", F.lit(optimum(places(pts), 2, 1)).cast("long"))
 
 
 @query(f"with recursive {Q.two_round(Q.SUPPLIER, Q.L1, 3)}, {_OPT.split(', opt as')[0]}, co as materialized (select tau_id as id, sum(w) as w from cov2_tau group by 1), k as materialized (select s1, s2, sum(p.w * least({Q._d(Q.L1, 'p.v', 'c.av')}, {Q._d(Q.L1, 'p.v', 'c.bv')})) as cost from pairs c cross join pts p group by s1, s2), l as materialized (select s1, s2, sum(co.w * least({Q._d(Q.L1, 'p.v', 'c.av')}, {Q._d(Q.L1, 'p.v', 'c.bv')})) as core_cost from pairs c cross join co join pts p using (id) group by s1, s2) select round(max(abs(cost - core_cost)::double / cost::double), 9) as max_error, count(*) as solutions from k join l using (s1, s2)")
