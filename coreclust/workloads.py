@@ -16,7 +16,7 @@ from .operators import baseline as B
 from .operators import coreset as C
 from .operators import measure as M
 from .operators import verify as V
-from .operators.line import optimum, places
+from .operators.line import best_among, optimum, places
 from .operators.points import by_modulo, points, quantised
 from .operators.solve import exact, exact_line
 from .plans.resolve import ROWS, part_count
@@ -446,14 +446,11 @@ def distortion_supplier(s, d):
 
 @query(f"with recursive {Q.two_round(Q.SUPPLIER, Q.L1, 3)}, {_OPT}, ce as (select distinct pts.id, pts.v from cov2_tau join pts on pts.id = tau_id), ep as (select a.id as s1, b.id as s2, a.v as av, b.v as bv from ce a join ce b on a.id < b.id) select min(cost)::bigint as cost_best_in_e, any_value(den)::bigint as opt from (select sum(p.w * least({Q._d(Q.L1, 'p.v', 'c.av')}, {Q._d(Q.L1, 'p.v', 'c.bv')})) as cost from ep c cross join pts p group by s1, s2) cross join opt")
 def centroid_supplier(s, d):
-    import itertools
-
     pts = supplier(s, d)
-    _, pt, w = _local(pts)
     cs = C.two_round(parted(pts, 2), spec(2, 3), L1)
-    rows = [r["pt"] for r in cs.rows.select("id", "pt").distinct().orderBy("id").collect()]
-    best = M.solution_costs(pts, [list(x) for x in itertools.combinations(rows, 2)], L1, 1).agg(F.min("cost").cast("long").alias("cost_best_in_e"))
-    return best.withColumn("opt", F.lit(int(exact(L1, L1.load(pt), w, 2, 1)[1])).cast("long"))
+    at = places(pts)
+    best = best_among(at, places(cs.rows))
+    return s.createDataFrame([(best, None if best is None else optimum(at, 2, 1))], "cost_best_in_e long, opt long")
 
 
 @query()
