@@ -16,7 +16,7 @@ from .operators import baseline as B
 from .operators import coreset as C
 from .operators import measure as M
 from .operators import verify as V
-from .operators.line import best_among, optimum, places
+from .operators.line import best_among, optimum, pair_errors, places
 from .operators.points import by_modulo, points, quantised
 from .operators.solve import exact, exact_line
 from .plans.resolve import ROWS, part_count
@@ -435,13 +435,9 @@ def bounded_supplier(s, d):
 
 @query(f"with recursive {Q.two_round(Q.SUPPLIER, Q.L1, 3)}, {_OPT.split(', opt as')[0]}, co as materialized (select tau_id as id, sum(w) as w from cov2_tau group by 1), k as materialized (select s1, s2, sum(p.w * least({Q._d(Q.L1, 'p.v', 'c.av')}, {Q._d(Q.L1, 'p.v', 'c.bv')})) as cost from pairs c cross join pts p group by s1, s2), l as materialized (select s1, s2, sum(co.w * least({Q._d(Q.L1, 'p.v', 'c.av')}, {Q._d(Q.L1, 'p.v', 'c.bv')})) as core_cost from pairs c cross join co join pts p using (id) group by s1, s2) select round(max(abs(cost - core_cost)::double / cost::double), 9) as max_error, count(*) as solutions from k join l using (s1, s2)")
 def distortion_supplier(s, d):
-    import itertools
-
     pts = supplier(s, d)
-    _, pt, _w = _local(pts)
     cs = C.two_round(parted(pts, 2), spec(2, 3), L1)
-    out = M.distortion(pts, cs.rows, [list(x) for x in itertools.combinations(pt, 2)], L1, 1)
-    return out.agg(F.round(F.max("error"), 9).alias("max_error"), F.count("*").alias("solutions"))
+    return pair_errors(s, places(pts), places(cs.rows)).select(F.round("error", 9).alias("max_error"), "solutions")
 
 
 @query(f"with recursive {Q.two_round(Q.SUPPLIER, Q.L1, 3)}, {_OPT}, ce as (select distinct pts.id, pts.v from cov2_tau join pts on pts.id = tau_id), ep as (select a.id as s1, b.id as s2, a.v as av, b.v as bv from ce a join ce b on a.id < b.id) select min(cost)::bigint as cost_best_in_e, any_value(den)::bigint as opt from (select sum(p.w * least({Q._d(Q.L1, 'p.v', 'c.av')}, {Q._d(Q.L1, 'p.v', 'c.bv')})) as cost from ep c cross join pts p group by s1, s2) cross join opt")
