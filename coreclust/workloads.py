@@ -16,7 +16,7 @@ from .operators import baseline as B
 from .operators import coreset as C
 from .operators import measure as M
 from .operators import verify as V
-from .operators.line import best_among, optimum, pair_errors, places
+from .operators.line import best_among, optimum, pair_errors, places, two_medians
 from .operators.points import by_modulo, points, quantised
 from .operators.solve import exact, exact_line
 from .plans.resolve import ROWS, part_count
@@ -412,9 +412,8 @@ def _local(pts: DataFrame, most: int = 2_000):
 
 @query(f"with pts as ({Q.SUPPLIER}), c as (select a.id as s1, b.id as s2, a.v as av, b.v as bv from pts a join pts b on a.id < b.id), k as (select s1, s2, sum(p.w * least({Q._d(Q.L1, 'p.v', 'c.av')}, {Q._d(Q.L1, 'p.v', 'c.bv')}))::bigint as cost from c cross join pts p group by s1, s2) select s1, s2, cost from k order by cost, s1, s2 limit 1")
 def exact_supplier(s, d):
-    ids, pt, w = _local(supplier(s, d))
-    best, cost = exact(L1, L1.load(pt), w, 2, 1)
-    return s.createDataFrame([(ids[best[0]], ids[best[1]], int(cost))], "s1 long, s2 long, cost long")
+    best = two_medians(supplier(s, d))
+    return s.createDataFrame([best] if best else [], "s1 long, s2 long, cost long")
 
 
 @query(f"with pts as ({Q.SUPPLIER}), c as (select a.id as s1, b.id as s2, a.v as av, b.v as bv from pts a join pts b on a.id < b.id) select min(cost)::bigint as cost from (select sum(p.w * least({Q._d(Q.L1, 'p.v', 'c.av')}, {Q._d(Q.L1, 'p.v', 'c.bv')})) as cost from c cross join pts p group by s1, s2)")

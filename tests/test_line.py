@@ -68,7 +68,7 @@ def larger(tmp_path_factory):
     return str(d)
 
 
-@pytest.mark.parametrize("name", ["bounded_supplier", "centroid_supplier", "distortion_supplier"])
+@pytest.mark.parametrize("name", ["bounded_supplier", "centroid_supplier", "distortion_supplier", "exact_supplier"])
 def test_supplier_queries_beyond_enumeration(spark, larger, name):
     got = E.QUERIES[name](spark, larger).collect()
     assert len(got) == 1
