@@ -26,6 +26,7 @@ from ..schema import ClusterSpec, CoreclustError
 from ..storage import Scratch
 from .cover import ball_cover
 from .seed import SEEDERS
+from .solve import MOST_ROWS
 
 #: What a task may be sent at once: payload rows of the round-1 union, and the bytes of their Arrow buffers.
 BROADCAST_ROWS, BROADCAST_BYTES = 1_000_000, 256 << 20
@@ -294,8 +295,12 @@ def union(coresets: list[Coreset]) -> DataFrame:
     return out
 
 
-def reduce_again(cs: Coreset | DataFrame, spec: ClusterSpec, metric: Metric, scratch: Scratch | None = None, rows_per_part: int = ROWS) -> Coreset:
-    """A weighted coreset covered once more, over as few parts as a task's memory allows; `bounds.reduced_error` has what that costs."""
+def reduce_again(cs: Coreset | DataFrame, spec: ClusterSpec, metric: Metric, scratch: Scratch | None = None, rows_per_part: int | None = None) -> Coreset:
+    """A weighted coreset covered once more, over as few parts as a task's memory allows; `bounds.reduced_error` has what that costs.
+
+    Parts that are seeded by local search hold half of what that takes at most, as hashed parts differ in size.
+    """
+    rows_per_part = rows_per_part or (MOST_ROWS // 2 if spec.seeder == "local_search" else ROWS)
     rows = cs.rows if isinstance(cs, Coreset) else cs
     n = rows.count()
     if not n:

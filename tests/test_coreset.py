@@ -272,6 +272,21 @@ def test_swaps_where_the_rows_lie_end_in_a_local_optimum(spark, metric, p):
     assert again.tolist() == picks and got.count() == 4
 
 
+@pytest.mark.parametrize("objective", ["median"])
+def test_summaries_of_certified_covers_are_reduced_in_small_parts_and_keep_their_ratio(spark, objective):
+    """Seeds by local search take no part of any size, and a reduction that would lose the proof is not made."""
+    p, metric = (1, L1) if objective == "median" else (2, SQ)
+    spec = ClusterSpec(2, objective, Fraction(1, 10), beta=Fraction(51 if p == 1 else 91, 10), seeder="local_search", strict=True)
+    xs = np.random.default_rng(28).integers(0, 10**6, 4_600)
+    less = C.reduce_again(line(spark, xs, parts=1), spec, metric)
+    assert less.stats.count() == 3 and less.rows.agg(F.sum("w")).first()[0] == 4_600
+    few = np.unique(xs[:400])
+    r = cluster(line(spark, few).select("id", "pt"), spec, metric, most_rows=50)
+    report = {x["key"]: x["value"] for x in r.report().collect()}
+    opt = S.exact_line(few, np.ones(len(few), np.int64), 2, p)[1]
+    assert report["guarantee"] == 1 and opt <= report["cost"] <= report["proven_ratio"] * opt < math.inf
+
+
 def test_a_summary_that_does_not_shrink_is_solved_where_it_lies(spark):
     xs = np.random.default_rng(23).normal(0, 1, (120, 40))
     pts = spark.createDataFrame([(i, x.tolist()) for i, x in enumerate(xs)], "id long, pt array<double>")
