@@ -80,8 +80,13 @@ def _prepared(points: DataFrame, spec: ClusterSpec, alpha: float, rounds: int |
 
 
 def _fitted(cs: Coreset, plan: Plan, spec: ClusterSpec, metric: Metric, alpha: float, scratch: Scratch, most: int, continuous: bool = False) -> tuple[DataFrame, int, Plan]:
-    """The summary, covered again until at most `most` rows are left or covers no longer shrink it, and the plan with the ratio that this leaves."""
-    rows, n, error, levels = reduce_until(cs.rows, spec, metric, most, cs.error, scratch)
+    """The summary, covered again until at most `most` rows are left or covers no longer shrink it, and the plan with the ratio that this leaves.
+
+    A plan with a proven ratio is not reduced beyond it.
+    """
+    rows = cs.rows
+    proven = lambda error: not plan.guarantee or math.isfinite(bounds.ratio_of(alpha, error, spec.objective, continuous))
+    rows, n, error, levels = reduce_until(rows, spec, metric, most, cs.error, scratch, proven)
     levels += cs.reduced
     if not levels:
         return rows, n, plan
@@ -94,8 +99,8 @@ def cluster(points: DataFrame, spec: ClusterSpec, metric: Metric, alpha: float |
 
     `alpha` is the solver's ratio, by default what is proven for `method`; `even` deals parts of
     equal size instead of equal hash ranges.  A summary of more than `most_rows` rows is covered
-    again, with the error that this adds; one that covers do not shrink is solved where it lies,
-    by the same local search over all its rows.
+    again, with the error that this adds; one that covers do not shrink, or only at the cost of
+    the proven ratio, is solved where it lies, by the same local search over all its rows.
     """
     scratch = Scratch(points.sparkSession, "cluster")
     alpha = alpha_of(spec, method, options.get("t", 1)) * _stopping(spec, method, options) if alpha is None else alpha

@@ -8,6 +8,7 @@ corpus-wide tolerance.  Weights count the points that a pivot stands for.
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from dataclasses import dataclass, replace
 from decimal import Decimal
 from fractions import Fraction
@@ -310,14 +311,15 @@ def reduce_again(cs: Coreset | DataFrame, spec: ClusterSpec, metric: Metric, scr
     return one_round(pts, spec, metric, scratch=scratch)
 
 
-def reduce_until(rows: DataFrame, spec: ClusterSpec, metric: Metric, most: int, error: float, scratch: Scratch) -> tuple[DataFrame, int, float, int]:
+def reduce_until(rows: DataFrame, spec: ClusterSpec, metric: Metric, most: int, error: float, scratch: Scratch, allowed: Callable[[float], bool] = lambda _: True) -> tuple[DataFrame, int, float, int]:
     """(rows, their number, error constant, reductions): covered again and again while more than `most` rows are left and covers shrink them.
 
     A level that does not shrink its input to the share SHRINKS is dropped, and the next one
-    tried with twice the eps, up to the coarsest that has a proof.
+    tried with twice the eps, up to the coarsest that has a proof.  It also ends before a level
+    whose error constant is not `allowed`.
     """
     eps, n, levels = spec.eps, rows.count(), 0
-    while n > most:
+    while n > most and allowed(bounds.reduced_error(spec.objective, error, float(eps))):
         level = replace(spec, eps=eps)
         less = reduce_again(rows, level, metric, scratch).rows
         m = less.count()

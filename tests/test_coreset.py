@@ -272,7 +272,7 @@ def test_swaps_where_the_rows_lie_end_in_a_local_optimum(spark, metric, p):
     assert again.tolist() == picks and got.count() == 4
 
 
-@pytest.mark.parametrize("objective", ["median"])
+@pytest.mark.parametrize("objective", ["median", "means"])
 def test_summaries_of_certified_covers_are_reduced_in_small_parts_and_keep_their_ratio(spark, objective):
     """Seeds by local search take no part of any size, and a reduction that would lose the proof is not made."""
     p, metric = (1, L1) if objective == "median" else (2, SQ)
