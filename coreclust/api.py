@@ -12,7 +12,7 @@ from .functions.metrics import Metric
 from .operators import measure
 from .operators.assign import assign, profile
 from .operators.coreset import Coreset, one_round, reduce_until, two_round
-from .operators.points import by_hash, evenly
+from .operators.points import by_hash, collapse, evenly
 from .operators.solve import MOST_ROWS, local_search_distributed, solve, solve_continuous
 from .plans import bounds
 from .plans.resolve import ROWS, Plan, resolve
@@ -82,9 +82,11 @@ def _prepared(points: DataFrame, spec: ClusterSpec, alpha: float, rounds: int |
 def _fitted(cs: Coreset, plan: Plan, spec: ClusterSpec, metric: Metric, alpha: float, scratch: Scratch, most: int, continuous: bool = False) -> tuple[DataFrame, int, Plan]:
     """The summary, covered again until at most `most` rows are left or covers no longer shrink it, and the plan with the ratio that this leaves.
 
-    A plan with a proven ratio is not reduced beyond it.
+    Equal payloads become one row first, which costs nothing; a plan with a proven ratio is not reduced beyond it.
     """
     rows = cs.rows
+    if rows.count() > most:
+        rows = scratch.write(collapse(rows), "places")
     proven = lambda error: not plan.guarantee or math.isfinite(bounds.ratio_of(alpha, error, spec.objective, continuous))
     rows, n, error, levels = reduce_until(rows, spec, metric, most, cs.error, scratch, proven)
     levels += cs.reduced
