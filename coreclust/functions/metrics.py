@@ -47,6 +47,10 @@ class Metric:
         d = self.distances(data, i, at)
         return d if p == 1 else d * d
 
+    def block(self, data, sources: np.ndarray, at: np.ndarray, p: int = 1) -> np.ndarray:
+        """Distances (to the power p) of each of `sources`, a row each, to the elements `at`."""
+        return np.stack([self.one(data, int(s), at, p) for s in sources]) if len(sources) else np.zeros((0, len(at)))
+
     def nearest(self, data, sources: np.ndarray, at: np.ndarray, p: int = 1) -> tuple[np.ndarray, np.ndarray]:
         """Least distance of each of `at` to `sources`, and which source (the first on ties)."""
         best, who = None, np.zeros(len(at), np.int64)
@@ -79,6 +83,15 @@ class _Vector(Metric):
         return np.concatenate((x, self.load(more))) if len(more) and len(column) else self.load(more) if len(more) else x
 
 
+def _summed(data: np.ndarray, sources: np.ndarray, at: np.ndarray, f) -> np.ndarray:
+    """f of the coordinates' differences, summed coordinate by coordinate, of all pairs at once."""
+    x, y = data[sources], data[at]
+    out = np.zeros((len(x), len(y)), data.dtype)
+    for j in range(data.shape[1]):
+        out += f(x[:, j, None] - y[None, :, j])
+    return out
+
+
 @dataclass
 class Lp(_Vector):
     """Minkowski distances: p = 1 (whole numbers stay whole), any p, or infinity."""
@@ -107,6 +120,12 @@ class Lp(_Vector):
             return gap.max(1) if gap.shape[1] else np.zeros(len(at))
         return gap.sum(1) if self.order == 1 else (gap**self.order).sum(1) ** (1 / self.order)
 
+    def block(self, data: np.ndarray, sources: np.ndarray, at: np.ndarray, p: int = 1) -> np.ndarray:
+        if self.order != 1:
+            return super().block(data, sources, at, p)
+        d = _summed(data, sources, at, np.abs)
+        return d if p == 1 else d * d
+
 
 @dataclass
 class Euclidean(_Vector):
@@ -130,6 +149,10 @@ class Euclidean(_Vector):
 
     distances = one
 
+    def block(self, data: np.ndarray, sources: np.ndarray, at: np.ndarray, p: int = 1) -> np.ndarray:
+        s = _summed(data, sources, at, np.square)
+        return s if p == 2 else np.sqrt(s)
+
 
 @dataclass
 class Angular(_Vector):

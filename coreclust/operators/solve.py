@@ -12,6 +12,7 @@ from pyspark.sql import functions as F
 
 from ..functions.metrics import Metric
 from ..schema import CoreclustError
+from ..storage import Scratch
 
 #: Rows of an instance that one task may solve: distances are quadratic in it.
 MOST_ROWS = 4_000
@@ -333,57 +334,164 @@ def _continuous_distributed(rows: DataFrame, k: int, objective: str, passes: int
     return spark.createDataFrame([(i, [float(v) for v in x]) for i, x in enumerate(best[1])], "center_id long, pt array<double>")
 
 
+#: Rows that a task groups at once, pivots after which it leaves the rest single, and groups that the driver may group again.
+GROUP_ROWS, GROUP_PIVOTS, GROUPS = 20_000, 2_000, 50_000
+#: Groups' radius as a share of the mean distance to the nearest center.
+NEAR = 1 / 16
+
+
+def _groups(metric: Metric, data, n: int, radius: float) -> tuple[np.ndarray, np.ndarray]:
+    """(head, away): each of n rows goes to an earlier one within `radius`; after GROUP_PIVOTS heads the rest stay single, as then groups do not pay."""
+    head, away, alive, heads = np.arange(n), np.zeros(n), np.arange(n), 0
+    while len(alive) and heads < GROUP_PIVOTS:
+        d = metric.one(data, int(alive[0]), alive, 1).astype(float)
+        got = d <= radius
+        got[0] = True
+        head[alive[got]], away[alive[got]] = alive[0], d[got]
+        alive, heads = alive[~got], heads + 1
+    return head, away
+
+
+def _grouped_rows(places: DataFrame, metric: Metric, radius: float, tasks: int, scratch: Scratch) -> tuple[DataFrame, DataFrame, int]:
+    """Rows with the head of their group, the heads (id, pt, radius, size), and their number: grouped where they lie, and the heads once more on the driver if it may hold them."""
+    kind = places.schema["pt"].dataType.simpleString()
+
+    def run(batches):
+        held, n = [], 0
+        for b in itertools.chain(batches, [None]):
+            while n and (b is None or n >= GROUP_ROWS):
+                t = pa.Table.from_batches(held).sort_by("id").combine_chunks()
+                head, away = _groups(metric, metric.joined(pa.concat_arrays(t.column("pt").chunks)), t.num_rows, radius)
+                yield from t.append_column("head", t.column("id").take(pa.array(head))).append_column("away", pa.array(away)).to_batches()
+                held, n = [], 0
+            if b is not None and b.num_rows:
+                held.append(b)
+                n += b.num_rows
+
+    rows = scratch.write(places.repartition(tasks, "id").mapInArrow(run, f"id long, pt {kind}, w long, head long, away double"), "grouped")
+    size = rows.groupBy("head").agg(F.max("away").alias("radius"), F.count("*").alias("n"))
+    heads = scratch.write(rows.where("id = head").select("id", "pt").join(size, F.col("id") == F.col("head")).select("id", "pt", "radius", "n"), "heads")
+    count = heads.count()
+    if count > GROUPS:
+        return rows, heads, count
+    few = heads.toArrow().sort_by([("n", "descending"), ("id", "ascending")]).combine_chunks()
+    top, away = _groups(metric, metric.joined(pa.concat_arrays(few.column("pt").chunks)), count, radius)
+    ids = few.column("id").to_numpy()
+    first, member = np.unique(top, return_inverse=True)
+    far, total = np.zeros(len(first)), np.zeros(len(first), np.int64)
+    np.maximum.at(far, member, away + few.column("radius").to_numpy())
+    np.add.at(total, member, few.column("n").to_numpy())
+    moved = places.sparkSession.createDataFrame(pa.table({"head": ids, "top": ids[top]}))
+    rows = scratch.write(rows.join(F.broadcast(moved), "head").select("id", "pt", "w", F.col("top").alias("head")), "regrouped")
+    new = few.select(["id", "pt"]).take(pa.array(first)).append_column("radius", pa.array(far)).append_column("n", pa.array(total))
+    return rows, scratch.write(places.sparkSession.createDataFrame(new, f"id long, pt {kind}, radius double, n long"), "heads"), len(first)
+
+
+def _swap_values(rows: DataFrame, metric: Metric, p: int, centers: pa.Array, batch: pa.Array, radius: np.ndarray) -> tuple[float, np.ndarray, np.ndarray]:
+    """(cost, value, least): the cost of the centers, of every swap of a candidate for one of them, and a lower bound on that of anything within the candidate's radius."""
+    k, size = len(centers), len(batch)
+    sent = rows.sparkSession.sparkContext.broadcast((pa.concat_arrays([centers, batch]), radius * (1 + 1e-9)))
+
+    def run(batches):
+        more, reach = sent.value
+        both, stay = np.zeros((size, 2, k)), 0.0
+        for b in batches:
+            for lo in range(0, b.num_rows, 2048):
+                part = b.slice(lo, 2048)
+                m, w = part.num_rows, part.column(1).to_numpy().astype(float)
+                data, every = metric.joined(part.column(0), more), np.arange(m)
+                d = metric.block(data, m + np.arange(k), every, p).astype(float)
+                near = d.argmin(0)
+                first = d[near, every]
+                d[near, every] = np.inf
+                second, mine = d.min(0), np.zeros((m, k))
+                mine[every, near] = w
+                stay += float(first @ w)
+                for at in range(0, size, 64):
+                    new, r = metric.block(data, m + k + np.arange(at, min(at + 64, size)), every, p).astype(float), reach[at : at + 64, None]
+                    for what in range(2):
+                        if what and not r.any():
+                            both[at : at + 64, 1] += gained
+                            break
+                        if what:
+                            new = np.maximum(new * (1 - 1e-12) - r, 0) if p == 1 else np.maximum(np.sqrt(new) * (1 - 1e-12) - r, 0) ** 2
+                        kept = np.minimum(new, first)
+                        gained = (kept @ w)[:, None] + (np.minimum(new, second) - kept) @ mine
+                        both[at : at + 64, what] += gained
+        yield pa.RecordBatch.from_pydict({"x": pa.array(np.append(np.arange(size), -1)), "v": pa.array([*both.reshape(size, 2 * k).tolist(), [stay] * (2 * k)], pa.list_(pa.float64()))})
+
+    got = rows.select("pt", "w").mapInArrow(run, "x long, v array<double>").select("x", F.posexplode("v").alias("c", "v")).groupBy("x", "c").agg(F.sum("v").alias("v")).toArrow()
+    out = np.zeros((size + 1, 2 * k))
+    out[got.column("x").to_numpy(), got.column("c").to_numpy()] = got.column("v").to_numpy()
+    sent.destroy()
+    return float(out[-1, 0]), out[:-1, :k], out[:-1, k:]
+
+
 def local_search_distributed(rows: DataFrame, k: int, metric: Metric, p: int, passes: int = 2_000, block: int = 2_000, min_gain: float = 1e-3, start_rows: int = 2_000) -> DataFrame:
     """Local search over all rows when the instance outgrows one task: the same single swaps as `swap_search`, block after block.
 
-    Every row is a candidate.  A block of them goes out with the k centers; its swaps are valued
-    where the rows lie, from each point's nearest and second nearest center, and come back as one
-    sum per (candidate, center).  The best of a block is taken if it gains `min_gain` of the
-    cost; the search ends when a whole round over all blocks has brought none.  Centers start
-    from a local search on a bounded sample.  After `passes` blocks with a gain it stops anyway
-    and raises, as the result would be no local optimum.
+    Every row is a candidate; rows of equal payload are one, of the smallest id and the summed
+    weight.  Candidates are grouped around heads.  A block of heads goes out with the k centers;
+    its swaps are valued where the rows lie, from each point's nearest and second nearest center.
+    By the triangle inequality the same pass bounds from below what any member of a group could
+    bring the cost to, so only members of groups whose bound leaves room for a gain are valued
+    themselves.  The best of a block is taken if it gains `min_gain` of the cost; the search ends
+    when no head and no such member brings one.  Centers start from a local search on a bounded
+    sample.  After `passes` swaps it stops anyway and raises, as the result would be no local optimum.
     """
-    spark = rows.sparkSession
-    kind = rows.schema["pt"].dataType.simpleString()
-    n = rows.count()
-    blocks = max(1, -(-n // block))
-    few = _hashed(rows.select("id", "pt", "w"), start_rows, 1).orderBy("id").collect()
-    picks, _ = swap_search(metric, metric.load([r["pt"] for r in few]), np.array([r["w"] for r in few], np.int64), k, p)
-    centers = [(few[i]["id"], few[i]["pt"]) for i in picks]
-    dealt = rows.select("id", "pt", "w", F.pmod(F.xxhash64("id", F.lit(2)), F.lit(blocks)).alias("b"))
-    idle, gains, at = 0, 0, 0
+    from .points import collapse
+
+    scratch = Scratch(rows.sparkSession, "swaps")
+    places = scratch.write(collapse(rows), "places")
+    n = places.count()
+    few = _hashed(places, start_rows, 1).orderBy("id").toArrow()
+    w, cores = few.column("w").to_numpy(), rows.sparkSession.sparkContext.defaultParallelism
+    start = pa.concat_arrays(few.column("pt").chunks)
+    picks, cost = swap_search(metric, metric.joined(start), w, k, p)
+    ids, centers = few.column("id").to_numpy()[picks], start.take(pa.array(picks))
+    grouped, heads, count = _grouped_rows(places, metric, NEAR * (cost / w.sum()) ** (1 / p), max(cores, -(-n // (2 * GROUP_ROWS))), scratch)
+    block = max(1, min(block, 1_000_000 // len(ids)))
+    gains = 0
+
+    def improved(batch: pa.Table) -> pa.Table | None:
+        """Takes the best swap of a block; without a gain, the candidates whose groups leave room for one."""
+        nonlocal ids, centers, gains
+        batch = batch.filter(pa.array(~np.isin(batch.column("id").to_numpy(), ids) | (batch.column("n").to_numpy() > 1)))
+        if not batch.num_rows:
+            return batch
+        own = batch.column("id").to_numpy()
+        pt = pa.concat_arrays(batch.column("pt").chunks)
+        now, value, least = _swap_values(grouped, metric, p, centers, pt, batch.column("radius").to_numpy())
+        value[np.isin(own, ids)] = np.inf
+        x, c = np.unravel_index(int(value.argmin()), value.shape)
+        if not value[x, c] < now * (1 - min_gain):
+            return batch.filter(pa.array((least.min(1) < now * (1 - min_gain)) & (batch.column("n").to_numpy() > 1)))
+        ids = np.where(np.arange(len(ids)) == c, own[x], ids)
+        centers = pa.concat_arrays([pt.slice(x, 1) if j == c else centers.slice(j, 1) for j in range(len(ids))])
+        gains += 1
+        if gains >= passes:
+            raise CoreclustError(f"no local optimum after {passes} swaps")
+        return None
+
+    def dealt(df: DataFrame, blocks: int, at: int) -> pa.Table:
+        return df.where(F.pmod(F.xxhash64("id", F.lit(2)), F.lit(blocks)) == at).select("id", "pt", "radius", "n").toArrow().sort_by("id").combine_chunks()
+
+    blocks, idle, at, open_ = max(1, -(-count // block)), 0, 0, []
     while idle < blocks:
-        held = {c for c, _ in centers}
-        batch = [(r["id"], r["pt"]) for r in dealt.where(F.col("b") == at).select("id", "pt").orderBy("id").collect() if r["id"] not in held]
-        at, idle = (at + 1) % blocks, idle + 1
-        sent = spark.sparkContext.broadcast((centers, batch))
-
-        def value(batches, sent=sent):
-            centers, batch = sent.value
-            total, stay = np.zeros((len(batch), len(centers))), 0.0
-            for b in batches:
-                for lo in range(0, b.num_rows, 2048):
-                    part = b.slice(lo, 2048)
-                    m, w = part.num_rows, part.column(1).to_numpy().astype(float)
-                    data, every = metric.joined(part.column(0), [x for _, x in centers] + [x for _, x in batch]), np.arange(part.num_rows)
-                    d = np.stack([metric.one(data, m + c, every, p) for c in range(len(centers))]).astype(float)
-                    near = d.argmin(0)
-                    first = d[near, every]
-                    d[near, every] = np.inf
-                    second = d.min(0)
-                    stay += float((first * w).sum())
-                    new = np.stack([metric.one(data, m + len(centers) + x, every, p) for x in range(len(batch))]).astype(float) if batch else np.zeros((0, m))
-                    kept = np.minimum(new, first)
-                    lost = (np.minimum(new, second) - kept) * w
-                    total += (kept @ w)[:, None] + np.stack([lost[:, near == c].sum(1) for c in range(len(centers))], 1)
-            yield pa.RecordBatch.from_pydict({"x": pa.array(np.append(np.arange(len(batch)), -1)), "v": pa.array([*total.tolist(), [stay] * len(centers)], pa.list_(pa.float64()))})
-
-        summed = rows.select("pt", "w").mapInArrow(value, "x long, v array<double>").select("x", F.posexplode("v").alias("c", "v")).groupBy("x", "c").agg(F.sum("v").alias("v"))
-        best = summed.where("x >= 0 OR c = 0").orderBy(F.col("x") >= 0, "v", "x", "c").limit(2).collect()  # what staying costs, then the best swap
-        cost = best[0]["v"]
-        if len(best) > 1 and best[1]["v"] < cost * (1 - min_gain):
-            centers = [batch[best[1]["x"]] if j == best[1]["c"] else c for j, c in enumerate(centers)]
-            idle, gains = 0, gains + 1
-            if gains >= passes:
-                raise CoreclustError(f"no local optimum after {passes} swaps")
-    return spark.createDataFrame(centers, f"center_id long, pt {kind}")
+        room = improved(dealt(heads, blocks, at))
+        at, idle, open_ = (at + 1) % blocks, 0 if room is None else idle + 1, [] if room is None else [*open_, room.select(["id", "n"])]
+        if idle < blocks or not any(t.num_rows for t in open_):
+            continue
+        room = pa.concat_tables(open_)
+        chosen = rows.sparkSession.createDataFrame(room.select(["id"]).rename_columns(["head"]))
+        members = grouped.where("id <> head").join(F.broadcast(chosen), "head").select("id", "pt", F.lit(0.0).alias("radius"), F.lit(1).alias("n"))
+        for b in range(more := max(1, -(-int(room.column("n").to_numpy().sum()) // block))):
+            if improved(dealt(members, more, b)) is None:
+                idle, open_ = 0, []
+                break
+    return places.where(F.col("id").isin([int(x) for x in ids])).select(F.col("id").alias("center_id"), "pt")
+
+
+def local_search(rows: DataFrame, k: int, metric: Metric, p: int, most: int = MOST_ROWS, **options) -> DataFrame:
+    """(center_id, pt) by single swaps over all rows: in one task up to `most` rows, where they lie beyond."""
+    return solve(rows, k, metric, p, **options) if rows.count() <= most else local_search_distributed(rows, k, metric, p, **options)

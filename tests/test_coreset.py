@@ -272,6 +272,27 @@ def test_swaps_where_the_rows_lie_end_in_a_local_optimum(spark, metric, p):
     assert again.tolist() == picks and got.count() == 4
 
 
+def test_swaps_value_few_candidates_and_no_copies(spark, monkeypatch):
+    """Copies are one candidate, and groups without room for a gain are passed over; the result is still a local optimum of all rows."""
+    rng = np.random.default_rng(26)
+    xs = np.concatenate([rng.integers(c, c + 3000, (500, 2)) for c in (0, 4000, 9000)])
+    rows = [(i, xs[i % 1500].tolist(), 1) for i in range(6000)]
+    valued, plain = [], S._swap_values
+    monkeypatch.setattr(S, "_swap_values", lambda *a: valued.append(len(a[4])) or plain(*a))
+    got = S.local_search_distributed(spark.createDataFrame(rows, "id long, pt array<bigint>, w long"), 3, L1, 1, start_rows=100)
+    picks = sorted(r["center_id"] for r in got.collect())
+    again, _ = S.swap_search(L1, L1.load(xs.tolist()), np.full(1500, 4), 3, 1, start=np.array(picks))
+    assert again.tolist() == picks and max(picks) < 1500
+    assert max(valued) < 1000
+
+
+@pytest.mark.parametrize("metric, data", [(L1, [[1, 2], [5, 9], [-3, 4]]), (SQ, [[1, 2], [5, 9], [-3, 4]]), (Lp(3), [[1.0], [4.5], [2.0]]), (Edit(), ["a", "abc", "xyz"])])
+def test_blocks_of_distances_equal_single_rows(metric, data):
+    loaded, at = metric.load(data), np.array([0, 2, 1])
+    for p in (1, 2):
+        assert np.allclose(metric.block(loaded, np.array([1, 2]), at, p), [metric.one(loaded, i, at, p) for i in (1, 2)])
+
+
 @pytest.mark.parametrize("objective", ["median", "means"])
 def test_summaries_of_certified_covers_are_reduced_in_small_parts_and_keep_their_ratio(spark, objective):
     """Seeds by local search take no part of any size, and a reduction that would lose the proof is not made."""
