@@ -18,6 +18,7 @@ from .operators import baseline as B
 from .operators import coreset as C
 from .operators import measure as M
 from .operators import verify as V
+from .operators.line import places
 from .operators.points import by_column, by_hash, by_modulo, collapse, evenly
 from .operators.solve import MOST_ON_LINE, MOST_ROWS, MOST_SUBSETS, exact, exact_line, solve
 from .plans import bounds
@@ -51,9 +52,9 @@ def _holds(k: int, p: int, src: str = Q.CUSTOMER) -> str:
 
 
 def _line(pts: DataFrame) -> tuple[np.ndarray, np.ndarray]:
-    """Coordinates and weights of points on a line; their number is checked before they come to the driver."""
-    got = pts.select(F.col("pt")[0].alias("x"), "w").limit(MOST_ON_LINE + 1).toArrow()
-    return got.column("x").to_numpy(), got.column("w").to_numpy()
+    """Places and weights of points on a line; equal ones meet where they lie, and the number of places is checked before they come to the driver."""
+    at = places(pts)
+    return at.x, at.w
 
 
 def _against_optimum(s: SparkSession, pts: DataFrame, cost: float, ratio: float, k: int, p: int) -> DataFrame:
@@ -99,7 +100,7 @@ def guarantee_fast_means_customer(s, d):
 @query(_holds(5, 1))
 def guarantee_continuous_customer(s, d):
     """Free centers for medians.  Their own ratio on the summary is measured against the summary's exact optimum, and the proof carries it to all points; on a line the best free centers are points."""
-    pts = customer(s, d)
+    pts = collapse(customer(s, d))
     r = cluster_continuous(pts, _certified("median"), L1, rows_per_part=2_000)
     free = Lp(1, exact=False)
     found = r.centers.select("center_id", "pt").collect()

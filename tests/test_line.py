@@ -84,3 +84,11 @@ def test_supplier_queries_beyond_enumeration(spark, larger, name):
         assert r["opt"] == opt and opt <= r["cost_best_in_e"] < 1.2 * opt
     else:
         assert r["solutions"] == len(x) * (len(x) - 1) // 2 and 0 < r["max_error"] < 0.5
+
+
+def test_guarantee_with_more_customers_than_a_list_may_hold(spark, tmp_path):
+    """210,000 customers of 1,500 balances: the line's optimum counts places, not rows."""
+    duckdb.sql(f"copy (select * replace (c_custkey + 2000 * i as c_custkey) from '/root/testdata/sf0.01/customer.parquet', range(140) t(i)) to '{tmp_path}/customer.parquet'")
+    got = E.QUERIES["guarantee_continuous_customer"](spark, str(tmp_path)).first()
+    one = E._line(E.customer(spark, "/root/testdata/sf0.01"))
+    assert got["holds"] and got["optimum"] == 140 * S.exact_line(*one, 5, 1)[1]
