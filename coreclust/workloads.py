@@ -450,10 +450,10 @@ def centroid_supplier(s, d):
 
 @query()
 def local_search_part(s, d):
-    from .operators.solve import solve
+    from .operators.solve import local_search
 
     cs = C.one_round(parted(part(s, d)), spec(10, 20), L1)
-    return solve(cs.rows, 10, L1, 1).select("center_id")
+    return local_search(cs.rows, 10, L1, 1).select("center_id")
 
 
 @query()

@@ -286,6 +286,14 @@ def test_swaps_value_few_candidates_and_no_copies(spark, monkeypatch):
     assert max(valued) < 1000
 
 
+def test_local_search_beyond_one_task(spark):
+    xs = np.random.default_rng(27).integers(0, 1000, (90, 2))
+    pts = spark.createDataFrame([(i, x.tolist(), 1) for i, x in enumerate(xs)], "id long, pt array<bigint>, w long")
+    for most in (90, 60):
+        picks = sorted(r["center_id"] for r in S.local_search(pts, 4, L1, 1, most=most).collect())
+        assert S.swap_search(L1, L1.load(xs.tolist()), np.ones(90, np.int64), 4, 1, start=np.array(picks))[0].tolist() == picks
+
+
 @pytest.mark.parametrize("metric, data", [(L1, [[1, 2], [5, 9], [-3, 4]]), (SQ, [[1, 2], [5, 9], [-3, 4]]), (Lp(3), [[1.0], [4.5], [2.0]]), (Edit(), ["a", "abc", "xyz"])])
 def test_blocks_of_distances_equal_single_rows(metric, data):
     loaded, at = metric.load(data), np.array([0, 2, 1])
