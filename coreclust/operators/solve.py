@@ -335,7 +335,7 @@ def _continuous_distributed(rows: DataFrame, k: int, objective: str, passes: int
 
 
 #: Rows that a task groups at once, pivots after which it leaves the rest single, and groups that the driver may group again.
-GROUP_ROWS, GROUP_PIVOTS, GROUPS = 20_000, 2_000, 50_000
+GROUP_ROWS, GROUP_PIVOTS, GROUPS = 50_000, 8_000, 50_000
 #: Groups' radius as a share of the mean distance to the nearest center.
 NEAR = 1 / 16
 
